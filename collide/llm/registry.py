@@ -2,9 +2,12 @@
 
 from __future__ import annotations
 
+from .packing import op9_packing
 from .quality_rules import op3_quality_rules
+from .sentencepiece_codec import op4_sentencepiece
 from .substring_dedup import op8_substring_dedup
+from .suffix_dedup import op5_suffix_dedup
 
-QUERIES = {f.__name__: f for f in (op3_quality_rules, op8_substring_dedup)}
+QUERIES = {f.__name__: f for f in (op3_quality_rules, op4_sentencepiece, op5_suffix_dedup, op8_substring_dedup, op9_packing)}
 
 ORACLE_SQL: dict[str, str] = {}
