@@ -72,6 +72,25 @@ def keyed(docs: DataFrame) -> DataFrame:
     return docs.select(F.col("doc_id"), doc_key().alias("key"), text_or_empty().alias("text"))
 
 
+def wrapped(docs: DataFrame) -> DataFrame:
+    """(row, key, text): all columns of docs within one struct, so that their names clash with none of an operator's own."""
+    return docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), doc_key().alias("key"), text_or_empty().alias("text"))
+
+
+def unwrapped(df: DataFrame, columns: list[str], **changed: Column) -> DataFrame:
+    """The columns that `wrapped` took in, some of them changed."""
+    return df.select(*[(changed[c] if c in changed else F.col("row").getField(c)).alias(c) for c in columns])
+
+
+def with_text(df: DataFrame, docs: DataFrame) -> DataFrame:
+    """The columns of docs from wrapped rows; where `new` is not null it replaces `text`, and `n_chars` is counted anew."""
+    changed = {"text": F.coalesce(F.col("new"), F.col("row").getField("text"))}
+    kinds = dict(docs.dtypes)
+    if kinds.get("n_chars") in ("int", "bigint"):
+        changed["n_chars"] = F.when(F.col("new").isNull(), F.col("row").getField("n_chars")).otherwise(F.length("new").cast(kinds["n_chars"]))
+    return unwrapped(df, docs.columns, **changed)
+
+
 def mix(h: np.ndarray) -> np.ndarray:
     """Finaliser of a 64-bit hash, elementwise."""
     h = h.astype(np.uint64, copy=True)

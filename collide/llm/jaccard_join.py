@@ -360,11 +360,10 @@ def one_of_each(docs: DataFrame, shingle: int = 5, num: int = 80, den: int = 100
     empty = F.col("n_shingles") == 0
     group = found.where(~empty).groupBy("class").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "key")).alias("m")).select(F.col("m.key").alias("kept_key"))
     kept = group.unionByName(found.where(empty).select(F.col("key").alias("kept_key"))).distinct()
-    stay = docs.join(kept, common.doc_key() == F.col("kept_key"), "left_semi")
-    if found.where(~empty).groupBy("key").count().where("count > 1").isEmpty():
-        return stay
-    marked = stay.withColumn("__key", common.doc_key())
-    return marked.dropDuplicates(["__key"]).drop("__key")
+    stay = common.wrapped(docs).join(kept, F.col("key") == F.col("kept_key"), "left_semi")
+    if not found.where(~empty).groupBy("key").count().where("count > 1").isEmpty():
+        stay = stay.dropDuplicates(["key"])
+    return common.unwrapped(stay, docs.columns)
 
 
 def op7_jaccard_join(spark, sf_dir: str) -> DataFrame:

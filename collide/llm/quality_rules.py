@@ -121,8 +121,8 @@ def judge(docs: DataFrame, host: str = "source", suspect: float = SUSPECT) -> Da
 
 def keep_good(docs: DataFrame, host: str = "source") -> DataFrame:
     """The rows of docs that the rules keep, with all their columns."""
-    verdict = judge(docs, host).where(~F.col("kept")).select(F.col("key").alias("rejected_key")).distinct()
-    return docs.join(verdict, common.doc_key() == F.col("rejected_key"), "left_anti")
+    rejected = judge(docs, host).where(~F.col("kept")).select(F.col("key").alias("rejected")).distinct()
+    return common.unwrapped(common.wrapped(docs).join(rejected, F.col("key") == F.col("rejected"), "left_anti"), docs.columns)
 
 
 def op3_quality_rules(spark, sf_dir: str) -> DataFrame:
