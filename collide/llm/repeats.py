@@ -73,16 +73,17 @@ def settle(h: np.ndarray, ctx: np.ndarray, key: np.ndarray, lo: np.ndarray, hi:
     if not len(h):
         return to_batch(*(np.empty(0, dtype=np.int64) for _ in range(6)))
     order = np.lexsort((ctx, h))
-    h, ctx, key, lo, hi = h[order], ctx[order], key[order], lo[order], hi[order]
-    first = np.ones(len(h), dtype=bool)
-    first[1:] = (h[1:] != h[:-1]) | (ctx[1:] != ctx[:-1])
-    run = np.cumsum(first) - 1
-    many = np.bincount(run)[run] > 1
-    mk, ml, mh = merge_ranges(key[many], lo[many], hi[many])
-    state = np.where(many[first], REP, NEW)
+    new = np.ones(len(h), dtype=bool)
+    new[1:] = (h[order[1:]] != h[order[:-1]]) | (ctx[order[1:]] != ctx[order[:-1]])
+    many = np.bincount(np.cumsum(new) - 1) > 1
+    first = order[np.flatnonzero(new)]
+    back = np.argsort(first)  # rows of a document stay together, which the shuffle's compression uses
+    rep, state = first[back], np.where(many[back], REP, NEW)
+    found = order[many[np.cumsum(new) - 1]]
+    mk, ml, mh = merge_ranges(key[found], lo[found], hi[found])
     return to_batch(
-        np.concatenate([common.signed(h[first]), mk]), np.concatenate([common.signed(ctx[first]), np.zeros(len(mk), dtype=np.int64)]), np.concatenate([key[first], mk]),
-        np.concatenate([lo[first], ml]), np.concatenate([hi[first], mh]), np.concatenate([state, np.full(len(mk), MARK)]),
+        np.concatenate([common.signed(h[rep]), mk]), np.concatenate([common.signed(ctx[rep]), np.zeros(len(mk), dtype=np.int64)]), np.concatenate([key[rep], mk]),
+        np.concatenate([lo[rep], ml]), np.concatenate([hi[rep], mh]), np.concatenate([state, np.full(len(mk), MARK)]),
     )
 
 
@@ -179,25 +180,29 @@ def unpacked(packed: bytes) -> bytes:
     return _unpack.decompress(packed)
 
 
-def ranges_by_key(marks: DataFrame) -> DataFrame:
-    """key -> its ranges of window starts. A key is one document, so the list is bounded by the document."""
-    return marks.groupBy("key").agg(F.collect_list(F.struct("lo", "hi", "state", "h")).alias("ranges")).withColumnRenamed("key", "r_key")
-
-
-def with_ranges(docs: DataFrame, marks: DataFrame, how: str) -> DataFrame:
-    """Documents (squeezed) with the list of ranges of their key."""
-    r = ranges_by_key(marks)
+def with_ranges(docs: DataFrame, marks: DataFrame, how: str, named: bool = False) -> DataFrame:
+    """Documents (squeezed) with the ranges of window starts of their key, lo and hi in one number, and if `named` the
+    ranges' h in the same order. A key is one document, so the lists are bounded by the document."""
+    both = F.shiftleft(F.col("lo").cast("long"), 32) + F.col("hi")
+    item = F.struct(both.alias("r"), F.col("h")) if named else both
+    r = marks.groupBy("key").agg(F.collect_list(item).alias("got"))
+    r = r.select(F.col("key").alias("r_key"), *([F.col("got.r").alias("ranges"), F.col("got.h").alias("names")] if named else [F.col("got").alias("ranges")]))
     return squeezed(docs).join(r, F.col("key") == F.col("r_key"), how).drop("r_key")
 
 
-def range_arrays(column, row: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """lo, hi, state, h of one row of a list<struct> column."""
+def numbers(column, row: int) -> np.ndarray:
     value = column[row]
-    if not value.is_valid:
-        e = np.empty(0, dtype=np.int64)
-        return e, e, e, e
-    v = value.values
-    return tuple(v.field(i).to_numpy(zero_copy_only=False) for i in range(4))
+    return value.values.to_numpy(zero_copy_only=False) if value.is_valid else np.empty(0, dtype=np.int64)
+
+
+def range_arrays(column, row: int) -> tuple[np.ndarray, np.ndarray]:
+    """lo and hi of one row."""
+    v = numbers(column, row)
+    return v >> 32, v & 0xFFFFFFFF
+
+
+#: Bits of ctx that are kept: beside 64 equal bits of h, 48 tell contexts apart.
+CTX_BITS = np.uint64(0xFFFFFFFFFFFF)
 
 
 Found = Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]
@@ -207,4 +212,4 @@ def repeated_windows(docs: DataFrame, find: Found, compare: Callable[[DataFrame]
     """(key, lo, hi): starts of all windows that occur twice or more. `find` emits anchors, `compare` settles OPEN ones."""
     first = common.materialise(classify(docs.mapInArrow(find, ANCHORS)))
     sure = first.where(F.col("state") == MARK)
-    return sure.select("key", "lo", "hi", "state", "h").unionByName(compare(first).select("key", "lo", "hi", "state", "h"))
+    return sure.select("key", "lo", "hi").unionByName(compare(first).select("key", "lo", "hi"))

@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import common
-from .repeats import ANCHORS, MARK, OPEN, REP, RangeHash, classify, range_arrays, repeated_windows, settle, unpacked, with_ranges
+from .repeats import ANCHORS, CTX_BITS, MARK, OPEN, REP, RangeHash, classify, numbers, range_arrays, repeated_windows, settle, unpacked, with_ranges
 
 WINDOW = 35
 #: A perfect difference set, every residue modulo PERIOD is a difference of two members.
@@ -57,7 +57,7 @@ def _anchors(window: int):
             at, p, d, lo, hi = at[ok], p[ok], d[ok], lo[ok], hi[ok]
             h = hashes(at, at + width)
             ctx = common.mix(hashes(begin[d] + lo, begin[d] + hi + window) + (p - lo).astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15))
-            yield settle(h, ctx, b.column("key").to_numpy()[d], lo, hi)
+            yield settle(h, ctx & CTX_BITS, b.column("key").to_numpy()[d], lo, hi)
 
     return find
 
@@ -69,7 +69,8 @@ def _extend(window: int):
         for b in batches:
             out: list[list[np.ndarray]] = []
             for i, key in enumerate(b.column("key").to_pylist()):
-                lo, hi, _, h = range_arrays(b.column("ranges"), i)
+                lo, hi = range_arrays(b.column("ranges"), i)
+                h = numbers(b.column("names"), i)
                 if not len(lo):
                     continue
                 words = common.words_of(unpacked(b.column("packed")[i].as_py()).decode("utf-8", "surrogatepass"))
@@ -82,7 +83,7 @@ def _extend(window: int):
                 h, ctx, key, p = (np.concatenate(x) for x in zip(*out, strict=True))
                 # the same window under the same anchor of the same document is one occurrence
                 _, one = np.unique(np.stack([h.view(np.int64), key, p]), axis=1, return_index=True) if len(h) else (None, np.empty(0, dtype=np.int64))
-                yield settle(h[one], ctx[one], key[one], p[one], p[one])
+                yield settle(h[one], ctx[one] & CTX_BITS, key[one], p[one], p[one])
 
     return extend
 
@@ -94,7 +95,7 @@ def repeated_word_windows(docs: DataFrame, window: int = WINDOW) -> DataFrame:
 
     def compare(first: DataFrame) -> DataFrame:
         some = first.where(F.col("state").isin(OPEN, REP))
-        return classify(with_ranges(docs, some, "inner").mapInArrow(_extend(window), ANCHORS)).where(F.col("state") == MARK)
+        return classify(with_ranges(docs, some, "inner", named=True).mapInArrow(_extend(window), ANCHORS)).where(F.col("state") == MARK)
 
     return repeated_windows(docs, _anchors(window), compare)
 
@@ -105,7 +106,7 @@ def _strip(window: int, texts_too: bool):
             rows = []
             for i in range(b.num_rows):
                 words = common.words_of(unpacked(b.column("packed")[i].as_py()).decode("utf-8", "surrogatepass"))
-                lo, hi, _, _ = range_arrays(b.column("ranges"), i)
+                lo, hi = range_arrays(b.column("ranges"), i)
                 if len(lo):
                     gone = common.covered(lo, hi + window, len(words))
                     kept = b" ".join([w for w, g in zip(words, gone.tolist(), strict=True) if not g])

@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import common
-from .repeats import ANCHORS, MARK, OPEN, REP, RangeHash, classify, merge_ranges, range_arrays, repeated_windows, settle, to_batch, unpacked, with_ranges
+from .repeats import ANCHORS, CTX_BITS, MARK, OPEN, REP, RangeHash, classify, merge_ranges, numbers, range_arrays, repeated_windows, settle, to_batch, unpacked, with_ranges
 
 LENGTH = 200
 GRAM = 32
@@ -62,7 +62,7 @@ def _chunk_anchors(data: list[bytes], keys: list[int], length: int, gram: int) -
     s, a, d = start[at], a[at], d[at]
     e = start[np.append(at[1:] - 1, len(start) - 1)] if len(at) else s
     ctx = common.mix(hashes(s, e + length) + (a - s).astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15))
-    return grams[a], ctx, np.array(keys, dtype=np.int64)[d], s - begin[d], e - begin[d]
+    return grams[a], ctx & CTX_BITS, np.array(keys, dtype=np.int64)[d], s - begin[d], e - begin[d]
 
 
 def _anchors(length: int, gram: int):
@@ -96,7 +96,8 @@ def _contexts(length: int):
             held = 0
             for i, k in enumerate(b.column("key").to_pylist()):
                 text = unpacked(b.column("packed")[i].as_py())
-                los, his, _, hs = range_arrays(b.column("ranges"), i)
+                los, his = range_arrays(b.column("ranges"), i)
+                hs = numbers(b.column("names"), i)
                 for x, y, z in zip(los.tolist(), his.tolist(), hs.tolist(), strict=True):
                     raw.append(text[x : y + length])
                     held += y + length - x
@@ -178,7 +179,7 @@ def _named(rows: list[tuple], length: int) -> pa.RecordBatch:
         name = RangeHash(_CODES[np.frombuffer(raw, dtype=np.uint8)]).all(length)
         out.append((common.mix(name ^ np.uint64(h % 2**64)), name, np.full(len(name), key, dtype=np.int64), lo + np.arange(len(name))))
     h, ctx, key, p = (np.concatenate(x) for x in zip(*out, strict=True))
-    return settle(h, ctx, key, p, p)
+    return settle(h, ctx & CTX_BITS, key, p, p)
 
 
 def _refine_blocks(length: int):
@@ -224,7 +225,7 @@ def repeated_byte_windows(docs: DataFrame, length: int = LENGTH, gram: int = GRA
 
     def compare(first: DataFrame) -> DataFrame:
         some = first.where(F.col("state").isin(OPEN, REP))
-        contexts = with_ranges(docs, some, "inner").mapInArrow(_contexts(length), _CONTEXT)
+        contexts = with_ranges(docs, some, "inner", named=True).mapInArrow(_contexts(length), _CONTEXT)
         refined = contexts.repartition("h").sortWithinPartitions("h").mapInArrow(_refine_blocks(length), ANCHORS)
         return classify(refined).where(F.col("state") == MARK)
 
@@ -237,7 +238,7 @@ def _strip(length: int, texts_too: bool):
             rows = []
             for i in range(b.num_rows):
                 raw = unpacked(b.column("packed")[i].as_py())
-                lo, hi, _, _ = range_arrays(b.column("ranges"), i)
+                lo, hi = range_arrays(b.column("ranges"), i)
                 removed = spans = 0
                 kept = raw
                 if len(lo):
