@@ -29,6 +29,8 @@ from .repeats import RangeHash
 RUN = 1 << 18
 #: Bytes of sets compared in one go; larger blocks are dealt in tiles, each pair of tiles a unit of work.
 TILE_BYTES = 24 << 20
+#: Groups of tokens that are counted, the dimensions of the points.
+DIMS = 64
 _K = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -206,6 +208,9 @@ def _blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield out
 
 
+_SETS = "setkey long, n int, counts binary, tokens binary"
+
+
 def _sets(shingle: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -213,28 +218,33 @@ def _sets(shingle: int):
                 continue
             doc, h = shingle_sets(list(common.texts(b)), shingle)
             key, n = _set_keys(doc, h, b.num_rows)
-            cut = np.cumsum(n)[:-1]
-            yield pa.RecordBatch.from_arrays([pa.array(common.signed(key)), pa.array([x.tobytes() for x in np.split(h, cut)], pa.binary())], ["setkey", "tokens"])
+            sets = np.split(h, np.cumsum(n)[:-1])
+            counts = [count_vector(x).tobytes() for x in sets]
+            yield pa.RecordBatch.from_arrays([pa.array(common.signed(key)), pa.array(n, pa.int32()), pa.array(counts, pa.binary()), pa.array([x.tobytes() for x in sets], pa.binary())], ["setkey", "n", "counts", "tokens"])
 
     return run
 
 
+def count_vector(tokens: np.ndarray) -> np.ndarray:
+    """How many of a set's tokens fall into each of DIMS groups."""
+    return np.bincount((common.mix(tokens) % np.uint64(DIMS)).astype(np.int64), minlength=DIMS).astype(np.uint32)
+
+
 class CountTree:
     """Points of token counts in boxes of neighbours; a box's upper corner bounds the overlap with every point inside."""
 
-    def __init__(self, sets: list[np.ndarray], dims: int, plan: Plan):
-        self.plan = plan
-        self.n = np.array([len(s) for s in sets], dtype=np.int64)
-        self.points = np.stack([np.bincount((common.mix(s) % np.uint64(dims)).astype(np.int64), minlength=dims) for s in sets]).astype(np.int32)
-        leaf = max(8, int(len(sets) ** 0.5))
+    def __init__(self, points: np.ndarray, n: np.ndarray, plan: Plan):
+        self.plan, self.n = plan, n.astype(np.int64)
+        self.points = points.astype(np.int32)
+        leaf = max(8, int(len(n) ** 0.5))
         order = np.lexsort((self.points[:, 0], self.n))
         # sort-tile: slices by size, then by the coordinate that varies most within the slice
-        slices = [order[i : i + leaf * 8] for i in range(0, len(order), leaf * 8)]
         self.leaves: list[np.ndarray] = []
-        for s in slices:
-            by = int(np.argmax(self.points[s].var(axis=0)))
-            s = s[np.argsort(self.points[s, by], kind="stable")]
-            self.leaves += [s[i : i + leaf] for i in range(0, len(s), leaf)]
+        for at in range(0, len(order), leaf * 8):
+            part = order[at : at + leaf * 8]
+            by = int(np.argmax(self.points[part].var(axis=0)))
+            part = part[np.argsort(self.points[part, by], kind="stable")]
+            self.leaves += [part[i : i + leaf] for i in range(0, len(part), leaf)]
         self.upper = np.stack([self.points[x].max(axis=0) for x in self.leaves])
         self.least = np.array([self.n[x].min() for x in self.leaves])
 
@@ -261,11 +271,11 @@ def spanning_links(sets: list[np.ndarray], group: list[int], side: list[int] | N
             g = root[g]
         return g
 
-    tree = CountTree(sets, 64 if max(map(len, sets)) <= 1000 else 512, plan)
+    tree = CountTree(np.stack([count_vector(x) for x in sets]), np.array([len(x) for x in sets]), plan)
     links = []
+    apart = len(root)
     for i in range(len(sets)):
-        for j in tree.near(i):
-            j = int(j)
+        for j in tree.near(i).tolist():
             if j == i or (side is not None and side[i] == side[j]):
                 continue
             a, b = top(group[i]), top(group[j])
@@ -275,51 +285,95 @@ def spanning_links(sets: list[np.ndarray], group: list[int], side: list[int] | N
             if plan.den * both >= plan.num * (len(sets[i]) + len(sets[j]) - both):
                 root[a] = b
                 links.append((i, j))
+                apart -= 1
+                if apart == 1:
+                    return links
     return links
 
 
+def _by_unit(names: list[str], unit, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Rows sorted by (block, i, j); `unit` turns each unit's rows into rows of long columns."""
+    rows: list[tuple] = []
+
+    def batch(out: list[tuple]) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([pa.array([r[k] for r in out], pa.int64()) for k in range(len(names))], names)
+
+    for b in batches:
+        out: list[tuple] = []
+        for r in zip(*(c.to_pylist() for c in b.columns), strict=True):
+            if rows and r[:3] != rows[0][:3]:
+                out += unit(rows)
+                rows = []
+            rows.append(r)
+        yield batch(out)
+    if rows:
+        yield batch(unit(rows))
+
+
 def _verify(plan: Plan):
-    """Sorted by (block, i, j): links of each unit."""
+    """Verified links of each unit."""
 
-    def unit(rows: list[tuple]) -> tuple[list[int], list[int]]:
+    def unit(rows: list[tuple]) -> list[tuple]:
         if len({r[3] for r in rows}) < 2:
-            return [], []
+            return []
         sets = [np.frombuffer(r[6], dtype=np.uint64) for r in rows]
         i, j = rows[0][1], rows[0][2]
         found = spanning_links(sets, [r[3] for r in rows], [int(r[5] == j) for r in rows] if i != j else None, plan)
-        return [rows[a][4] for a, _ in found], [rows[b][4] for _, b in found]
+        return [(rows[a][4], rows[b][4]) for a, b in found]
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        rows: list[tuple] = []
-        for b in batches:
-            left, right = [], []
-            for r in zip(*(b.column(k).to_pylist() for k in range(7)), strict=True):
-                if rows and r[:3] != rows[0][:3]:
-                    x, y = unit(rows)
-                    left += x
-                    right += y
-                    rows = []
-                rows.append(r)
-            yield pa.RecordBatch.from_arrays([pa.array(left, pa.int64()), pa.array(right, pa.int64())], ["a", "b"])
-        if rows:
-            x, y = unit(rows)
-            yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()), pa.array(y, pa.int64())], ["a", "b"])
+    return lambda batches: _by_unit(["a", "b"], unit, batches)
 
-    return run
 
+def _near(plan: Plan):
+    """Sets of different components whose counts allow a link, named by the two components."""
 
-def _links(members: DataFrame, sets: DataFrame, groups: DataFrame | None, plan: Plan) -> DataFrame:
-    """Links found in blocks (block, setkey, n). Blocks too large for one unit are dealt by tiles."""
+    def unit(rows: list[tuple]) -> list[tuple]:
+        group = np.array([r[3] for r in rows], dtype=np.int64)
+        if (group == group[0]).all():
+            return []
+        n = np.array([r[6] for r in rows], dtype=np.int64)
+        tree = CountTree(np.stack([np.frombuffer(r[7], dtype=np.uint32) for r in rows]), n, plan)
+        tile, apart = np.array([r[5] for r in rows]), rows[0][1] != rows[0][2]
+        out: set[tuple] = set()
+        for x in range(len(rows)):
+            y = tree.near(x)
+            y = y[(group[y] < group[x]) & ((tile[y] != tile[x]) | (not apart))]
+            for g in np.unique(group[y]).tolist():
+                out.add((g, int(group[x]), rows[x][4], rows[x][6]))
+            out.update((int(group[k]), int(group[x]), rows[k][4], rows[k][6]) for k in y.tolist())
+        return list(out)
+
+    return lambda batches: _by_unit(["lo", "hi", "setkey", "n"], unit, batches)
+
+
+def _units(members: DataFrame, groups: DataFrame | None, weight: str) -> DataFrame:
+    """block, i, j, grp, setkey, tile: members (block, setkey, n) dealt to units of work. Blocks of more than TILE_BYTES
+    (`weight` per member) are cut in tiles, and every pair of tiles is a unit, so no pair is missed and no unit is large."""
     if groups is None:
         known = members.withColumn("grp", F.col("setkey"))
     else:
         known = members.join(groups.select(F.col("node").alias("setkey"), "component"), "setkey", "left").withColumn("grp", F.coalesce("component", "setkey")).drop("component")
-    tiles = members.groupBy("block").agg(F.ceil(F.sum(F.col("n").cast("long")) * 8 / F.lit(TILE_BYTES)).cast("int").alias("tiles"))
+    tiles = members.groupBy("block").agg(F.greatest(F.lit(1), F.ceil(F.sum(F.expr(weight)) / F.lit(TILE_BYTES))).cast("int").alias("tiles"))
     known = known.join(tiles, "block").withColumn("tile", F.pmod(F.xxhash64("setkey"), F.col("tiles")).cast("int"))
     pairs = F.transform(F.sequence(F.lit(0), F.col("tiles") - 1), lambda o: F.struct(F.least(o, F.col("tile")).alias("i"), F.greatest(o, F.col("tile")).alias("j")))
-    units = known.select("block", "setkey", "grp", "tile", F.explode(pairs).alias("p")).select("block", F.col("p.i").alias("i"), F.col("p.j").alias("j"), "grp", "setkey", "tile")
-    units = units.join(sets, "setkey").select("block", "i", "j", "grp", "setkey", "tile", "tokens")
-    return common.materialise(units.repartition("block", "i", "j").sortWithinPartitions("block", "i", "j").mapInArrow(_verify(plan), "a long, b long"))
+    return known.select("block", "setkey", "grp", "tile", F.explode(pairs).alias("p")).select("block", F.col("p.i").alias("i"), F.col("p.j").alias("j"), "grp", "setkey", "tile")
+
+
+def _sorted_units(units: DataFrame) -> DataFrame:
+    return units.repartition("block", "i", "j").sortWithinPartitions("block", "i", "j")
+
+
+def _links(members: DataFrame, sets: DataFrame, groups: DataFrame | None, plan: Plan) -> DataFrame:
+    """Verified links among the members of each block, enough to connect what links."""
+    units = _units(members, groups, "8L * n").join(sets.select("setkey", "tokens"), "setkey").select("block", "i", "j", "grp", "setkey", "tile", "tokens")
+    return common.materialise(_sorted_units(units).mapInArrow(_verify(plan), "a long, b long"))
+
+
+def _pairs_of_groups(members: DataFrame, sets: DataFrame, groups: DataFrame, plan: Plan) -> DataFrame:
+    """block, setkey, n: per pair of components that may link, the sets that may do it. Counts alone are sent, not sets."""
+    units = _units(members, groups, f"{4 * DIMS + 64}L").join(sets.select("setkey", "n", "counts"), "setkey").select("block", "i", "j", "grp", "setkey", "tile", "n", "counts")
+    near = _sorted_units(units).mapInArrow(_near(plan), "lo long, hi long, setkey long, n long").distinct()
+    return common.materialise(near.select(F.xxhash64("lo", "hi").alias("block"), "setkey", "n"))
 
 
 def linked(docs: DataFrame, shingle: int = 5, num: int = 80, den: int = 100) -> DataFrame:
@@ -335,16 +389,17 @@ def linked(docs: DataFrame, shingle: int = 5, num: int = 80, den: int = 100) ->
     # the sets that meet any other, each once
     active = blocks.select("setkey").distinct()
     chosen = rows.join(active, "setkey", "left_semi").groupBy("setkey").agg(F.min("key").alias("key")).select("key")
-    sets = common.materialise(k.join(chosen, "key", "left_semi").select("text").mapInArrow(_sets(shingle), "setkey long, tokens binary").dropDuplicates(["setkey"]))
+    sets = common.materialise(k.join(chosen, "key", "left_semi").select("text").mapInArrow(_sets(shingle), _SETS).dropDuplicates(["setkey"]))
 
-    # first each set in its largest block: that connects most copies at the cost of one set each; then what is left
+    # First each set in its largest block: that connects most copies at the cost of one set each. Blocks that still hold
+    # several components are searched by counts, and each pair of components that may link is verified once.
     sizes = blocks.groupBy("block").agg(F.count(F.lit(1)).alias("members"))
     largest = blocks.join(sizes, "block").groupBy("setkey", "n").agg(F.max(F.struct("members", "block")).alias("m")).select(F.col("m.block").alias("block"), "setkey", "n")
     links = _links(largest, sets, None, plan)
     groups = components(links)
     tagged = blocks.join(groups.select(F.col("node").alias("setkey"), "component"), "setkey", "left").withColumn("grp", F.coalesce("component", "setkey"))
     mixed = tagged.groupBy("block").agg(F.min("grp").alias("lo"), F.max("grp").alias("hi")).where("lo <> hi").select("block")
-    more = _links(blocks.join(mixed, "block", "left_semi"), sets, groups, plan)
+    more = _links(_pairs_of_groups(blocks.join(mixed, "block", "left_semi"), sets, groups, plan), sets, groups, plan)
     groups = components(links.unionByName(more))
 
     named = rows.join(groups.select(F.col("node").alias("setkey"), "component"), "setkey", "left").withColumn("class", F.coalesce("component", "setkey"))
