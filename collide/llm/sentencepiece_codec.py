@@ -61,7 +61,10 @@ class Codec:
                 self.tokens.add_word(p, p)
         self.tokens.make_automaton()
         self.may_follow: dict[tuple[str, str], bool] = {}
-        self.words: dict[str, tuple[str, int, str]] = {}
+        self.written = {p: str(i) for p, i in self.ids.items()}
+        self.text = {p: self.out[i].decode().replace(" ", SPACE) for p, i in self.ids.items()}
+        self.unlike: dict[str, str] = {}
+        self.words = Words(self.word, common.CACHE_ENTRIES * 3 // 4)
 
     def merged(self, text: str) -> list[str]:
         """Merging carried out: the best-scored neighbours first, the leftmost of equals."""
@@ -99,59 +102,77 @@ class Codec:
         return known
 
     def tokens_of(self, word: str) -> list[str]:
-        """Prefix table of one word, read backwards."""
+        """Prefix table of one word, read backwards. The automaton lists tokens by their end, so the last token of every
+        shorter prefix is known; a prefix that no token ends holds a character outside the vocabulary there."""
         last: list[str | None] = [None] * (len(word) + 1)
-        done = 0
+        may = self.may_follow
         for end, token in self.tokens.iter(word):
             end += 1
-            # places that no token of the vocabulary ends at hold an unknown character
-            while done < end - 1:
-                done += 1
-                if last[done] is None:
-                    last[done] = word[done - 1]
             if last[end] is None:
                 start = end - len(token)
-                if start == 0 or (last[start] is not None and self.follows(last[start], token)):
-                    last[end] = token
-        for i in range(done + 1, len(word) + 1):
-            if last[i] is None:
-                last[i] = word[i - 1]
+                if start:
+                    before = last[start]
+                    if before is None:
+                        last[start] = word[start - 1]
+                    else:
+                        fits = may.get((before, token))
+                        if not (self.follows(before, token) if fits is None else fits):
+                            continue
+                last[end] = token
         out, at = [], len(word)
         while at:
-            out.append(last[at])
-            at -= len(last[at])
-        return out[::-1]
-
-    def word(self, word: str) -> tuple[str, int, str]:
-        """(ids joined by spaces, their number, text decoded from them) of a word with its leading space marks."""
+            token = last[at] or word[at - 1]
+            out.append(token)
+            at -= len(token)
+        out.reverse()
+        return out
+
+    def word(self, word: str) -> str:
+        """Ids, joined by spaces, of a word with its leading space marks. What they decode to is compared with the word; a
+        difference (there is none where every character has an id or bytes) is kept for decoding."""
         tokens = self.merged(word) if word.startswith(SPACE * 2) else self.tokens_of(word)
-        ids: list[int] = []
-        for t in tokens:
-            i = self.ids.get(t)
-            ids += [i] if i is not None else [self.byte_ids[x] for x in t.encode("utf-8", "surrogatepass")]
-        return " ".join(map(str, ids)), len(ids), b"".join([self.out[i] for i in ids]).decode("utf-8", "replace")
+        decoded = "".join([self.text.get(t) or self.decoded(t) for t in tokens])
+        if decoded != word:
+            self.unlike[word] = decoded.replace(SPACE, " ")
+        return " ".join([self.written.get(t) or self.in_bytes(t) for t in tokens])
+
+    def in_bytes(self, char: str) -> str:
+        return " ".join([str(self.byte_ids[x]) for x in char.encode("utf-8", "surrogatepass")])
+
+    def decoded(self, char: str) -> str:
+        """A character outside the vocabulary, by way of its byte ids."""
+        return b"".join([self.out[int(i)] for i in self.in_bytes(char).split(" ")]).decode("utf-8", "replace")
 
     def encode(self, text: str) -> tuple[str, int, str]:
-        """(decimal ids joined by spaces with the end id, their number, decoded text)."""
+        """(decimal ids joined by spaces with the end id, their number, the text that the ids decode to)."""
         if not text:
             return str(self.end), 1, ""
         marked = SPACE + text.replace(" ", SPACE)
-        if SPACE * 2 in marked:
-            words = _RUNS.findall(marked)
+        words = _RUNS.findall(marked) if SPACE * 2 in marked else [SPACE + w for w in marked[1:].split(SPACE)]
+        ids = " ".join(map(self.words.__getitem__, words))
+        if self.unlike:
+            decoded = "".join([self.unlike.get(w) or w.replace(SPACE, " ") for w in words])
         else:
-            words = marked.split(SPACE)[1:]
-            words = [SPACE + w for w in words]
-        known = self.words
-        if len(known) > common.CACHE_ENTRIES // 2:
-            known.clear()
-        found = []
-        for w in words:
-            v = known.get(w)
-            if v is None:
-                v = known[w] = self.word(w)
-            found.append(v)
-        ids = " ".join([v[0] for v in found])
-        return f"{ids} {self.end}", sum([v[1] for v in found]) + 1, "".join([v[2] for v in found])[1:]
+            decoded = marked.replace(SPACE, " ")
+        return f"{ids} {self.end}", ids.count(" ") + 2, decoded[1:]
+
+
+class Words(dict):
+    """Ids of words, remembered in two generations: a full one becomes the old one, and what is used of it moves on."""
+
+    def __init__(self, make, size: int):
+        super().__init__()
+        self.make, self.size, self.old = make, size, {}
+
+    def __missing__(self, word: str) -> str:
+        if len(self) >= self.size:
+            self.old = dict(self)
+            self.clear()
+        known = self.old.get(word)
+        if known is None:
+            known = self.make(word)
+        self[word] = known
+        return known
 
 
 _codecs: dict[str, Codec] = {}
