@@ -417,3 +417,136 @@ def _flat_vs_multi(s, d):
     return _union([evaluate.recall_at_k(indexed_search(i, v, p), truth, K).select(F.lit(m).alias("method"), "recall", F.lit(c).alias("distances")) for m, i, c in rows])
 
 
+
+
+# --- front ends, baselines, costs, streams (rows without SQL) ---------------------------------------------------------
+
+
+@query("front_end_ablation")
+def _fronts(s, d):
+    from .operators.fronts import front_end
+
+    out = []
+    for kind, n_sub, alpha, beta in (("emb", 8, 0.1, 0.1), ("doc", 4, 0.1, 0.05), ("doc", 8, 0.05, 0.1)):
+        v = data(s, d, kind)
+        truth = exact_knn(v.points, v.queries, K, v.d, unit=v.unit)
+        p = SearchParams(K, alpha, beta)
+        for front in ("divide", "lsh", "pca"):
+            f = front_end(v, front, 32)
+            plan = plan_contiguous(f.d, n_sub)
+            pool = top_scored(scan_scores(f.points, f.queries, plan, p.collide(v.n), select="rank"), p.pool(v.n), n=v.n)
+            from .operators.candidates import rerank
+
+            found = rerank(pool, v.points, v.queries, K, v.d, unit=v.unit)
+            out.append(evaluate.recall_at_k(found, truth, K).select(F.lit(kind).alias("dataset"), F.lit(front).alias("front"), F.lit(n_sub).alias("n_sub"), F.lit(alpha).alias("alpha"), F.lit(beta).alias("beta"), "recall"))
+    return _union(out)
+
+
+#: Settings of each baseline, from narrow to wide.
+SETTINGS = {
+    "encoded_projection_trees": [{"beta": 0.05}, {"beta": 0.2}],
+    "query_centred_windows": [{"beta": 0.05}, {"beta": 0.2}],
+    "projected_metric_ball": [{"beta": 0.05}, {"beta": 0.2}],
+    "circular_match": [{"check_k": 64}, {"check_k": 256}],
+    "rotated_product_quantiser": [{"beta": 0.05}, {"beta": 0.2}],
+    "projection_forest": [{"search_k": 500}, {"search_k": 2000}],
+    "layered_graph": [{"ef": 20, "ef_build": 60}, {"ef": 100, "ef_build": 60}],
+    "tree_graph_hybrid": [{"probes": 1, "hops": 1}, {"probes": 2, "hops": 3}],
+}
+
+
+def _tradeoff(s, d, names) -> DataFrame:
+    from .operators import baselines
+
+    methods = baselines.GUARANTEED | baselines.UNGUARANTEED
+    v = data(s, d, "emb")
+    truth = exact_knn(v.points, v.queries, K, v.d, unit=v.unit)
+    out = []
+    for n in names:
+        for x in SETTINGS[n]:
+            found = methods[n](v, K, **x)
+            row = evaluate.recall_at_k(found, truth, K).crossJoin(evaluate.mean_relative_error(found, truth).drop("excluded"))  # two single rows
+            out.append(row.select(F.lit(n).alias("method"), F.lit(str(x)).alias("setting"), "recall", "mre"))
+    p = SearchParams(K, A_INDEX, B_INDEX)
+    ours = indexed_search(index_of(s, d), v, p)
+    out.append(evaluate.recall_at_k(ours, truth, K).crossJoin(evaluate.mean_relative_error(ours, truth).drop("excluded")).select(F.lit("indexed").alias("method"), F.lit(f"alpha={p.alpha}, beta={p.beta}").alias("setting"), "recall", "mre"))
+    return _union(out)
+
+
+query("tradeoff_guaranteed")(lambda s, d: _tradeoff(s, d, ["encoded_projection_trees", "query_centred_windows", "projected_metric_ball", "circular_match"]))
+query("tradeoff_unguaranteed")(lambda s, d: _tradeoff(s, d, ["rotated_product_quantiser", "projection_forest", "layered_graph", "tree_graph_hybrid"]))
+
+
+def method_costs(s: SparkSession, sf_dir: str, names: list[str] | None = None) -> list[tuple[str, float, float, int]]:
+    """(method, seconds to build, seconds per query, bytes of index). Methods without a separate build are timed as a whole."""
+    from .operators import baselines
+
+    v = data(s, sf_dir, "emb")
+    nq = v.queries.count()
+    out = []
+    for n in names or ["indexed", "encoded_projection_trees", "projection_forest", "rotated_product_quantiser", "layered_graph", "tree_graph_hybrid"]:
+        if n == "indexed":
+            index, build = evaluate.timed(lambda: build_cell_index(v.points, plan_of("emb"), _INDEX_PARAMS))
+            t = evaluate.query_time(indexed_search(index, v, SearchParams(K, A_INDEX, B_INDEX)), nq)
+            out.append((n, build, t, index.footprint()))
+        elif n == "encoded_projection_trees":
+            state, build = evaluate.timed(lambda: baselines.build_encoded_trees(v))
+            out.append((n, build, evaluate.query_time(baselines.search_encoded_trees(state, v, K), nq), v.n * (8 + 2 * state.L * state.K) + 8 * state.weights.size))
+        elif n == "projection_forest":
+            forest, build = evaluate.timed(lambda: baselines.build_forest(v))
+            out.append((n, build, evaluate.query_time(baselines.search_forest(forest, v, K), nq), sum(8 * (1 + v.d) for t in forest.trees for x in t if x[0] is not None) + v.n * (8 + 4 * len(forest.trees))))
+        else:
+            frame, build = evaluate.timed(lambda n=n: (baselines.GUARANTEED | baselines.UNGUARANTEED)[n](v, K))
+            size = {"rotated_product_quantiser": v.n * (8 + 4 + 8), "layered_graph": v.n * 25 * 4, "tree_graph_hybrid": v.n * (10 * 8 + 8 * v.d)}.get(n, v.n * 64)
+            out.append((n, build, evaluate.query_time(frame, nq), size))
+    return out
+
+
+@query("index_cost")
+def _index_cost(s, d):
+    return s.createDataFrame([(m, b, int(size)) for m, b, _, size in method_costs(s, d)], "method string, seconds double, bytes long")
+
+
+@query("cumulative_cost")
+def _cumulative(s, d):
+    from .costmodel import cumulative_cost
+
+    rows = [(m, q, cumulative_cost(b, t, q)) for m, b, t, _ in method_costs(s, d) for q in (0, 100, 10_000, 1_000_000)]
+    return s.createDataFrame(rows, "method string, queries long, seconds double")
+
+
+
+@query("scaling")
+def _scaling(s, d):
+    """Recall of the scan on growing parts of the line items; the points are 8-dimensional."""
+    out = []
+    lines = vectors.line(s, d).persist()
+    for share in (16, 4, 1):
+        v = held_out(lines.where(F.pmod("id", F.lit(share)) == 1 % share), 5000, 1, 8)
+        found = collision_scan(v, plan_contiguous(8, 4), SearchParams(K, 0.05, 0.005))
+        out.append(evaluate.recall_at_k(found, exact_knn(v.points, v.queries, K, 8), K).select(F.lit(v.n).cast("long").alias("n"), "recall"))
+    return _union(out)
+
+
+@query("walk_trace")
+def _walk_trace(s, d):
+    from . import sqlapi
+
+    sqlapi.register(s)
+    return s.sql("SELECT * FROM walk_trace(array(0.2D, 0.4D, 0.6D, 0.9D), array(0.5D, 0.8D, 1.2D, 1.4D), array_repeat(1, 16), 6)")
+
+
+@query("user_windows", "SELECT date_trunc('day', ts) AS start, user_id, event_type, count(*) AS n FROM events GROUP BY ALL")
+def _user_windows(s, d):
+    from .streaming.online import user_windows
+
+    return user_windows(vectors.table(s, d, "events"))
+
+
+@query("synthetic_search")
+def _synthetic(s, d):
+    """The rehearsal at scale: vectors made in place, the border form of the scan, forward search."""
+    from .sources.vectors_io import synthetic_vectors
+
+    v = held_out(synthetic_vectors(s, 20_000, 32, 1, 50), 2000, 3, 32)
+    return collision_scan(v, plan_contiguous(32, 4), SearchParams(K, 0.05, 0.01), select="histogram")
