@@ -123,6 +123,7 @@ def _classify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         out, _, _ = _runs(held, company, last=True)
         if out is not None:
             yield out
+    common.trim()
 
 
 def _runs(c: dict[str, np.ndarray], company: bool, last: bool):

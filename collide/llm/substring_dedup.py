@@ -58,6 +58,7 @@ def _anchors(window: int):
             h = hashes(at, at + width)
             ctx = common.mix(hashes(begin[d] + lo, begin[d] + hi + window) + (p - lo).astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15))
             yield settle(h, ctx & CTX_BITS, b.column("key").to_numpy()[d], lo, hi)
+        common.trim()
 
     return find
 

@@ -27,8 +27,8 @@ from .repeats import ANCHORS, CTX_BITS, MARK, OPEN, REP, RangeHash, classify, me
 
 LENGTH = 200
 GRAM = 32
-#: Bytes of texts hashed at a time, and of contexts refined at a time.
-CHUNK, BLOCK = 1 << 18, 1 << 22
+#: Bytes of texts hashed at a time, of contexts refined at a time, and of the largest run of one anchor refined whole.
+CHUNK, BLOCK, RUN = 1 << 18, 1 << 20, 1 << 22
 
 _CODES = common.mix(np.arange(1, 257, dtype=np.uint64) * np.uint64(0xA0761D6478BD642F))
 
@@ -82,6 +82,7 @@ def _anchors(length: int, gram: int):
                 found.append(_chunk_anchors(data, keys, length, gram))
             if found:
                 yield settle(*(np.concatenate(x) for x in zip(*found, strict=True)))
+        common.trim()
 
     return find
 
@@ -114,45 +115,46 @@ def _contexts(length: int):
 
 def refine(data: np.ndarray, room: np.ndarray, length: int) -> np.ndarray:
     """Bucket pointer of each position: equal for positions whose next `length` bytes agree; -1 where fewer are left (room)."""
-    n, gram = len(data), 8
-    if length < gram:
-        gram = 1
-    # initial buckets: the next eight bytes as one number
+    n = len(data)
+    gram = 8 if length >= 8 else 1
+    # initial buckets: the next bytes as one number
     code = np.zeros(n, dtype=np.uint64)
     for k in range(gram):
         code[: n - k] |= data[k:].astype(np.uint64) << np.uint64(8 * (gram - 1 - k))
-    live = np.flatnonzero(room >= gram)
-    pointer = np.full(n, -1, dtype=np.int64)
-    order = np.argsort(code[live], kind="stable")
-    live = live[order]
-    live = _point(pointer, live, code[live])
+    pointer = np.full(n, -1, dtype=np.int32)
+    live = np.flatnonzero(room >= gram).astype(np.int32)
+    code = code[live]
+    live = _point(pointer, live, code)
+    del code
     depth = gram
     while depth < length and len(live):
         step = min(depth, length - depth)
         live = live[room[live] >= depth + step]
         # members of one bucket are told apart by the pointers `step` further on
-        key = (pointer[live].astype(np.uint64) << np.uint64(32)) | (pointer[live + step] + 1).astype(np.uint64)
-        order = np.argsort(key, kind="stable")
-        live, key = live[order], key[order]
-        before = pointer
-        pointer = np.where(room >= depth + step, before, -1)
+        key = pointer[live].astype(np.uint64)
+        key <<= np.uint64(32)
+        key |= pointer[live + step].astype(np.uint64)
+        pointer[room < depth + step] = -1
         live = _point(pointer, live, key)
         depth += step
     return pointer
 
 
 def _point(pointer: np.ndarray, live: np.ndarray, key: np.ndarray) -> np.ndarray:
-    """Write the place of each bucket's first member as the pointer of all its members; return members of buckets of several."""
+    """Sort members by key, write each new bucket's first member as the pointer of all its members, and return the members of
+    buckets of several. A bucket is named by a member's position, so names never clash with those of settled buckets."""
     if not len(live):
         return live
+    order = np.argsort(key)  # members of equal key may come in any order
+    live = live[order]
+    key = key[order]
+    del order
     new = np.ones(len(live), dtype=bool)
     new[1:] = key[1:] != key[:-1]
     at = np.flatnonzero(new)
     size = np.diff(np.append(at, len(live)))
-    run = np.cumsum(new) - 1
-    # a bucket is named by its first member's position, so names never clash with those of settled buckets
-    pointer[live] = live[at][run]
-    return live[size[run] > 1]
+    pointer[live] = np.repeat(live[at], size)
+    return live[np.repeat(size > 1, size)]
 
 
 def _block(rows: list[tuple], length: int) -> pa.RecordBatch:
@@ -160,12 +162,12 @@ def _block(rows: list[tuple], length: int) -> pa.RecordBatch:
     raw = [r[4] for r in rows]
     sizes = np.array([len(x) for x in raw], dtype=np.int64)
     begin = np.cumsum(sizes) - sizes
-    which = np.repeat(np.arange(len(raw)), sizes)
-    room = (begin + sizes)[which] - np.arange(len(which))
+    which = np.repeat(np.arange(len(raw), dtype=np.int32), sizes)
+    room = (begin + sizes).astype(np.int32)[which]
+    room -= np.arange(len(which), dtype=np.int32)
     pointer = refine(np.frombuffer(b"".join(raw), dtype=np.uint8), room, length)
     at = np.flatnonzero(room >= length)
-    _, inverse, count = np.unique(pointer[at], return_inverse=True, return_counts=True)
-    at = at[count[inverse] > 1]
+    at = at[np.bincount(pointer[at], minlength=1)[pointer[at]] > 1]
     w = which[at]
     lo = np.array([r[2] for r in rows], dtype=np.int64)[w] + at - begin[w]
     key, lo, hi = merge_ranges(np.array([r[1] for r in rows], dtype=np.int64)[w], lo, lo)
@@ -200,11 +202,13 @@ def _refine_blocks(length: int):
                         whole_bytes += run_bytes
                         if whole_bytes >= BLOCK:
                             yield _block(whole, length)
+                            if whole_bytes > 2 * BLOCK:
+                                common.trim()
                             whole, whole_bytes = [], 0
                     run, run_bytes, cut = [], 0, False
                 run.append(row)
                 run_bytes += len(row[4])
-                if run_bytes >= BLOCK:
+                if run_bytes >= RUN:
                     yield _named(run[:-1] or run, length)
                     run = run[-1:] if len(run) > 1 else []
                     run_bytes, cut = sum(len(r[4]) for r in run), True
@@ -216,6 +220,7 @@ def _refine_blocks(length: int):
             whole += run
         if whole:
             yield _block(whole, length)
+        common.trim()
 
     return go
 
