@@ -32,15 +32,21 @@ def answer(index: CellIndex, points: DataFrame, queries: DataFrame, params: Sear
     return queries.writeStream.foreachBatch(each).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
 
 
+def _timed(events: DataFrame, late: str) -> DataFrame:
+    """Event times as instants, with a watermark where the table is a stream."""
+    e = events.withColumn("ts", F.col("ts").cast("timestamp"))
+    return e.withWatermark("ts", late) if events.isStreaming else e
+
+
 def user_windows(events: DataFrame, late: str = "1 hour", size: str = "1 day", slide: str | None = None) -> DataFrame:
     """start, user_id, event_type, n per window; rows later than the watermark are dropped. Batch tables give the same rows."""
     w = F.window("ts", size, slide) if slide else F.window("ts", size)
-    e = events.withWatermark("ts", late) if events.isStreaming else events
+    e = _timed(events, late)
     return e.groupBy(w.alias("w"), "user_id", "event_type").agg(F.count(F.lit(1)).alias("n")).select(F.col("w.start").alias("start"), "user_id", "event_type", "n")
 
 
 def user_sessions(events: DataFrame, gap: str = "30 minutes", late: str = "1 hour") -> DataFrame:
-    e = events.withWatermark("ts", late) if events.isStreaming else events
+    e = _timed(events, late)
     return e.groupBy(F.session_window("ts", gap).alias("w"), "user_id").agg(F.count(F.lit(1)).alias("n")).select(F.col("w.start").alias("start"), F.col("w.end").alias("end"), "user_id", "n")
 
 
@@ -63,7 +69,7 @@ def running_counts(events: DataFrame) -> DataFrame:
 
 def once(events: DataFrame) -> DataFrame:
     """Each event once, within the watermark."""
-    return events.withWatermark("ts", "1 hour").dropDuplicatesWithinWatermark(["event_id"])
+    return _timed(events, "1 hour").dropDuplicatesWithinWatermark(["event_id"])
 
 
 def drifted(index: CellIndex, new_sizes: DataFrame, limit: float = 4.0) -> bool:
