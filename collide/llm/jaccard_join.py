@@ -29,8 +29,6 @@ from .repeats import RangeHash
 RUN = 1 << 18
 #: Bytes of sets compared in one go; larger blocks are dealt in tiles, each pair of tiles a unit of work.
 TILE_BYTES = 24 << 20
-#: Groups of tokens that are counted, the dimensions of the points.
-DIMS = 64
 _K = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -54,10 +52,12 @@ class Plan:
         return np.searchsorted(self.bounds, n, side="right") - 1
 
     def groups(self, level: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Number of groups, and how many empty ones a set may leave unnamed, at a level whose larger sets are of that class."""
+        """Number of groups, and the spare ones among them, at a level whose larger sets are of that class. Linked sets differ in
+        at most `differ` tokens, so at least one group more than `spare` is equal in both. A set leaves its empty groups unnamed
+        if they are no more than `spare`; it then shares at least one more than the rest of `spare` with each set it links with."""
         most = 2 * (self.bounds[level + 1] - 1)
         differ = most * (self.den - self.num) // (self.den + self.num)
-        spare = np.where(differ > 0, 1 + differ // 50, 0)
+        spare = np.where(differ > 0, 1 + differ * 15 // 100, 0)
         return differ + 1 + spare, spare
 
     def need(self, a, b):
@@ -94,20 +94,24 @@ def _set_keys(doc: np.ndarray, h: np.ndarray, docs: int) -> tuple[np.ndarray, np
     return common.mix(total + n.astype(np.uint64) * _K), n
 
 
-_ROWS = "sig long, setkey long, n int, doc_id long"
-_NAMES = ["sig", "setkey", "n", "doc_id"]
+#: Rows of documents have n below zero (minus one, minus the set's size), their key as sig, and their id as extra. Rows of named
+#: groups have as extra twice the least number of shared groups of a link at this level, plus one at the upper level.
+_ROWS = "sig long, setkey long, n int, extra long"
+_NAMES = ["sig", "setkey", "n", "extra"]
+_FOUND = "block long, setkey long, n int, extra long, times int"
 
 
-def _rows(sig, setkey, n, doc_id=None) -> pa.RecordBatch:
-    ids = pa.nulls(len(sig), pa.int64()) if doc_id is None else doc_id
-    return pa.RecordBatch.from_arrays([pa.array(sig, pa.int64()), pa.array(setkey, pa.int64()), pa.array(n, pa.int32()), ids], _NAMES)
+def _rows(*columns) -> pa.RecordBatch:
+    kinds = (pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.int32())[: len(columns)]
+    names = _NAMES if len(columns) == 4 else ["block", "setkey", "n", "extra", "times"]
+    return pa.RecordBatch.from_arrays([x if isinstance(x, pa.Array) else pa.array(x, t) for x, t in zip(columns, kinds, strict=True)], names)
 
 
 def _signatures(plan: Plan):
-    """Rows of documents (n below zero: minus one, minus its size) and of the named groups of each distinct set."""
+    """Rows of documents and of the named groups of each distinct set."""
 
-    def named(doc: np.ndarray, h: np.ndarray, n: np.ndarray, level: np.ndarray, which: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Names of the groups, at `level`, of the sets `which`."""
+    def named(doc: np.ndarray, h: np.ndarray, n: np.ndarray, level: np.ndarray, which: np.ndarray) -> tuple[np.ndarray, ...]:
+        """Names of the groups, at `level`, of the sets `which`; their sets; and how many a link of theirs shares at least."""
         groups, spare = plan.groups(level)
         at = np.cumsum(groups) - groups
         place = np.full(len(n), -1, dtype=np.int64)
@@ -122,9 +126,10 @@ def _signatures(plan: Plan):
         owner = np.repeat(np.arange(len(which)), groups)
         empties = np.bincount(owner[empty], minlength=len(which))
         go = ~empty | (empties > spare)[owner]
+        least = 1 + np.maximum(spare - empties, 0)
         inside = np.arange(total) - at[owner]
         name = common.mix(content + common.mix((inside + (level[owner] << 40)).astype(np.uint64) + _K))
-        return name[go], which[owner[go]]
+        return name[go], which[owner[go]], least[owner[go]]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -137,75 +142,80 @@ def _signatures(plan: Plan):
             one = one[n[one] > 0]
             level = plan.level(n[one])
             upper = plan.den * n[one] >= plan.num * plan.bounds[level + 1]
-            for lv, which in ((level, one), (level[upper] + 1, one[upper])):
-                name, owner = named(doc, h, n, lv, which)
-                yield _rows(common.signed(name), common.signed(key[owner]), n[owner])
+            for up, lv, which in ((0, level, one), (1, level[upper] + 1, one[upper])):
+                name, owner, least = named(doc, h, n, lv, which)
+                yield _rows(common.signed(name), common.signed(key[owner]), n[owner], 2 * least + up)
 
     return run
 
 
 def _blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Sorted by sig and set: runs of several sets become blocks, named by their members, so equal blocks get equal names."""
-    seen: set[int] = set()
-    held: tuple[np.ndarray, np.ndarray, np.ndarray] | None = None
-    streaming: int | None = None  # a run longer than RUN goes on under its own name
-
-    def close(sig: np.ndarray, key: np.ndarray, n: np.ndarray):
-        """Complete runs."""
+    """Sorted by sig and set: runs of several sets become blocks, named by their members, so that equal blocks get equal names;
+    `times` counts them. A run longer than RUN goes on under its own name, so nothing unbounded is held."""
+    held: list[np.ndarray] | None = None
+    streaming: int | None = None
+    kept: list[tuple] = []
+
+    def close(c: list[np.ndarray]) -> tuple | None:
+        """Blocks of complete runs."""
+        sig, key = c[0], c[1]
         new = np.ones(len(sig), dtype=bool)
         new[1:] = sig[1:] != sig[:-1]
         distinct = new.copy()
         distinct[1:] |= key[1:] != key[:-1]
-        sig, key, n = sig[distinct], key[distinct], n[distinct]
-        new = new[distinct]
-        at = np.flatnonzero(new)
+        sig, key, n, extra = (x[distinct] for x in c)
+        at = np.flatnonzero(new[distinct])
         size = np.diff(np.append(at, len(sig)))
-        total = np.add.reduceat(common.mix(key.view(np.uint64) * _K), at) if len(at) else np.empty(0, dtype=np.uint64)
-        name = common.mix(total + size.astype(np.uint64)).view(np.int64)
-        take = size > 1
-        for i in np.flatnonzero(take):
-            x = int(name[i])
-            if x in seen:
-                take[i] = False
-            elif len(seen) < 1 << 20:
-                seen.add(x)
-        run = np.cumsum(new) - 1
-        go = take[run]
-        return _rows(name[run][go], key[go], n[go]) if go.any() else None
+        if not (size > 1).any():
+            return None
+        total = np.add.reduceat(common.mix(key.view(np.uint64) * _K), at)
+        name = np.repeat(common.mix(total + size.astype(np.uint64)).view(np.int64), size)
+        go = np.repeat(size > 1, size)
+        return name[go], key[go], n[go], extra[go]
+
+    def flush() -> pa.RecordBatch:
+        name, key, n, extra = (np.concatenate(x) for x in zip(*kept, strict=True))
+        kept.clear()
+        order = np.lexsort((extra, key, name))
+        name, key, n, extra = name[order], key[order], n[order], extra[order]
+        new = np.ones(len(name), dtype=bool)
+        new[1:] = (name[1:] != name[:-1]) | (key[1:] != key[:-1]) | (extra[1:] != extra[:-1])
+        at = np.flatnonzero(new)
+        return _rows(name[at], key[at], n[at], extra[at], np.diff(np.append(at, len(name))))
 
     for b in batches:
-        sig, key, n = (b.column(i).to_numpy(zero_copy_only=False) for i in range(3))
-        docs = n < 0
+        c = [b.column(i).to_numpy(zero_copy_only=False) for i in range(3)]
+        docs = c[2] < 0
         if docs.any():
-            yield b.filter(pa.array(docs))
-            sig, key, n = sig[~docs], key[~docs], n[~docs]
-        if streaming is not None and len(sig):
-            more = sig == streaming
+            d = b.filter(pa.array(docs))
+            yield _rows(d.column(0), d.column(1), d.column(2), d.column(3), np.zeros(d.num_rows))
+        c.append(b.column(3).fill_null(0).to_numpy(zero_copy_only=False))
+        c = [x[~docs] for x in c]
+        if streaming is not None and len(c[0]):
+            more = c[0] == streaming
             if more.any():
-                yield _rows(sig[more], key[more], n[more])
-                sig, key, n = sig[~more], key[~more], n[~more]
-            if len(sig):
+                kept.append(tuple(x[more] for x in c))
+                c = [x[~more] for x in c]
+            if len(c[0]):
                 streaming = None
-        if not len(sig):
-            continue
-        if held is not None:
-            sig, key, n = (np.concatenate(x) for x in zip(held, (sig, key, n), strict=True))
-        last = int(np.searchsorted(sig, sig[-1]))
-        held = None
-        if last:
-            out = close(sig[:last], key[:last], n[:last])
-            if out is not None:
-                yield out
-        tail = (sig[last:], key[last:], n[last:])
-        if len(tail[0]) > RUN:
-            yield _rows(*tail)
-            streaming = int(tail[0][0])
-        else:
-            held = tuple(x.copy() for x in tail)
-    if held is not None:
-        out = close(*held)
-        if out is not None:
-            yield out
+        if len(c[0]):
+            if held is not None:
+                c = [np.concatenate(x) for x in zip(held, c, strict=True)]
+            last = int(np.searchsorted(c[0], c[0][-1]))
+            held = None
+            if last and (out := close([x[:last] for x in c])):
+                kept.append(out)
+            if len(c[0]) - last > RUN:
+                kept.append(tuple(x[last:] for x in c))
+                streaming = int(c[0][-1])
+            else:
+                held = [x[last:].copy() for x in c]
+        if sum(len(k[0]) for k in kept) > RUN:
+            yield flush()
+    if held is not None and (out := close(held)):
+        kept.append(out)
+    if kept:
+        yield flush()
 
 
 _SETS = "setkey long, n int, counts binary, tokens binary"
@@ -225,9 +235,25 @@ def _sets(shingle: int):
     return run
 
 
+def dims_for(n: int) -> int:
+    """Groups that are counted, the dimensions of a point: a power of two with one to two tokens a group."""
+    return min(1 << 16, max(16, 1 << max(0, (int(n) - 1) // 2).bit_length()))
+
+
 def count_vector(tokens: np.ndarray) -> np.ndarray:
-    """How many of a set's tokens fall into each of DIMS groups."""
-    return np.bincount((common.mix(tokens) % np.uint64(DIMS)).astype(np.int64), minlength=DIMS).astype(np.uint32)
+    """How many of a set's tokens fall into each group; groups are split further until a count fits a byte."""
+    dims = dims_for(len(tokens))
+    while True:
+        out = np.bincount((common.mix(tokens) & np.uint64(dims - 1)).astype(np.int64), minlength=dims)
+        if out.max(initial=0) < 256:
+            return out.astype(np.uint8)
+        dims *= 2
+
+
+def points_of(counts: list[np.ndarray]) -> np.ndarray:
+    """Points of one number of dimensions: groups are numbered by low bits, so finer counts fold into coarser ones."""
+    dims = min(map(len, counts))
+    return np.stack([c if len(c) == dims else c.reshape(-1, dims).sum(axis=0, dtype=np.uint16) for c in counts]).astype(np.uint16)
 
 
 class CountTree:
@@ -235,7 +261,7 @@ class CountTree:
 
     def __init__(self, points: np.ndarray, n: np.ndarray, plan: Plan):
         self.plan, self.n = plan, n.astype(np.int64)
-        self.points = points.astype(np.int32)
+        self.points = points
         leaf = max(8, int(len(n) ** 0.5))
         order = np.lexsort((self.points[:, 0], self.n))
         # sort-tile: slices by size, then by the coordinate that varies most within the slice
@@ -251,11 +277,11 @@ class CountTree:
     def near(self, i: int) -> np.ndarray:
         """Points whose bound on the overlap with point i allows a link, the most promising first."""
         p, n = self.points[i], int(self.n[i])
-        boxes = np.flatnonzero(np.minimum(self.upper, p).sum(axis=1) >= self.plan.need(self.least, n))
+        boxes = np.flatnonzero(np.minimum(self.upper, p).sum(axis=1, dtype=np.int64) >= self.plan.need(self.least, n))
         if not len(boxes):
             return boxes
         found = np.concatenate([self.leaves[x] for x in boxes])
-        bound = np.minimum(self.points[found], p).sum(axis=1)
+        bound = np.minimum(self.points[found], p).sum(axis=1, dtype=np.int64)
         ok = bound >= self.plan.need(self.n[found], n)
         found, bound = found[ok], bound[ok]
         return found[np.argsort(-bound, kind="stable")]
@@ -271,7 +297,7 @@ def spanning_links(sets: list[np.ndarray], group: list[int], side: list[int] | N
             g = root[g]
         return g
 
-    tree = CountTree(np.stack([count_vector(x) for x in sets]), np.array([len(x) for x in sets]), plan)
+    tree = CountTree(points_of([count_vector(x) for x in sets]), np.array([len(x) for x in sets]), plan)
     links = []
     apart = len(root)
     for i in range(len(sets)):
@@ -324,23 +350,26 @@ def _verify(plan: Plan):
     return lambda batches: _by_unit(["a", "b"], unit, batches)
 
 
-def _near(plan: Plan):
-    """Sets of different components whose counts allow a link, named by the two components."""
+def _near(plan: Plan, best: bool):
+    """Sets of different components whose counts allow a link, named by the two components. With `best` each set names only the
+    most promising other set of its block."""
 
     def unit(rows: list[tuple]) -> list[tuple]:
         group = np.array([r[3] for r in rows], dtype=np.int64)
         if (group == group[0]).all():
             return []
         n = np.array([r[6] for r in rows], dtype=np.int64)
-        tree = CountTree(np.stack([np.frombuffer(r[7], dtype=np.uint32) for r in rows]), n, plan)
+        tree = CountTree(points_of([np.frombuffer(r[7], dtype=np.uint8) for r in rows]), n, plan)
         tile, apart = np.array([r[5] for r in rows]), rows[0][1] != rows[0][2]
         out: set[tuple] = set()
         for x in range(len(rows)):
             y = tree.near(x)
-            y = y[(group[y] < group[x]) & ((tile[y] != tile[x]) | (not apart))]
-            for g in np.unique(group[y]).tolist():
-                out.add((g, int(group[x]), rows[x][4], rows[x][6]))
-            out.update((int(group[k]), int(group[x]), rows[k][4], rows[k][6]) for k in y.tolist())
+            y = y[(group[y] != group[x]) & ((tile[y] != tile[x]) | (not apart))]
+            y = y[:1] if best else y[group[y] < group[x]]
+            for k in y.tolist():
+                pair = (min(int(group[k]), int(group[x])), max(int(group[k]), int(group[x])))
+                out.add((*pair, rows[x][4], rows[x][6]))
+                out.add((*pair, rows[k][4], rows[k][6]))
         return list(out)
 
     return lambda batches: _by_unit(["lo", "hi", "setkey", "n"], unit, batches)
@@ -369,10 +398,10 @@ def _links(members: DataFrame, sets: DataFrame, groups: DataFrame | None, plan:
     return common.materialise(_sorted_units(units).mapInArrow(_verify(plan), "a long, b long"))
 
 
-def _pairs_of_groups(members: DataFrame, sets: DataFrame, groups: DataFrame, plan: Plan) -> DataFrame:
+def _pairs_of_groups(members: DataFrame, sets: DataFrame, groups: DataFrame, plan: Plan, best: bool) -> DataFrame:
     """block, setkey, n: per pair of components that may link, the sets that may do it. Counts alone are sent, not sets."""
-    units = _units(members, groups, f"{4 * DIMS + 64}L").join(sets.select("setkey", "n", "counts"), "setkey").select("block", "i", "j", "grp", "setkey", "tile", "n", "counts")
-    near = _sorted_units(units).mapInArrow(_near(plan), "lo long, hi long, setkey long, n long").distinct()
+    units = _units(members, groups, "n + 96L").join(sets.select("setkey", "n", "counts"), "setkey").select("block", "i", "j", "grp", "setkey", "tile", "n", "counts")
+    near = _sorted_units(units).mapInArrow(_near(plan, best), "lo long, hi long, setkey long, n long").distinct()
     return common.materialise(near.select(F.xxhash64("lo", "hi").alias("block"), "setkey", "n"))
 
 
@@ -382,25 +411,33 @@ def linked(docs: DataFrame, shingle: int = 5, num: int = 80, den: int = 100) ->
     common.ship(spark)
     plan = Plan(shingle, num, den)
     k = common.keyed(docs).withColumn("doc_id", F.col("doc_id").cast("long"))
-    met = common.materialise(k.mapInArrow(_signatures(plan), _ROWS).repartition("sig").sortWithinPartitions("sig", "setkey").mapInArrow(_blocks, _ROWS))
-    rows = met.where("n < 0").select("doc_id", F.col("sig").alias("key"), "setkey", (-1 - F.col("n")).cast("long").alias("n_shingles"))
-    blocks = common.materialise(met.where("n >= 0").groupBy(F.col("sig").alias("block"), "setkey").agg(F.max("n").alias("n")))
+    met = common.materialise(k.mapInArrow(_signatures(plan), _ROWS).repartition("sig").sortWithinPartitions("sig", "setkey").mapInArrow(_blocks, _FOUND))
+    rows = met.where("n < 0").select(F.col("extra").alias("doc_id"), F.col("block").alias("key"), "setkey", (-1 - F.col("n")).cast("long").alias("n_shingles"))
+    # a link shares many groups: sets that share fewer with all others together have none
+    shared = met.where("n >= 0").groupBy("setkey", "extra").agg(F.sum("times").alias("all")).where(F.col("all") >= F.shiftright("extra", 1)).select("setkey", "extra")
+    able = met.where("n >= 0").join(shared, ["setkey", "extra"], "left_semi").groupBy("block", "setkey").agg(F.max("n").alias("n"))
+    able = common.materialise(able)
+    several = able.groupBy("block").agg(F.count(F.lit(1)).alias("members")).where("members > 1").select("block")
+    blocks = common.materialise(able.join(several, "block", "left_semi"))
 
     # the sets that meet any other, each once
     active = blocks.select("setkey").distinct()
     chosen = rows.join(active, "setkey", "left_semi").groupBy("setkey").agg(F.min("key").alias("key")).select("key")
     sets = common.materialise(k.join(chosen, "key", "left_semi").select("text").mapInArrow(_sets(shingle), _SETS).dropDuplicates(["setkey"]))
 
-    # First each set in its largest block: that connects most copies at the cost of one set each. Blocks that still hold
-    # several components are searched by counts, and each pair of components that may link is verified once.
+    # Three passes, each of which leaves less to the next. Each set in its largest block connects most copies at the cost of one
+    # set each. Then every set tries its most promising partner in each block that still holds several components: variants of
+    # one text meet the text. The last pass verifies every pair of components whose counts allow a link, each pair once.
     sizes = blocks.groupBy("block").agg(F.count(F.lit(1)).alias("members"))
     largest = blocks.join(sizes, "block").groupBy("setkey", "n").agg(F.max(F.struct("members", "block")).alias("m")).select(F.col("m.block").alias("block"), "setkey", "n")
     links = _links(largest, sets, None, plan)
     groups = components(links)
-    tagged = blocks.join(groups.select(F.col("node").alias("setkey"), "component"), "setkey", "left").withColumn("grp", F.coalesce("component", "setkey"))
-    mixed = tagged.groupBy("block").agg(F.min("grp").alias("lo"), F.max("grp").alias("hi")).where("lo <> hi").select("block")
-    more = _links(_pairs_of_groups(blocks.join(mixed, "block", "left_semi"), sets, groups, plan), sets, groups, plan)
-    groups = components(links.unionByName(more))
+    for best in (True, False):
+        tagged = blocks.join(groups.select(F.col("node").alias("setkey"), "component"), "setkey", "left").withColumn("grp", F.coalesce("component", "setkey"))
+        mixed = tagged.groupBy("block").agg(F.min("grp").alias("lo"), F.max("grp").alias("hi")).where("lo <> hi").select("block")
+        pairs = _pairs_of_groups(blocks.join(mixed, "block", "left_semi"), sets, groups, plan, best)
+        links = links.unionByName(_links(pairs, sets, groups, plan))
+        groups = components(links)
 
     named = rows.join(groups.select(F.col("node").alias("setkey"), "component"), "setkey", "left").withColumn("class", F.coalesce("component", "setkey"))
     named = named.select("doc_id", "key", "n_shingles", "class")
