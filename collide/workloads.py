@@ -550,3 +550,47 @@ def _synthetic(s, d):
 
     v = held_out(synthetic_vectors(s, 20_000, 32, 1, 50), 2000, 3, 32)
     return collision_scan(v, plan_contiguous(32, 4), SearchParams(K, 0.05, 0.01), select="histogram")
+
+
+# --- relational operators around the search ---------------------------------------------------------------------------
+
+query("mean_relative_error", oracles.scan("emb", 25, 7, plan_of("emb"), 0.1, 0.05, K, "l2", GRID) + oracles.truth(K, "l2", GRID) + " SELECT round(avg(CASE WHEN t.distance > 0 THEN (r.distance - t.distance) / t.distance WHEN r.distance = 0 THEN 0.0 END), 6) AS mre, CAST(count(*) FILTER (WHERE t.distance = 0 AND r.distance > 0) AS BIGINT) AS excluded FROM result r JOIN truth t USING (qid, rank)")(
+    lambda s, d: evaluate.mean_relative_error(collision_scan(v := data(s, d, "emb"), plan_of("emb"), SearchParams(K, 0.1, 0.05)), exact_knn(v.points, v.queries, K, 64, unit=GRID))
+)
+query("recall_by_distance", oracles.scan("doc", 50, 3, plan_of("doc"), 0.1, 0.05, K) + oracles.truth(K) + f", lim AS (SELECT qid, max(distance) AS far FROM truth GROUP BY qid) SELECT CAST(count(*) FILTER (WHERE distance <= far) AS DOUBLE) / ((SELECT count(DISTINCT qid) FROM q) * {K}) AS recall FROM result JOIN lim USING (qid)")(
+    lambda s, d: evaluate.recall_by_distance(collision_scan(v := data(s, d, "doc"), plan_of("doc"), SearchParams(K, 0.1, 0.05)), exact_knn(v.points, v.queries, K, 64), K)
+)
+query("train_sample", "SELECT vec_id AS id FROM embeddings WHERE CAST(('0x' || substr(md5('0:' || CAST(vec_id AS VARCHAR)), 1, 8)) AS BIGINT) < CAST(floor(least(1.0, 100.0 / (SELECT count(*) FROM embeddings)) * 4294967296) AS BIGINT)")(
+    lambda s, d: _train_sample(vectors.emb(s, d))
+)
+query("score_rank", oracles.base("emb", 25, 7, plan_of("emb")) + oracles.scores(oracles.ceil_share(0.1)) + " SELECT qid, id, score, dense_rank() OVER (PARTITION BY qid ORDER BY score DESC) AS class, CAST(ntile(4) OVER (PARTITION BY qid ORDER BY score DESC, id) AS INTEGER) AS quarter FROM scores")(
+    lambda s, d: scan_scores((v := data(s, d, "emb")).points, v.queries, plan_of("emb"), share_of(0.1, v.n), select="rank")
+    .withColumn("class", F.dense_rank().over(Window.partitionBy("qid").orderBy(F.col("score").desc())).cast("long"))
+    .withColumn("quarter", F.ntile(4).over(Window.partitionBy("qid").orderBy(F.col("score").desc(), "id")))
+)
+query("distinct_candidates", oracles.base("emb", 25, 7, plan_of("emb")) + oracles.scores(oracles.ceil_share(0.05)) + " SELECT qid, count(DISTINCT id) AS candidates, count(*) AS collisions FROM hits GROUP BY qid")(
+    lambda s, d: subspace_collisions((v := data(s, d, "emb")).points, v.queries, plan_of("emb"), share_of(0.05, v.n), select="rank").groupBy("qid").agg(F.countDistinct("id").alias("candidates"), F.count(F.lit(1)).alias("collisions"))
+)
+query("volume_by_nation", "SELECT r_name, n_name, count(*) AS orders, round(sum(o_totalprice), 2) AS volume FROM orders JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey GROUP BY GROUPING SETS ((r_name, n_name), (r_name), ())")(
+    lambda s, d: _volume(s, d)
+)
+query("centroid_mean", f"WITH v AS ({oracles.VECTORS['emb'][1]}) SELECT label, CAST(dim AS INTEGER) AS dim, CAST(sum(x) AS DOUBLE) / count(*) AS mean FROM v JOIN embeddings e ON e.vec_id = v.id GROUP BY ALL")(
+    lambda s, d: vectors.emb_grid(s, d).join(vectors.table(s, d, "embeddings").select(F.col("vec_id").alias("id"), "label"), "id").select("label", F.posexplode("vec").alias("dim", "x")).groupBy("label", "dim").agg((F.sum("x") / F.count(F.lit(1))).alias("mean"))
+)
+
+
+def _train_sample(points: DataFrame) -> DataFrame:
+    from .operators.clustering import train_sample
+
+    return train_sample(points, 100).select("id")
+
+
+def _volume(s, d) -> DataFrame:
+    t = lambda n: vectors.table(s, d, n)
+    j = t("orders").join(t("customer"), F.col("o_custkey") == F.col("c_custkey")).join(t("nation"), F.col("c_nationkey") == F.col("n_nationkey")).join(t("region"), F.col("n_regionkey") == F.col("r_regionkey"))
+    return j.rollup("r_name", "n_name").agg(F.count(F.lit(1)).alias("orders"), F.round(F.sum(F.col("o_totalprice").cast("decimal(18,2)")), 2).cast("double").alias("volume"))
+
+
+query("events_props", "SELECT event_type, CAST(props ->> '$.k' AS BIGINT) // 10 AS decile, count(*) AS n FROM events GROUP BY ALL")(
+    lambda s, d: vectors.table(s, d, "events").select("event_type", F.floor(F.from_json("props", "k long")["k"] / 10).alias("decile")).groupBy("event_type", "decile").agg(F.count(F.lit(1)).alias("n"))
+)
