@@ -5,7 +5,7 @@ from __future__ import annotations
 from math import e, sqrt
 from statistics import NormalDist
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .operators.collisions import exploded, part_distances
@@ -52,16 +52,20 @@ def answer_bound(k: int, n: int) -> float:
     return 1 - n**4 / (2 * (n + 1) ** 2 * (n + 2) * k * (n - k + 1))
 
 
-def ordering_agreement(scores: DataFrame, distances: DataFrame, pairs_of: int = 97) -> DataFrame:
-    """high, low, pairs, agreement: of pairs of points with scores high > low, the share whose distances agree.
-
-    Counted without forming pairs: distances are ranked per query within a sample of ids (id modulo pairs_of under 8)."""
-    s = scores.join(distances, ["qid", "id"]).where(F.pmod("id", F.lit(pairs_of)) < 8)
-    a = s.select("qid", F.col("score").alias("high"), F.col("dist").alias("da"))
-    b = s.select(F.col("qid").alias("q2"), F.col("score").alias("low"), F.col("dist").alias("db"))
-    j = a.join(b, (F.col("qid") == F.col("q2")) & (F.col("high") > F.col("low")))
-    g = j.groupBy("high", "low").agg(F.count(F.lit(1)).alias("pairs"), F.sum((F.col("da") < F.col("db")).cast("long")).alias("right"))
-    return g.select("high", "low", "pairs", (F.col("right") / F.col("pairs")).alias("agreement"))
+def ordering_agreement(scores: DataFrame, distances: DataFrame, n_sub: int) -> DataFrame:
+    """high, low, pairs, agreement: of all pairs of points with scores high > low, the share whose distances agree.
+
+    No pair is formed: per query, points of each score that lie farther away are a running count over distances."""
+    j = scores.join(distances, ["qid", "id"])
+    levels = range(n_sub + 1)
+    at = j.groupBy("qid", "dist").agg(*[F.sum((F.col("score") == k).cast("long")).alias(f"c{k}") for k in levels])
+    w = Window.partitionBy("qid").orderBy(F.col("dist").desc()).rowsBetween(Window.unboundedPreceding, -1)
+    run = at.select("*", *[F.coalesce(F.sum(f"c{k}").over(w), F.lit(0)).alias(f"f{k}") for k in levels])
+    both = [(h, lo) for h in levels for lo in range(h)]
+    per = run.groupBy("qid").agg(*[F.sum(f"c{k}").alias(f"n{k}") for k in levels], *[F.sum(F.col(f"c{h}") * F.col(f"f{lo}")).alias(f"r{h}_{lo}") for h, lo in both])
+    rows = F.array(*[F.struct(F.lit(h).alias("high"), F.lit(lo).alias("low"), (F.col(f"n{h}") * F.col(f"n{lo}")).alias("pairs"), F.col(f"r{h}_{lo}").alias("right")) for h, lo in both])
+    g = per.select(F.explode(rows).alias("x")).groupBy("x.high", "x.low").agg(F.sum("x.pairs").alias("pairs"), F.sum("x.right").alias("right"))
+    return g.where("pairs > 0").select("high", "low", "pairs", (F.col("right") / F.col("pairs")).alias("agreement"))
 
 
 def answered_share(result: DataFrame, truth: DataFrame, k: int) -> DataFrame:

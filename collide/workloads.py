@@ -197,12 +197,12 @@ query("subspace_moments", oracles.base("demand", 100, 1, plan_of("demand")) + "
 )
 
 
-@query("ordering_agreement", oracles.base("doc", 50, 3, plan_of("doc")) + oracles.scores(oracles.ceil_share(0.05)) + """, x AS (SELECT qid, id, score, dist FROM scores JOIN whole USING (qid, id) WHERE id % 97 < 8)
+@query("ordering_agreement", oracles.base("doc", 50, 3, plan_of("doc")) + oracles.scores(oracles.ceil_share(0.05)) + """, x AS (SELECT qid, id, score, dist FROM scores JOIN whole USING (qid, id))
     SELECT a.score AS high, b.score AS low, count(*) AS pairs, CAST(count(*) FILTER (WHERE a.dist < b.dist) AS DOUBLE) / count(*) AS agreement FROM x a JOIN x b ON a.qid = b.qid AND a.score > b.score GROUP BY ALL""")
 def _agreement(s, d):
     v = data(s, d, "doc")
     scores = scan_scores(v.points, v.queries, plan_of("doc"), share_of(0.05, v.n))
-    return theory.ordering_agreement(scores, paired(v.points, v.queries).select("qid", "id", order_distance("vec", "qvec", 64).alias("dist")))
+    return theory.ordering_agreement(scores, paired(v.points, v.queries).select("qid", "id", order_distance("vec", "qvec", 64).alias("dist")), 8)
 
 
 @query("order_moments")
