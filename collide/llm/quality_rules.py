@@ -21,9 +21,7 @@ from pyspark.sql import functions as F
 from . import common
 
 SYMBOLS = "#*$%&|<>"
-_SPACES = " \t\n\x0b\x0c\r"
-_DROP_SYMBOLS = str.maketrans("", "", SYMBOLS)
-_DROP_SPACES = str.maketrans("", "", _SPACES)
+_SPACES, _SYMBOLS = b" \t\n\x0b\x0c\r", SYMBOLS.encode()
 WINDOW = 5
 
 
@@ -47,11 +45,12 @@ MIN_WORDS = 10
 
 def measure_text(text: str) -> tuple[int, ...]:
     """(words, word characters, symbols, repeated lines, words in repeated windows, lines, capitals, cased letters)."""
-    words = common.words_of(text)
-    seen: set[str] = set()
+    raw = text.encode("utf-8", "surrogatepass")
+    words = raw.split()
+    seen: set[bytes] = set()
     lines = dup = 0
-    for line in text.split("\n"):
-        if line and line.translate(_DROP_SPACES):
+    for line in raw.split(b"\n"):
+        if line and line.strip():
             lines += 1
             if line in seen:
                 dup += 1
@@ -63,11 +62,10 @@ def measure_text(text: str) -> tuple[int, ...]:
         starts = np.flatnonzero(counts[inverse] > 1)
         if len(starts):
             repeated = int(common.covered(starts, starts + WINDOW, len(words)).sum())
-    raw = text.encode("utf-8", "surrogatepass")
     ascii_bytes = np.frombuffer(raw, dtype=np.uint8)
     upper = int(((ascii_bytes >= 65) & (ascii_bytes <= 90)).sum())
     lower = int(((ascii_bytes >= 97) & (ascii_bytes <= 122)).sum())
-    return (len(words), len(text.translate(_DROP_SPACES)), len(text) - len(text.translate(_DROP_SYMBOLS)), dup, repeated, lines, upper, upper + lower)
+    return (len(words), len(text) - len(raw) + len(raw.translate(None, _SPACES)), len(raw) - len(raw.translate(None, _SYMBOLS)), dup, repeated, lines, upper, upper + lower)
 
 
 def _measure(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -104,9 +102,10 @@ def host_verdicts(measured: DataFrame, suspect: float = SUSPECT) -> DataFrame:
     # variance between hosts, less what sampling alone would give; strength = m(1-m)/v - 1
     between = F.greatest(F.col("v") - F.col("m") * (1 - F.col("m")) * F.col("noise"), F.lit(1e-6))
     strength = F.least(F.greatest(F.col("m") * (1 - F.col("m")) / between - 1, F.lit(2.0)), F.lit(1000.0))
-    prior = prior.select((F.col("m") * strength).alias("alpha"), ((1 - F.col("m")) * strength).alias("beta"))
-    shrunk = (F.col("n_failed") + F.col("alpha")) / (F.col("n_docs") + F.col("alpha") + F.col("beta"))
-    return hosts.crossJoin(F.broadcast(prior)).select("host", "n_docs", "n_failed", shrunk.alias("shrunk_rate"), (shrunk > suspect).alias("host_bad"))  # the prior is one row
+    fitted = prior.select("m", strength.alias("s")).first()  # two numbers; null without hosts
+    m, s = (fitted["m"], fitted["s"]) if fitted["m"] is not None else (0.5, 2.0)
+    shrunk = (F.col("n_failed") + F.lit(m * s)) / (F.col("n_docs") + F.lit(s))
+    return hosts.select("host", "n_docs", "n_failed", shrunk.alias("shrunk_rate"), (shrunk > suspect).alias("host_bad"))
 
 
 def judge(docs: DataFrame, host: str = "source", suspect: float = SUSPECT) -> DataFrame:
@@ -127,4 +126,4 @@ def keep_good(docs: DataFrame, host: str = "source") -> DataFrame:
 
 def op3_quality_rules(spark, sf_dir: str) -> DataFrame:
     judged = judge(spark.read.parquet(f"{sf_dir}/documents.parquet"))
-    return judged.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "shrunk_rate")
+    return judged.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", F.round("shrunk_rate", 6).alias("shrunk_rate"))
