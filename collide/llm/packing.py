@@ -1,7 +1,7 @@
 """Packing of token sequences by balanced attention cost.
 
 A document's cost is linear in its tokens plus quadratic for attention. Documents longer than a sequence give whole
-sequences first; what is left of each is taken in descending cost and given to the cheapest sequence with room. What fits
+sequences first; what is left of each is taken in descending cost and given to the cheapest of all sequences with room. What fits
 nowhere whole is cut to fill the room that is left, so nothing is padded: the last, smaller sequences of a batch have
 lengths that are powers of two. A task packs what it reads, a few million tokens at a time: no shuffle, and the same
 result when a lost task is run again.
@@ -29,8 +29,6 @@ END = 1
 BATCH_TOKENS = 1 << 21
 #: Weight of the quadratic part of the cost, against 1 for each token.
 ATTENTION = 1 / 1024
-#: Sequences tried for a document before it counts as one that fits nowhere whole.
-TRIES = 32
 
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
 
@@ -85,6 +83,46 @@ def cost(tokens: int, attention: float = ATTENTION) -> float:
     return tokens + attention * tokens * tokens
 
 
+class Rooms:
+    """Sequences by the room they have left. A tree of minima over rooms gives the cheapest of all with at least so much."""
+
+    NONE = (float("inf"), -1)
+
+    def __init__(self, largest: int):
+        self.width = 1 << largest.bit_length()
+        self.heaps: dict[int, list[tuple[float, int]]] = {}
+        self.least = [self.NONE] * (2 * self.width)
+
+    def _refresh(self, room: int) -> None:
+        i = room + self.width
+        self.least[i] = self.heaps[room][0] if self.heaps[room] else self.NONE
+        while i > 1:
+            i >>= 1
+            self.least[i] = min(self.least[2 * i], self.least[2 * i + 1])
+
+    def put(self, room: int, spent: float, s: int) -> None:
+        heapq.heappush(self.heaps.setdefault(room, []), (spent, s))
+        self._refresh(room)
+
+    def cheapest(self, room: int) -> tuple[float, int]:
+        """(cost, sequence), of equal costs the first sequence; NONE if no sequence has that room."""
+        i = room + self.width
+        found = self.least[i]
+        while i > 1:
+            if not i & 1:
+                found = min(found, self.least[i + 1])
+            i >>= 1
+        return found
+
+    def take(self, room: int) -> None:
+        """The cheapest sequence with exactly that room goes."""
+        heapq.heappop(self.heaps[room])
+        self._refresh(room)
+
+    def rest(self) -> list[tuple[float, int]]:
+        return [x for h in self.heaps.values() for x in h]
+
+
 def pack(lengths: list[int], capacity: int = CAPACITY, attention: float = ATTENTION) -> list[tuple[int, int, int, int, int]]:
     """(document, start, length, sequence, offset) of all pieces; sequences are numbered from 0 and left without padding."""
     out: list[tuple[int, int, int, int, int]] = []
@@ -102,24 +140,22 @@ def pack(lengths: list[int], capacity: int = CAPACITY, attention: float = ATTENT
     rest = total % capacity
     rooms += [1 << k for k in range(rest.bit_length() - 1, -1, -1) if rest >> k & 1]
     size = list(rooms)
-    heap = [(0.0, s) for s in range(len(rooms))]
+    open_rooms = Rooms(capacity)
+    for s, room in enumerate(rooms):
+        open_rooms.put(room, 0.0, s)
     tails.sort(key=lambda t: (-t[0], t[1]))
     homeless = []
     for n, i, start in tails:
-        passed = []
-        while heap and len(passed) < TRIES:
-            spent, s = heapq.heappop(heap)
-            if rooms[s] >= n:
-                out.append((i, start, n, number + s, size[s] - rooms[s]))
-                rooms[s] -= n
-                passed += [(spent + cost(n, attention), s)] if rooms[s] else []
-                break
-            passed.append((spent, s))
-        else:
+        spent, s = open_rooms.cheapest(n)
+        if s < 0:
             homeless.append((n, i, start))
-        for x in passed:
-            heapq.heappush(heap, x)
-    free = [s for _, s in sorted(heap, reverse=True)]  # the cheapest is at the end
+            continue
+        open_rooms.take(rooms[s])
+        out.append((i, start, n, number + s, size[s] - rooms[s]))
+        rooms[s] -= n
+        if rooms[s]:
+            open_rooms.put(rooms[s], spent + cost(n, attention), s)
+    free = [s for _, s in sorted(open_rooms.rest(), reverse=True)]  # the cheapest is at the end
     for n, i, start in homeless:
         while n:
             s = free[-1]

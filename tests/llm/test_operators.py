@@ -291,6 +291,33 @@ def test_packing_balances_cost():
     assert len(pieces) < len(lengths) + len(full)
 
 
+def test_packing_cuts_only_what_fits_nowhere():
+    """Replayed over all sequences: each tail goes to the cheapest of those with room, however many cheaper ones are full."""
+    rng = random.Random(11)
+    for lengths in ([1500] * 40 + [700] * 40 + [3] * 4_000, [int(rng.lognormvariate(5.5, 1.2)) + 1 for _ in range(1_500)]):
+        pieces = packing.pack(lengths)
+        whole, size = [], defaultdict(int)
+        for i, start, n, s, _ in pieces:
+            if n < packing.CAPACITY:
+                size[s] += n
+        by_tail = defaultdict(list)
+        for i, start, n, s, _ in pieces:
+            if start >= lengths[i] // packing.CAPACITY * packing.CAPACITY:
+                by_tail[i].append((n, s))
+        room, spent = dict(size), dict.fromkeys(size, 0.0)
+        for i in sorted(by_tail, key=lambda i: (-(lengths[i] % packing.CAPACITY), i)):
+            n = lengths[i] % packing.CAPACITY
+            fits = [s for s in room if room[s] >= n]
+            whole.append(len(by_tail[i]) == 1)
+            assert whole[-1] == bool(fits), (n, len(fits))
+            if fits:
+                s = by_tail[i][0][1]
+                assert s in fits and spent[s] == min(spent[x] for x in fits)
+                room[s] -= n
+                spent[s] += packing.cost(n)
+        assert sum(whole) > 0.9 * len(whole)
+
+
 def test_encoder_agrees_with_the_library():
     from tokenizers import Tokenizer
 
