@@ -73,6 +73,12 @@ def _search() -> str:
       SELECT query_id, CAST(rank AS INTEGER) AS rank, doc_id, score FROM (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY score DESC, doc_id) AS rank FROM s WHERE score > 0) WHERE rank <= {bm25_search.K}"""
 
 
+def _search_documents() -> str:
+    """The same search with whole documents as queries."""
+    asked = "SELECT item_id, unnest", "FROM benchmark WHERE item_id % 20 = 0"
+    return _search().replace("SELECT item_id AS query_id", "SELECT doc_id AS query_id").replace(asked[0], "SELECT doc_id, unnest").replace(asked[1], "FROM documents WHERE doc_id % 20 = 0")
+
+
 def _components() -> str:
     return f"""WITH RECURSIVE d AS (SELECT doc_id, {words(folded())} AS w FROM documents),
       s AS (SELECT DISTINCT doc_id, array_to_string(w[i:i + 3], ' ') AS s FROM d, unnest(range(1, greatest(len(w) - 3, 1) + 1)) AS r(i) WHERE len(w) > 0),
@@ -99,6 +105,7 @@ SQL = {
     "op2_line_dedup": _lines(),
     "op3_quality_rules": _quality(),
     "op6_bm25_topk": _search(),
+    "op6_bm25_topk_documents": _search_documents(),
     "op7_jaccard_join": _components(),
     "op8_substring_dedup": _substrings(),
 }

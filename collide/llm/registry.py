@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 from . import oracle_sql
-from .bm25_search import op6_bm25_topk
+from .bm25_search import op6_bm25_topk, op6_bm25_topk_documents
 from .jaccard_join import op7_jaccard_join
 from .line_dedup import op2_line_dedup
 from .neighbour_classifier import op10_quality_classifier
@@ -16,7 +16,7 @@ from .suffix_dedup import op5_suffix_dedup
 
 QUERIES = {
     f.__name__: f
-    for f in (op1_secret_scan, op2_line_dedup, op3_quality_rules, op4_sentencepiece, op5_suffix_dedup, op6_bm25_topk, op7_jaccard_join, op8_substring_dedup, op9_packing, op10_quality_classifier)
+    for f in (op1_secret_scan, op2_line_dedup, op3_quality_rules, op4_sentencepiece, op5_suffix_dedup, op6_bm25_topk_documents, op6_bm25_topk, op7_jaccard_join, op8_substring_dedup, op9_packing, op10_quality_classifier)
 }
 
 #: The others have no SQL; tests hold them against brute force, an exact round trip or held-out labels.

@@ -189,6 +189,38 @@ def test_bm25_prunes():
     assert scored < 500
 
 
+def test_bm25_documents_as_queries(docs, spark, monkeypatch):
+    """Whole documents ask, in several blocks and passes; both ways through the lists give the plain loops' rows."""
+    queries = [(r[0], r[1]) for r in ROWS if r[0] is not None and r[0] != 7]
+    q = spark.createDataFrame(queries, "query_id long, text string")
+    want = brute.bm25([(r[0], r[1]) for r in ROWS], queries, 5)
+    for name, value in (("BLOCK_TERMS", 100), ("PASS_BLOCKS", 3)):
+        monkeypatch.setattr(bm25_search, name, value)
+    assert {tuple(g) for g in bm25_search.search(docs, q, 5).collect()} == want
+
+
+def test_bm25_gather_looks_up_few():
+    rng = np.random.default_rng(4)
+    hashes = rng.integers(0, 60, 40_000).astype(np.uint64) ** 2 // 60
+    sizes = np.full(2_000, 20)
+    lists = bm25_search.index_shard(hashes, sizes, 20.0)
+    rare = np.unique(hashes[:20])
+    weights = np.array([np.log(2_000 / (lists.start[i + 1] - lists.start[i])) for i in lists.places(rare)])
+    found = []
+    added = bm25_search.gather(lists, lists.places(rare), weights, 2_000, found, 5, lambda d: (True, -d))
+    total = np.zeros(2_000)
+    for i, w in zip(lists.places(rare), weights, strict=True):
+        total[lists.docs[lists.start[i] : lists.start[i + 1]]] += lists.impact[lists.start[i] : lists.start[i + 1]] * w
+    assert sorted(found, reverse=True) == sorted(((round(s, 6), True, -i) for i, s in enumerate(total.tolist()) if s > 0), reverse=True)[:5]
+    assert added < sum(lists.start[i + 1] - lists.start[i] for i in lists.places(rare))
+
+
+def test_search_is_registered_for_documents(spark):
+    asked = {r[0] for r in spark.read.parquet(f"{SF}/documents.parquet").where("doc_id % 20 = 0 and trim(text) <> ''").select("doc_id").collect()}
+    got = registry.QUERIES["op6_bm25_topk_documents"](spark, SF).select("query_id").distinct().collect()
+    assert len(asked) >= 10 and {g[0] for g in got} == asked
+
+
 @pytest.mark.parametrize("n,num", [(4, 85), (5, 80), (2, 50)])
 def test_jaccard_join(docs, empty, n, num):
     got = jaccard_join.linked(docs, n, num, 100).select("doc_id", "n_shingles", "component_id").collect()
