@@ -1,9 +1,9 @@
-"""Removal of repeated runs of lines, by winnowing over line hashes; DataFrame functions only.
+"""Removal of repeated runs of lines, by hashes of all windows of lines; DataFrame functions only.
 
-Lines with a word are hashed. Of every window of RUN neighbouring lines the least hash is its fingerprint, so any two equal
-runs of RUN lines select the same one; a line of LONG words or more is a run by itself and its own fingerprint. Fingerprints
-found once are dropped. The others' positions are joined, each is extended both ways to the windows that chose it, and
-windows that occurred before (by doc_id, then place) lose all their lines. Longer runs are unions of windows.
+Lines with a word are hashed. Every window of RUN neighbouring lines is written with the hash of all its lines and with the
+least hash as its fingerprint; a line of LONG words or more is a run by itself and its own fingerprint. Windows whose
+fingerprint is found once are dropped. The others are grouped by fingerprint and hash; no positions are selected or joined
+in pairs, nothing is extended. Windows that occurred before (by doc_id, then place) lose all their lines. Longer runs are unions of windows.
 
 Defined results: a null or empty text has no lines and stays as it is; lines without a word are neither compared nor
 removed; rows that repeat both id and text are one document and get the same result; a null doc_id comes last; an empty
