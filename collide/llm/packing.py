@@ -7,7 +7,8 @@ lengths that are powers of two. A task packs what it reads, a few million tokens
 result when a lost task is run again.
 
 Defined results: a null or empty text is its end id alone; repeated rows are packed one by one; null doc_id stays null;
-an empty table gives an empty result; other columns are ignored, whatever their names.
+an empty table gives an empty result; other columns are ignored, whatever their names; a very long text is held whole with
+its ids, one at a time beside a batch of bounded size.
 """
 
 from __future__ import annotations
@@ -32,6 +33,9 @@ ATTENTION = 1 / 1024
 
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
 
+#: White space in a row beyond which the faster library's splitting, which backtracks, might give up (it does at a million).
+LONG_RUN = 10_000
+
 #: Fixed value: how the byte-level vocabulary splits texts before merging.
 PATTERN = r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""
 
@@ -45,10 +49,12 @@ def _letters() -> dict[str, int]:
 
 class Encoder:
     """Ids of texts as little-endian 32-bit numbers. The file's merges are carried out by the faster of two libraries, which
-    gives the same ids for every code point; a text that holds one of the file's added tokens goes to the other one."""
+    gives the same ids for every code point; a text that holds one of the file's added tokens goes to the other one, and so
+    does one with a run of white space that is too long for the first one's splitting."""
 
     def __init__(self, path: str):
         import json
+        import re
 
         import tiktoken
         from tokenizers import Tokenizer
@@ -56,13 +62,14 @@ class Encoder:
         self.tokenizer = Tokenizer.from_file(path)
         with open(path, encoding="utf-8") as f:
             spec = json.load(f)
+        self.long_run = re.compile(rf"\s{{{LONG_RUN}}}")
         self.added = tuple(t["content"] for t in spec["added_tokens"])
         letters = _letters()
         ranks = {bytes(letters[c] for c in token): i for token, i in spec["model"]["vocab"].items() if token not in self.added}
         self.fast = tiktoken.Encoding("merges", pat_str=PATTERN, mergeable_ranks=ranks, special_tokens={})
 
     def one(self, text: str) -> bytes:
-        if any(a in text for a in self.added):
+        if any(a in text for a in self.added) or (len(text) > LONG_RUN and self.long_run.search(text)):
             return array.array("I", self.tokenizer.encode(text, add_special_tokens=False).ids).tobytes()
         return self.fast.encode_to_numpy(text, disallowed_special=()).tobytes() if text else b""
 

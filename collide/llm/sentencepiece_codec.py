@@ -4,10 +4,12 @@ Merging always ends in the same tokens, so every prefix of a text has one last t
 an automaton lists the tokens that end at a place, and the one that may follow the last token before it is stored. Two
 tokens may follow each other when merging their joined text gives just the two. The ids are read off backwards.
 
-No token holds a space mark after another character, so words are encoded apart and remembered up to a bound.
+No token holds a space mark after another character, so words, with the run of spaces before them, are encoded apart and
+remembered up to a bound.
 
 Defined results: a null text is an empty one, whose only id is the end id; repeated rows give repeated results; an empty
-table gives an empty result; other columns are ignored, whatever their names.
+table gives an empty result; other columns are ignored, whatever their names. Very long texts, words and runs of spaces take
+time in proportion to their length.
 """
 
 from __future__ import annotations
@@ -130,7 +132,7 @@ class Codec:
     def word(self, word: str) -> str:
         """Ids, joined by spaces, of a word with its leading space marks. What they decode to is compared with the word; a
         difference (there is none where every character has an id or bytes) is kept for decoding."""
-        tokens = self.merged(word) if word.startswith(SPACE * 2) else self.tokens_of(word)
+        tokens = self.tokens_of(word)
         decoded = "".join([self.text.get(t) or self.decoded(t) for t in tokens])
         if decoded != word:
             self.unlike[word] = decoded.replace(SPACE, " ")
