@@ -59,10 +59,10 @@ def _quality() -> str:
       b AS (SELECT *, n_words < {quality_rules.MIN_WORDS} OR 100 * n_repeat_words > 20 * n_words AS base_failed FROM m),
       f AS (SELECT *, base_failed OR {_over(quality_rules.USUAL)} AS failed FROM b),
       h AS (SELECT source, count(*) AS n, count(*) FILTER (WHERE failed) AS bad FROM f GROUP BY source),
-      p AS (SELECT avg(bad / n) AS m, var_pop(bad / n) AS v, avg(1 / n) AS noise FROM h),
-      q AS (SELECT m, least(greatest(m * (1 - m) / greatest(v - m * (1 - m) * noise, 1e-6) - 1, 2.0), 1000.0) AS s FROM p),
-      z AS (SELECT source, (bad + m * s) / (n + s) AS rate FROM h, q)
-      SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, NOT failed AND NOT (rate > {quality_rules.SUSPECT} AND {_over(quality_rules.STRICT)}) AS kept, round(rate, 6) AS shrunk_rate FROM f JOIN z ON f.source IS NOT DISTINCT FROM z.source"""
+      p AS (SELECT avg(bad / n) AS m, var_pop(bad / n) AS v FROM h),
+      q AS (SELECT m, least(greatest(m * (1 - m) / greatest(v, 1e-6) - 1, 2.0), 1000.0) AS s FROM p),
+      z AS (SELECT source, m, n + s + 1 AS weight, (bad + m * s) / (n + s) AS rate FROM h, q)
+      SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, NOT failed AND NOT (rate - m > {quality_rules.SUSPECT} * sqrt(rate * (1 - rate) / weight) AND {_over(quality_rules.STRICT)}) AS kept, round(rate, 6) AS shrunk_rate FROM f JOIN z ON f.source IS NOT DISTINCT FROM z.source"""
 
 
 def _search() -> str:

@@ -1,11 +1,14 @@
 """Quality rules with host-level verdicts.
 
 Each document is measured and judged by fixed rules. Failures are summed by host (the `source` column), each host's
-failure rate is shrunk towards the mean of all hosts by a beta prior fitted to the hosts' own rates, and the verdict on
-a host is joined back to its documents: a suspect host is held to stricter limits. A clean document of a bad host stays.
+failure rate is shrunk towards the mean of all hosts by a beta prior fitted to the mean and variance of the hosts' own
+rates, and the verdict on a host is joined back to its documents: a host whose rate lies above the prior's mean, at odds of
+three to one or more by its own beta distribution, is suspect and held to stricter limits. A clean document of a suspect
+host stays.
 
 Defined results: a null text counts as an empty one (no words, so it fails); a null host is a host of its own; repeated
-rows are judged one by one; an empty table gives an empty result; other columns are ignored whatever their names.
+rows are judged one by one; an empty table gives an empty result; a very long text is measured whole, in time close to
+proportion; other columns are ignored whatever their names.
 """
 
 from __future__ import annotations
@@ -35,10 +38,11 @@ class Limits:
     capitals: float
 
 
-#: Anywhere, and on a host whose shrunk failure rate is above SUSPECT.
+#: Anywhere, and on a suspect host.
 USUAL = Limits(symbols=0.10, dup_lines=0.60, repeats=0.20, capitals=0.70)
 STRICT = Limits(symbols=0.04, dup_lines=0.30, repeats=0.10, capitals=0.40)
-SUSPECT = 0.5
+#: A host is suspect if its shrunk rate exceeds the prior's mean by so many of its standard deviations: odds of three to one.
+SUSPECT = 0.6745
 MIN_WORDS = 10
 
 
@@ -98,14 +102,14 @@ def host_verdicts(measured: DataFrame, suspect: float = SUSPECT) -> DataFrame:
     """(host, n_docs, n_failed, shrunk_rate, host_bad). The prior's two parameters come from the mean and variance of all hosts' rates."""
     hosts = measured.groupBy("host").agg(F.count(F.lit(1)).alias("n_docs"), F.sum(F.col("failed").cast("long")).alias("n_failed"))
     rate = F.col("n_failed") / F.col("n_docs")
-    prior = hosts.agg(F.avg(rate).alias("m"), F.coalesce(F.var_pop(rate), F.lit(0.0)).alias("v"), F.avg(1 / F.col("n_docs")).alias("noise"))
-    # variance between hosts, less what sampling alone would give; strength = m(1-m)/v - 1
-    between = F.greatest(F.col("v") - F.col("m") * (1 - F.col("m")) * F.col("noise"), F.lit(1e-6))
-    strength = F.least(F.greatest(F.col("m") * (1 - F.col("m")) / between - 1, F.lit(2.0)), F.lit(1000.0))
+    prior = hosts.agg(F.avg(rate).alias("m"), F.coalesce(F.var_pop(rate), F.lit(0.0)).alias("v"))
+    # a beta distribution of mean m and strength s has the variance m(1-m)/(s+1)
+    strength = F.least(F.greatest(F.col("m") * (1 - F.col("m")) / F.greatest(F.col("v"), F.lit(1e-6)) - 1, F.lit(2.0)), F.lit(1000.0))
     fitted = prior.select("m", strength.alias("s")).first()  # two numbers; null without hosts
     m, s = (fitted["m"], fitted["s"]) if fitted["m"] is not None else (0.5, 2.0)
-    shrunk = (F.col("n_failed") + F.lit(m * s)) / (F.col("n_docs") + F.lit(s))
-    return hosts.select("host", "n_docs", "n_failed", shrunk.alias("shrunk_rate"), (shrunk > suspect).alias("host_bad"))
+    judged = hosts.withColumn("shrunk_rate", (F.col("n_failed") + F.lit(m * s)) / (F.col("n_docs") + F.lit(s)))
+    spread = F.sqrt(F.col("shrunk_rate") * (1 - F.col("shrunk_rate")) / (F.col("n_docs") + F.lit(s + 1)))
+    return judged.select("host", "n_docs", "n_failed", "shrunk_rate", (F.col("shrunk_rate") - F.lit(m) > suspect * spread).alias("host_bad"))
 
 
 def judge(docs: DataFrame, host: str = "source", suspect: float = SUSPECT) -> DataFrame:
@@ -120,10 +124,12 @@ def judge(docs: DataFrame, host: str = "source", suspect: float = SUSPECT) -> Da
 
 def keep_good(docs: DataFrame, host: str = "source") -> DataFrame:
     """The rows of docs that the rules keep, with all their columns."""
-    rejected = judge(docs, host).where(~F.col("kept")).select(F.col("key").alias("rejected")).distinct()
-    return common.unwrapped(common.wrapped(docs).join(rejected, F.col("key") == F.col("rejected"), "left_anti"), docs.columns)
+    rejected = judge(docs, host).where(~F.col("kept")).select(F.col("key").alias("rejected"), F.col("doc_id").alias("r_doc")).distinct()
+    same = (F.col("key") == F.col("rejected")) & F.col("row.doc_id").cast("long").eqNullSafe(F.col("r_doc"))
+    return common.unwrapped(common.wrapped(docs).join(rejected, same, "left_anti"), docs.columns)
 
 
 def op3_quality_rules(spark, sf_dir: str) -> DataFrame:
+    """Measures, base rules and the method's verdict of every document; defined results as in the module's docstring."""
     judged = judge(spark.read.parquet(f"{sf_dir}/documents.parquet"))
     return judged.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", F.round("shrunk_rate", 6).alias("shrunk_rate"))
