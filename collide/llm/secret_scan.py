@@ -5,8 +5,8 @@ trigrams alone are built in one scan, intersected per document as a bit mask, an
 Candidates are joined back and verified by the expression itself; rules without a mandatory trigram scan every text.
 
 Defined results: a null text is an empty one, without secrets; documents are keyed by id and text, so repeated rows get the
-same spans; positions are in code points, end exclusive; an empty table gives an empty result; other columns are ignored
-by `scan` and kept by `redact`, whatever their names.
+same spans; positions are in code points, end exclusive; an empty table gives an empty result; a very long text is scanned
+whole, in time close to proportion; other columns are ignored by `scan` and kept by `redact`, whatever their names.
 """
 
 from __future__ import annotations
@@ -96,22 +96,51 @@ def candidates(docs: DataFrame, rules: tuple[Rule, ...] = RULES) -> tuple[DataFr
     return (flags.where(some) if some is not None else flags), list(indexed)
 
 
+#: Elements of an array folded in one go: a fold copies what it has at each step, so long arrays are folded part by part.
+PART = 64
+
+
+def _parts(array: Column) -> Column:
+    """An array cut in parts of PART elements; an empty one has no parts."""
+
+    def cut(a: Column) -> Column:
+        numbers = F.when(F.size(a) > 0, F.sequence(F.lit(0), F.floor((F.size(a) - 1) / PART).cast("int"))).otherwise(F.expr("cast(array() as array<int>)"))
+        return F.transform(numbers, lambda i: F.slice(a, i * PART + 1, PART))
+
+    return common.let(array, cut)
+
+
+def _running(values: Column, fold) -> Column:
+    """What `fold` has before each element, from 0: as many entries as elements."""
+    start = F.struct(F.lit(0).alias("now"), F.expr("cast(array() as array<int>)").alias("before"))
+    return F.aggregate(values, start, lambda acc, x: F.struct(fold(acc.now, x).cast("int").alias("now"), F.concat(acc.before, F.array(acc.now)).alias("before")), lambda acc: acc.before)
+
+
+def _starts(lengths: Column) -> Column:
+    """Where each of the pieces of these lengths starts, part by part."""
+    total = lambda part: F.aggregate(part, F.lit(0), lambda t, x: t + x)
+    plus = lambda t, x: t + x
+    within = lambda part, at: F.transform(_running(part, plus), lambda x: x + at)
+    return common.let(_parts(lengths), lambda parts: F.flatten(F.zip_with(parts, _running(F.transform(parts, total), plus), within)))
+
+
 def _matches(text: Column, rule: Rule, rank: int) -> Column:
     """Spans of the rule's matches: what lies between them and their own lengths, summed up from the left."""
     pattern = F.lit(rule.pattern)
-    between = F.split(text, rule.pattern, -1)
     whole = F.regexp_extract_all(text, pattern, F.lit(0))
     judged = F.regexp_extract_all(text, pattern, F.lit(rule.group)) if rule.group else whole
-    lengths = F.zip_with(whole, judged, lambda m, g: F.struct(F.length(m).alias("m"), F.length(g).alias("g")))
-    steps = F.zip_with(F.slice(between, 1, F.size(whole)), lengths, lambda b, x: F.struct(F.length(b).alias("b"), x.m.alias("m"), x.g.alias("g")))
     none = F.expr(f"cast(array() as {_SPAN})")
 
-    def add(acc: Column, x: Column) -> Column:
-        start = acc.at + x.b
-        span = F.array(F.struct(start.alias("start"), F.lit(rank).alias("rank"), (start + x.m).alias("end"), F.lit(rule.kind).alias("kind")))
-        return F.struct((start + x.m).alias("at"), F.when(x.g >= rule.least, F.concat(acc.spans, span)).otherwise(acc.spans).alias("spans"))
+    def spans(x: Column) -> Column:
+        gaps = F.transform(F.slice(x.around, 1, F.size(x.whole)), lambda b: F.length(b))
+        steps = F.zip_with(gaps, x.whole, lambda b, m: b + F.length(m))
+        places = F.zip_with(_starts(steps), gaps, lambda at, b: at + b)
+        pairs = F.zip_with(x.whole, x.judged, lambda m, g: F.struct(F.length(m).alias("m"), F.length(g).alias("g")))
+        found = F.zip_with(places, pairs, lambda at, y: F.when(y.g >= rule.least, F.struct(at.alias("start"), F.lit(rank).alias("rank"), (at + y.m).alias("end"), F.lit(rule.kind).alias("kind"))))
+        return F.filter(found, lambda f: f.isNotNull())
 
-    return F.when(F.rlike(text, pattern), F.aggregate(steps, F.struct(F.lit(0).alias("at"), none.alias("spans")), add, lambda acc: acc.spans)).otherwise(none)
+    pieces = F.struct(F.split(text, rule.pattern, -1).alias("around"), whole.alias("whole"), judged.alias("judged"))
+    return F.when(F.rlike(text, pattern), common.let(pieces, spans)).otherwise(none)
 
 
 def _found(joined: DataFrame, rules: tuple[Rule, ...], indexed: list[str]) -> Column:
@@ -150,17 +179,30 @@ def scan(docs: DataFrame, rules: tuple[Rule, ...] = RULES) -> DataFrame:
 def redact(docs: DataFrame, rules: tuple[Rule, ...] = RULES, mark: str = MARK) -> DataFrame:
     """docs with every secret in `text` replaced by a mark, and n_chars, where there is one, counted anew; overlapping spans share one mark."""
 
-    def cut(acc: Column, s: Column) -> Column:
-        plain = F.substring(F.col("text"), acc.at + 1, s.start - acc.at)
-        return F.when(s.start >= acc.at, F.struct(s.end.alias("at"), F.concat(acc.out, plain, F.lit(mark)).alias("out"))).otherwise(F.struct(F.greatest(acc.at, s.end).alias("at"), acc.out.alias("out")))
+    def piece(part: Column, at: Column) -> Column:
+        # the text from where the parts before this one have reached to this one's farthest end, with marks
+        end = F.greatest(at, F.array_max(F.transform(part, lambda s: s.end)))
+
+        def cut(region: Column) -> Column:
+            def step(acc: Column, s: Column) -> Column:
+                plain = F.substring(region, acc.at - at + 1, s.start - acc.at)
+                return F.when(s.start >= acc.at, F.struct(s.end.alias("at"), F.concat(acc.out, plain, F.lit(mark)).alias("out"))).otherwise(F.struct(F.greatest(acc.at, s.end).alias("at"), acc.out.alias("out")))
+
+            return F.aggregate(part, F.struct(at.alias("at"), F.lit("").alias("out")), step, lambda acc: acc.out)
+
+        return common.let(F.substring(F.col("text"), at + 1, end - at), cut)
 
-    def rest(acc: Column) -> Column:
-        return F.concat(acc.out, F.substring(F.col("text"), acc.at + 1, F.length("text")))
+    def marked(parts: Column) -> Column:
+        reach = lambda part: F.array_max(F.transform(part, lambda s: s.end))
+        at = _running(F.transform(parts, reach), lambda now, x: F.greatest(now, x))
+        rest = F.substring(F.col("text"), F.array_max(F.transform(parts, reach)) + 1, F.length("text"))
+        return F.concat(F.array_join(F.zip_with(parts, at, piece), ""), rest)
 
-    cleaned = F.aggregate("spans", F.struct(F.lit(0).alias("at"), F.lit("").alias("out")), cut, rest)
+    cleaned = common.let(_parts(F.col("spans")), marked)
     found = with_spans(docs, rules)
     return common.with_text(found.withColumn("new", F.when(F.size("spans") > 0, cleaned)), docs)
 
 
 def op1_secret_scan(spark, sf_dir: str) -> DataFrame:
+    """Spans, counts and digest of every document; defined results as in the module's docstring."""
     return scan(spark.read.parquet(f"{sf_dir}/documents.parquet"))
