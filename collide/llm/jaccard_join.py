@@ -8,7 +8,8 @@ forest: a pair is tested only while its two sets are not yet in one component, s
 
 Defined results: a null text is an empty one; a text without words has an empty set, linked with nothing; rows with the
 same set are linked, repeated rows included; a null doc_id is no candidate for a component's smallest id (a component of
-such rows alone has a null id); an empty table gives an empty result; other columns are ignored, whatever their names.
+such rows alone has a null id); an empty table gives an empty result; a very long text is one set like any other, compared
+whole; other columns are ignored, whatever their names.
 """
 
 from __future__ import annotations
@@ -257,30 +258,42 @@ def points_of(counts: list[np.ndarray]) -> np.ndarray:
 
 
 class CountTree:
-    """Points of token counts in boxes of neighbours; a box's upper corner bounds the overlap with every point inside."""
+    """Points of token counts in an R-tree. A box's upper corner bounds the overlap with every point below it, and its least set
+    size the overlap that a link needs; a search descends from the top into boxes that may hold a link."""
+
+    LEAF, FAN = 16, 8
 
     def __init__(self, points: np.ndarray, n: np.ndarray, plan: Plan):
-        self.plan, self.n = plan, n.astype(np.int64)
-        self.points = points
-        leaf = max(8, int(len(n) ** 0.5))
-        order = np.lexsort((self.points[:, 0], self.n))
+        self.plan, self.n, self.points = plan, n.astype(np.int64), points
+        order = np.lexsort((points[:, 0], self.n))
         # sort-tile: slices by size, then by the coordinate that varies most within the slice
-        self.leaves: list[np.ndarray] = []
-        for at in range(0, len(order), leaf * 8):
-            part = order[at : at + leaf * 8]
-            by = int(np.argmax(self.points[part].var(axis=0)))
-            part = part[np.argsort(self.points[part, by], kind="stable")]
-            self.leaves += [part[i : i + leaf] for i in range(0, len(part), leaf)]
-        self.upper = np.stack([self.points[x].max(axis=0) for x in self.leaves])
-        self.least = np.array([self.n[x].min() for x in self.leaves])
+        tiles = []
+        for at in range(0, len(order), self.LEAF * self.FAN):
+            part = order[at : at + self.LEAF * self.FAN]
+            tiles.append(part[np.argsort(points[part, int(np.argmax(points[part].var(axis=0)))], kind="stable")])
+        self.order = np.concatenate(tiles) if tiles else order
+        #: From the leaves up: upper corners and least sizes of the nodes; a node's children lie side by side below it.
+        self.levels: list[tuple[np.ndarray, np.ndarray]] = []
+        upper, least, fan = points[self.order], self.n[self.order], self.LEAF
+        while not self.levels or len(least) > self.FAN:
+            at = np.arange(0, len(least), fan)
+            upper, least, fan = np.maximum.reduceat(upper, at, axis=0), np.minimum.reduceat(least, at), self.FAN
+            self.levels.append((upper, least))
 
     def near(self, i: int) -> np.ndarray:
         """Points whose bound on the overlap with point i allows a link, the most promising first."""
         p, n = self.points[i], int(self.n[i])
-        boxes = np.flatnonzero(np.minimum(self.upper, p).sum(axis=1, dtype=np.int64) >= self.plan.need(self.least, n))
-        if not len(boxes):
-            return boxes
-        found = np.concatenate([self.leaves[x] for x in boxes])
+        nodes = np.arange(len(self.levels[-1][1]))
+        self.visited = 0
+        for depth in range(len(self.levels) - 1, -1, -1):
+            upper, least = self.levels[depth]
+            self.visited += len(nodes)
+            nodes = nodes[np.minimum(upper[nodes], p).sum(axis=1, dtype=np.int64) >= self.plan.need(least[nodes], n)]
+            fan, below = (self.FAN, len(self.levels[depth - 1][1])) if depth else (self.LEAF, len(self.order))
+            nodes = (nodes[:, None] * fan + np.arange(fan)).reshape(-1)
+            nodes = nodes[nodes < below]
+        found = self.order[nodes]
+        self.visited += len(found)
         bound = np.minimum(self.points[found], p).sum(axis=1, dtype=np.int64)
         ok = bound >= self.plan.need(self.n[found], n)
         found, bound = found[ok], bound[ok]
@@ -459,4 +472,5 @@ def one_of_each(docs: DataFrame, shingle: int = 5, num: int = 80, den: int = 100
 
 
 def op7_jaccard_join(spark, sf_dir: str) -> DataFrame:
+    """Set size and component of every document; defined results as in the module's docstring."""
     return linked(spark.read.parquet(f"{sf_dir}/documents.parquet"), shingle=4, num=85, den=100).select("doc_id", "n_shingles", "component_id")
