@@ -8,8 +8,9 @@ reads the pointers that the last one wrote. Rounds are kept in step, so the fina
 exactly the asked length.
 
 Defined results: texts are UTF-8 bytes, null as empty; shorter ones lose nothing; matches never cross documents; repeated
-rows are occurrences like any other; an empty table gives an empty result; other columns are ignored, whatever their names.
-A run of anchors too large for one block is cut, and its windows are then met by name in one more shuffle.
+rows are occurrences like any other; an empty table gives an empty result; a very long text is anchored whole; other columns
+are ignored, whatever their names. A run of anchors too large for one block is refined by the same rounds over shuffled
+bucket pointers, so no task holds it.
 """
 
 from __future__ import annotations
@@ -23,7 +24,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import common
-from .repeats import ANCHORS, CTX_BITS, MARK, OPEN, REP, RangeHash, classify, merge_ranges, numbers, range_arrays, repeated_windows, settle, to_batch, unpacked, with_ranges
+from .repeats import CTX_BITS, OPEN, REP, RangeHash, merge_ranges, numbers, range_arrays, repeated_windows, settle, unpacked, with_ranges
 
 LENGTH = 200
 GRAM = 32
@@ -158,7 +159,7 @@ def _point(pointer: np.ndarray, live: np.ndarray, key: np.ndarray) -> np.ndarray
 
 
 def _block(rows: list[tuple], length: int) -> pa.RecordBatch:
-    """Windows of the block's contexts that occur twice or more in it, as MARK ranges."""
+    """Windows of the block's contexts that occur twice or more in it."""
     raw = [r[4] for r in rows]
     sizes = np.array([len(x) for x in raw], dtype=np.int64)
     begin = np.cumsum(sizes) - sizes
@@ -171,53 +172,49 @@ def _block(rows: list[tuple], length: int) -> pa.RecordBatch:
     w = which[at]
     lo = np.array([r[2] for r in rows], dtype=np.int64)[w] + at - begin[w]
     key, lo, hi = merge_ranges(np.array([r[1] for r in rows], dtype=np.int64)[w], lo, lo)
-    return to_batch(key, np.zeros(len(key), dtype=np.int64), key, lo, hi, np.full(len(key), MARK))
+    return _refined(key, lo, hi, pa.nulls(len(key), pa.binary()))
 
 
-def _named(rows: list[tuple], length: int) -> pa.RecordBatch:
-    """Windows of a part of a run that no block holds whole, by name."""
-    out = []
-    for h, key, lo, _, raw in rows:
-        name = RangeHash(_CODES[np.frombuffer(raw, dtype=np.uint8)]).all(length)
-        out.append((common.mix(name ^ np.uint64(h % 2**64)), name, np.full(len(name), key, dtype=np.int64), lo + np.arange(len(name))))
-    h, ctx, key, p = (np.concatenate(x) for x in zip(*out, strict=True))
-    return settle(h, ctx & CTX_BITS, key, p, p)
+#: What refinement gives: window starts lo..hi that repeat, or (bytes not null) a context of a run too large for one task.
+_REFINED = "key long, lo int, hi int, bytes binary"
 
 
-def _refine_blocks(length: int):
-    """Rows sorted by h: whole runs are gathered up to a block; a run beyond one block is named piece by piece."""
+def _refined(key, lo, hi, raw) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array(key, pa.int64()), pa.array(lo, pa.int32()), pa.array(hi, pa.int32()), pa.array(raw, pa.binary())], ["key", "lo", "hi", "bytes"])
+
+
+def _refine_blocks(length: int, largest: int):
+    """Rows sorted by h: whole runs are gathered up to a block and refined; runs of more than `largest` bytes are passed on."""
 
     def go(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         whole: list[tuple] = []
         run: list[tuple] = []
         whole_bytes = run_bytes = 0
-        cut = False
+        passing: int | None = None  # the run that is passed on
         for b in batches:
+            on: list[tuple] = []
             for row in zip(*(b.column(i).to_pylist() for i in range(5)), strict=True):
+                if row[0] == passing:
+                    on.append(row)
+                    continue
+                passing = None
                 if run and row[0] != run[0][0]:
-                    if cut:
-                        yield _named(run, length)
-                    else:
-                        whole += run
-                        whole_bytes += run_bytes
-                        if whole_bytes >= BLOCK:
-                            yield _block(whole, length)
-                            if whole_bytes > 2 * BLOCK:
-                                common.trim()
-                            whole, whole_bytes = [], 0
-                    run, run_bytes, cut = [], 0, False
+                    whole += run
+                    whole_bytes += run_bytes
+                    if whole_bytes >= BLOCK:
+                        yield _block(whole, length)
+                        if whole_bytes > 2 * BLOCK:
+                            common.trim()
+                        whole, whole_bytes = [], 0
+                    run, run_bytes = [], 0
                 run.append(row)
                 run_bytes += len(row[4])
-                if run_bytes >= RUN:
-                    yield _named(run[:-1] or run, length)
-                    run = run[-1:] if len(run) > 1 else []
-                    run_bytes, cut = sum(len(r[4]) for r in run), True
-                    if not run:
-                        cut = True
-        if run and cut:
-            yield _named(run, length)
-        elif run:
-            whole += run
+                if run_bytes > largest:
+                    on += run
+                    passing, run, run_bytes = row[0], [], 0
+            if on:
+                yield _refined(*([r[i] for r in on] for i in range(1, 5)))
+        whole += run
         if whole:
             yield _block(whole, length)
         common.trim()
@@ -225,14 +222,63 @@ def _refine_blocks(length: int):
     return go
 
 
-def repeated_byte_windows(docs: DataFrame, length: int = LENGTH, gram: int = GRAM) -> DataFrame:
+_SUFFIXES = "key long, lo int, place int, room int, gram binary"
+
+
+def _suffixes(gram: int):
+    """The suffixes of each context with their first bytes, as far as they have so many."""
+
+    def go(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            key, lo, raw = (b.column(c).to_pylist() for c in ("key", "lo", "bytes"))
+            for at in range(0, len(raw), 256):
+                rows = [(key[i], lo[i], p, len(raw[i]) - p, raw[i][p : p + gram]) for i in range(at, min(at + 256, len(raw))) for p in range(len(raw[i]) - gram + 1)]
+                kinds = (pa.int64(), pa.int32(), pa.int32(), pa.int32(), pa.binary())
+                yield pa.RecordBatch.from_arrays([pa.array([r[j] for r in rows], t) for j, t in enumerate(kinds)], ["key", "lo", "place", "room", "gram"])
+
+    return go
+
+
+#: Shares that the members of one bucket are dealt to when they learn their new pointer.
+SALTS = 16
+
+
+def _pointed(members: DataFrame, by: list[str]) -> DataFrame:
+    """(key, lo, place, room, pointer): members of equal `by` get one member as their pointer; those alone go."""
+    least = F.min(F.struct("key", "lo", "place")).alias("pointer")
+    buckets = members.groupBy(*by).agg(least, F.count(F.lit(1)).alias("n")).where("n > 1").drop("n")
+    every = buckets.withColumn("salt", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(SALTS - 1).cast("long"))))
+    dealt = members.withColumn("salt", F.pmod(F.xxhash64("key", "lo", "place"), F.lit(SALTS)))
+    return common.materialise(dealt.join(every, [*by, "salt"]).select("key", "lo", "place", "room", "pointer"))
+
+
+def refine_shuffled(contexts: DataFrame, length: int) -> DataFrame:
+    """(key, lo, hi) of the window starts of (key, lo, bytes) contexts whose next `length` bytes are found twice or more. Buckets
+    of equal grams are refined by the pointers of the suffixes one depth further on; each round is a table."""
+    gram = max(1, -(-length // 8))
+    one = contexts.dropDuplicates(["key", "lo"])
+    live = _pointed(one.mapInArrow(_suffixes(gram), _SUFFIXES), ["gram"])
+    depth = gram
+    while depth < length:
+        step = min(depth, length - depth)
+        further = live.select(F.col("key").alias("f_key"), F.col("lo").alias("f_lo"), (F.col("place") - step).alias("f_place"), F.col("pointer").alias("ahead"))
+        same = (F.col("key") == F.col("f_key")) & (F.col("lo") == F.col("f_lo")) & (F.col("place") == F.col("f_place"))
+        both = live.where(F.col("room") >= depth + step).withColumnRenamed("pointer", "here").join(further, same)
+        live = _pointed(both.select("key", "lo", "place", "room", "here", "ahead"), ["here", "ahead"])
+        depth += step
+    at = F.col("lo") + F.col("place")
+    return live.where(F.col("room") >= length).select("key", at.alias("lo"), at.alias("hi"))
+
+
+def repeated_byte_windows(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, largest: int = RUN) -> DataFrame:
     """(key, lo, hi) of the starts of repeated byte strings; docs are `keyed`."""
 
     def compare(first: DataFrame) -> DataFrame:
         some = first.where(F.col("state").isin(OPEN, REP))
         contexts = with_ranges(docs, some, "inner", named=True).mapInArrow(_contexts(length), _CONTEXT)
-        refined = contexts.repartition("h").sortWithinPartitions("h").mapInArrow(_refine_blocks(length), ANCHORS)
-        return classify(refined).where(F.col("state") == MARK)
+        refined = common.materialise(contexts.repartition("h").sortWithinPartitions("h").mapInArrow(_refine_blocks(length, largest), _REFINED))
+        marks, large = refined.where("bytes IS NULL").drop("bytes"), refined.where("bytes IS NOT NULL")
+        return marks if large.isEmpty() else marks.unionByName(refine_shuffled(large.select("key", "lo", "bytes"), length))
 
     return repeated_windows(docs, _anchors(length, min(gram, length)), compare)
 
@@ -258,13 +304,14 @@ def _strip(length: int, texts_too: bool):
     return strip
 
 
-def remove_repeats(docs: DataFrame, length: int = LENGTH, bytes_too: bool = True) -> DataFrame:
+def remove_repeats(docs: DataFrame, length: int = LENGTH, bytes_too: bool = True, largest: int = RUN) -> DataFrame:
     """doc_id, key, n_bytes, n_removed, n_spans, kept_sha256, kept_bytes (null unless asked), a row per row of docs."""
     common.ship(docs.sparkSession)
     k = common.keyed(docs)
-    marks = repeated_byte_windows(k, length)
+    marks = repeated_byte_windows(k, length, largest=largest)
     return with_ranges(k, marks, "left").mapInArrow(_strip(length, bytes_too), "doc_id long, key long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept_bytes binary")
 
 
 def op5_suffix_dedup(spark, sf_dir: str) -> DataFrame:
+    """Bytes, removed bytes, spans and digest of every document; defined results as in the module's docstring."""
     return remove_repeats(spark.read.parquet(f"{sf_dir}/documents.parquet"), bytes_too=False).select("doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256")
