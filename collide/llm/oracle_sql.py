@@ -67,18 +67,12 @@ def _quality() -> str:
 
 def _search() -> str:
     return f"""WITH t AS (SELECT doc_id, unnest({words(folded())}) AS w FROM documents), tf AS (SELECT doc_id, w, count(*) AS c FROM t GROUP BY ALL), dl AS (SELECT doc_id, count(*) AS l FROM t GROUP BY ALL),
-      n AS (SELECT count(*) AS n, (SELECT count(*) FROM t) / CAST(count(*) AS DOUBLE) AS mean FROM documents), q AS (SELECT item_id AS query_id, w, count(*) AS times FROM (SELECT item_id, unnest({words(folded())}) AS w FROM benchmark WHERE item_id % 20 = 0) GROUP BY ALL),
+      n AS (SELECT count(*) AS n, (SELECT count(*) FROM t) / CAST(count(*) AS DOUBLE) AS mean FROM documents), q AS (SELECT doc_id AS query_id, w, c AS times FROM tf WHERE doc_id % 20 = 0),
       df AS (SELECT w, count(*) AS df FROM tf WHERE w IN (SELECT w FROM q) GROUP BY w),
       s AS (SELECT query_id, doc_id, round(sum(times * ln(1 + (n - df + 0.5) / (df + 0.5)) * c * {bm25_search.K1 + 1} / (c + {bm25_search.K1} * ({1 - bm25_search.B} + {bm25_search.B} * l / mean))), 6) AS score FROM q JOIN df USING (w) JOIN tf USING (w) JOIN dl USING (doc_id), n GROUP BY ALL)
       SELECT query_id, CAST(rank AS INTEGER) AS rank, doc_id, score FROM (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY score DESC, doc_id) AS rank FROM s WHERE score > 0) WHERE rank <= {bm25_search.K}"""
 
 
-def _search_documents() -> str:
-    """The same search with whole documents as queries."""
-    asked = "SELECT item_id, unnest", "FROM benchmark WHERE item_id % 20 = 0"
-    return _search().replace("SELECT item_id AS query_id", "SELECT doc_id AS query_id").replace(asked[0], "SELECT doc_id, unnest").replace(asked[1], "FROM documents WHERE doc_id % 20 = 0")
-
-
 def _components() -> str:
     return f"""WITH RECURSIVE d AS (SELECT doc_id, {words(folded())} AS w FROM documents),
       s AS (SELECT DISTINCT doc_id, array_to_string(w[i:i + 3], ' ') AS s FROM d, unnest(range(1, greatest(len(w) - 3, 1) + 1)) AS r(i) WHERE len(w) > 0),
@@ -105,7 +99,6 @@ SQL = {
     "op2_line_dedup": _lines(),
     "op3_quality_rules": _quality(),
     "op6_bm25_topk": _search(),
-    "op6_bm25_topk_documents": _search_documents(),
     "op7_jaccard_join": _components(),
     "op8_substring_dedup": _substrings(),
 }
