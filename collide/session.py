@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import atexit
 import math
 import os
 import tempfile
@@ -10,6 +11,7 @@ import zipfile
 from fractions import Fraction
 from pathlib import Path
 
+from pyspark import SparkContext
 from pyspark.sql import DataFrame, SparkSession
 
 _shipped: set[str] = set()
@@ -30,18 +32,41 @@ def ship(spark: SparkSession) -> None:
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """spark.checkpoint.dir, or a folder of our own where it is unset."""
+    """spark.checkpoint.dir, the folder that driver and executors share. On one machine a folder of our own serves where it is
+    unset; on a cluster that would be another disk for each executor, so it is an error there."""
     found = spark.conf.get("spark.checkpoint.dir", None)
     if not found:
+        own = spark.sparkContext._jsc.sc().getCheckpointDir()
+        if own.isDefined():
+            return own.get()
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         found = os.path.join(tempfile.gettempdir(), "collide-checkpoints")
         spark.sparkContext.setCheckpointDir(found)
     return found
 
 
+_tables: list[str] = []
+
+
+def _remove_tables() -> None:
+    """At the end of the driver: the tables it wrote are of no use to another one."""
+    sc = SparkContext._active_spark_context
+    if sc is None or sc._jsc is None or sc._jsc.sc().isStopped():
+        return
+    for path in _tables:
+        p = sc._jvm.org.apache.hadoop.fs.Path(path)
+        p.getFileSystem(sc._jsc.hadoopConfiguration()).delete(p, True)
+
+
 def materialise(df: DataFrame, name: str = "table") -> DataFrame:
-    """Written to the shared folder and read back; the plan starts anew from the files."""
+    """Written to the shared folder and read back: the plan starts anew from the files, and lost executors cost no recomputation.
+    The files live as long as the driver."""
     path = f"{shared_folder(df.sparkSession).rstrip('/')}/{name}-{uuid.uuid4().hex}"
     df.write.parquet(path)
+    if not _tables:
+        atexit.register(_remove_tables)
+    _tables.append(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
