@@ -2,60 +2,32 @@
 
 from __future__ import annotations
 
-import os
-import tempfile
-import uuid
-import zipfile
 import zlib
 from collections.abc import Callable, Iterator
-from pathlib import Path
 
 import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from .. import session
+
 #: Entries of a worker's word cache; beyond it the cache starts anew, so a worker's memory stays bounded.
 CACHE_ENTRIES = 400_000
 #: Rows of an Arrow batch handed to Python; long texts are also bounded by bytes where Spark offers that.
 BATCH_ROWS = 2_000
 BATCH_BYTES = 32 * 2**20
 
-_shipped: set[str] = set()
-
 
 def ship(spark: SparkSession) -> None:
     """Make this package importable on executors, once per application, and bound the Arrow batches."""
-    app = spark.sparkContext.applicationId
-    if app not in _shipped:
-        root = Path(__file__).resolve().parents[2]
-        target = Path(tempfile.mkdtemp()) / "collide_src.zip"
-        with zipfile.ZipFile(target, "w") as z:
-            for p in sorted((root / "collide").rglob("*.py")):
-                z.write(p, p.relative_to(root))
-        spark.sparkContext.addPyFile(str(target))
-        _shipped.add(app)
+    session.ship(spark)
     spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(BATCH_ROWS))
     spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", str(BATCH_BYTES))
 
 
-def shared_folder(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir, or a folder of our own where it is unset."""
-    found = spark.conf.get("spark.checkpoint.dir", None)
-    if not found:
-        own = spark.sparkContext._jsc.sc().getCheckpointDir()
-        if own.isDefined():
-            return own.get()
-        found = os.path.join(tempfile.gettempdir(), "collide-checkpoints")
-        spark.sparkContext.setCheckpointDir(found)
-    return found
-
-
 def materialise(df: DataFrame) -> DataFrame:
     """Write the rows to the shared folder and read them back: lineage ends here and lost executors cost no recomputation."""
-    spark = df.sparkSession
-    path = f"{shared_folder(spark).rstrip('/')}/collide-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    return session.materialise(df, "documents")
 
 
 def let(value: Column, body: Callable[[Column], Column]) -> Column:

@@ -8,7 +8,7 @@ by blocked products, and the nearest vote with weights that grow with the cosine
 Defined results: a null or empty text has a zero vector and gets the sample's share of good documents, as has any
 document when there is no labelled sample (then 0.5); a null doc_id is never in the held-out third; a document labelled
 more than once counts once, by its least label; repeated rows are scored one by one; an empty table gives an empty
-result; other columns are ignored, whatever their names.
+result; a very long text is counted whole; other columns are ignored, whatever their names.
 """
 
 from __future__ import annotations
@@ -27,7 +27,6 @@ from . import common
 SAMPLE = 4000
 BUCKETS, MARKS = 4096, 8
 RANK, NEIGHBOURS, POWER = 64, 15, 8
-CHUNK = 1 << 21
 
 
 def counts(texts: list[str]) -> np.ndarray:
@@ -135,5 +134,6 @@ def scored(docs: DataFrame, model: Model) -> DataFrame:
 
 
 def op10_quality_classifier(spark, sf_dir: str) -> DataFrame:
+    """Score of every document by labels outside the held-out third; defined results as in the module's docstring."""
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     return scored(docs, train(docs, spark.read.parquet(f"{sf_dir}/labels.parquet")))

@@ -220,4 +220,5 @@ def tokenizer_path(name: str = "byte_bpe_50k.json") -> str:
 
 
 def op9_packing(spark, sf_dir: str) -> DataFrame:
+    """Pieces of all documents in sequences of 2048 tokens; defined results as in the module's docstring."""
     return packed(spark.read.parquet(f"{sf_dir}/documents.parquet"), tokenizer_path())

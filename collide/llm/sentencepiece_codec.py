@@ -223,4 +223,5 @@ def model_path(name: str = "piece_bpe_32k.model") -> str:
 
 
 def op4_sentencepiece(spark, sf_dir: str) -> DataFrame:
+    """Ids and decoded text of every document, as digests; defined results as in the module's docstring."""
     return coded(spark.read.parquet(f"{sf_dir}/documents.parquet"), model_path(), texts=False)

@@ -129,4 +129,5 @@ def remove_repeats(docs: DataFrame, window: int = WINDOW, texts: bool = True) ->
 
 
 def op8_substring_dedup(spark, sf_dir: str) -> DataFrame:
+    """Words, removed words and digest of every document; defined results as in the module's docstring."""
     return remove_repeats(spark.read.parquet(f"{sf_dir}/documents.parquet"), texts=False).select("doc_id", "n_words", "n_removed", "kept_sha256")
