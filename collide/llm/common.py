@@ -51,8 +51,13 @@ def keyed(docs: DataFrame) -> DataFrame:
 
 
 def wrapped(docs: DataFrame) -> DataFrame:
-    """(row, key, text): all columns of docs within one struct, so that their names clash with none of an operator's own."""
-    return docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), doc_key().alias("key"), text_or_empty().alias("text"))
+    """(row, key): all columns of docs within one struct, so that their names clash with none of an operator's own."""
+    return docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), doc_key().alias("key"))
+
+
+def row_text() -> Column:
+    """The text of a wrapped row, null as empty."""
+    return text_or_empty("row.text")
 
 
 def unwrapped(df: DataFrame, columns: list[str], **changed: Column) -> DataFrame:

@@ -155,8 +155,8 @@ def _found(joined: DataFrame, rules: tuple[Rule, ...], indexed: list[str]) -> Co
 def with_spans(docs: DataFrame, rules: tuple[Rule, ...] = RULES) -> DataFrame:
     """Wrapped docs with `spans`, sorted by start and then by kind as listed."""
     w = common.wrapped(docs)
-    found, indexed = candidates(w.select("key", "text"), rules)
-    joined = w.join(found.withColumnRenamed("key", "f_key"), F.col("key") == F.col("f_key"), "left")
+    found, indexed = candidates(w.select("key", common.row_text().alias("text")), rules)
+    joined = w.join(found.withColumnRenamed("key", "f_key"), F.col("key") == F.col("f_key"), "left").withColumn("text", common.row_text())
     return joined.select("row", "text", _found(joined, rules, indexed).alias("spans"))
 
 
