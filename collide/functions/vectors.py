@@ -7,6 +7,8 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..session import materialise
+
 
 @dataclass(frozen=True)
 class VectorSet:
@@ -80,15 +82,26 @@ def user(spark: SparkSession, sf_dir: str) -> DataFrame:
     return m.select("id", F.transform(F.sequence(F.lit(0), F.lit(len(names) * 24 - 1)), lambda k: F.coalesce(F.element_at("m", k), F.lit(0)).cast("double")).alias("vec"))
 
 
+def numbered(df: DataFrame) -> DataFrame:
+    """id: 1, 2, ... by all columns. Ranges of rows are sorted apart and written; a range starts after all rows of those before it."""
+    order = [F.col(c) for c in df.columns]
+    runs = materialise(df.repartitionByRange(*order).sortWithinPartitions(*order).withColumn("at", F.monotonically_increasing_id()), "numbered")
+    sizes = sorted((r["range"], r["n"]) for r in runs.groupBy(F.shiftright("at", 33).alias("range")).agg(F.count(F.lit(1)).alias("n")).collect())  # a row per range
+    before, total = [], 0
+    for r, n in sizes:
+        before.append((r, total))
+        total += n
+    first = df.sparkSession.createDataFrame(before, "range long, before long")
+    placed = runs.withColumn("range", F.shiftright("at", 33)).join(F.broadcast(first), "range")
+    return placed.select((F.col("before") + F.col("at").bitwiseAND(F.lit((1 << 33) - 1)) + 1).alias("id"), *df.columns)
+
+
 def line(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Eight whole-number features of each line item; the id is a number over all columns, for test scale only."""
-    li = table(spark, sf_dir, "lineitem")
-    from pyspark.sql import Window
-
-    w = Window.orderBy(*[F.col(c) for c in li.columns])
+    li = numbered(table(spark, sf_dir, "lineitem"))
     day = F.datediff("l_shipdate", F.lit("1995-01-01"))
     values = [F.col("l_quantity") * 100, F.floor(F.col("l_extendedprice") / 10 + 0.5), F.floor(F.col("l_discount") * 10000 + 0.5), F.floor(F.col("l_tax") * 10000 + 0.5), F.col("l_linenumber") * 500, day, F.ascii("l_returnflag") * 50, F.ascii("l_linestatus") * 50]
-    return li.select(F.row_number().over(w).cast("long").alias("id"), F.array(*[v.cast("double") for v in values]).alias("vec"))
+    return li.select("id", F.array(*[v.cast("double") for v in values]).alias("vec"))
 
 
 def held_out(vectors: DataFrame, modulus: int, rest: int, d: int, unit: float = 1.0) -> VectorSet:

@@ -50,6 +50,7 @@ class CellIndex:
     codes: DataFrame  # id, cells array<int>
     n: int
     costs: list[float] = field(default_factory=list)
+    stored: DataFrame | None = None  # postings on disk, by subspace and sorted by cell
 
     @property
     def d(self) -> int:
@@ -67,18 +68,24 @@ class CellIndex:
         return self.codes.select(F.posexplode("cells").alias("sub", "cell")).groupBy("sub", "cell").agg(F.count(F.lit(1)).alias("n_points"))
 
     def postings(self) -> DataFrame:
-        """sub, cell, id: the inverted form."""
+        """sub, cell, id: the inverted form, as stored or (not kept after appends) from the codes."""
+        if self.stored is not None:
+            return self.stored
         return self.codes.select(F.posexplode("cells").alias("sub", "cell"), "id").select("sub", "cell", "id")
 
+    def with_postings(self) -> CellIndex:
+        """The inverted form written: sorted by subspace and cell, so that a query's cells are few row groups."""
+        sorted_ = self.codes.select(F.posexplode("cells").alias("sub", "cell"), "id").select("sub", "cell", "id").repartitionByRange("sub", "cell").sortWithinPartitions("sub", "cell")
+        return replace(self, stored=materialise(sorted_, "postings"))
+
     def append(self, points: DataFrame) -> CellIndex:
-        """New points under the frozen centroids: one map, no retraining."""
-        more = assign_codes(points, self.centroids, self.parts(), self.d, self.params.metric, self.params.parts)
-        codes = materialise(self.codes.unionByName(more), "codes")
-        return replace(self, codes=codes, n=codes.count())
+        """New points under the frozen centroids: one map over them, no retraining, the codes there are stay as they are."""
+        more = materialise(assign_codes(points, self.centroids, self.parts(), self.d, self.params.metric, self.params.parts), "codes")
+        return replace(self, codes=self.codes.unionByName(more), n=self.n + more.count(), stored=None)
 
     def remove(self, ids: DataFrame) -> CellIndex:
         codes = materialise(self.codes.join(ids.select("id"), "id", "left_anti"), "codes")
-        return replace(self, codes=codes, n=codes.count())
+        return replace(self, codes=codes, n=codes.count(), stored=None)
 
     def footprint(self) -> int:
         """Bytes of centroids and cell numbers, without vectors: two bytes per cell number, eight per id and value."""
@@ -103,7 +110,7 @@ class CellIndex:
         halves: dict[int, list] = {}
         for r in rows:
             halves.setdefault(r["half"], []).append(r["centroid"])
-        return CellIndex(plan, IndexParams(**meta["params"]), [np.array(halves[h]) for h in sorted(halves)], spark.read.parquet(f"{path}/codes"), meta["n"])
+        return CellIndex(plan, IndexParams(**meta["params"]), [np.array(halves[h]) for h in sorted(halves)], spark.read.parquet(f"{path}/codes"), meta["n"], stored=spark.read.parquet(f"{path}/postings").select(F.col("sub").cast("int").alias("sub"), "cell", "id"))
 
 
 def assign_codes(points: DataFrame, centroids: Centroids, parts: list, d: int, metric: str = "l2", per_sub: int = 2) -> DataFrame:

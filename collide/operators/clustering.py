@@ -12,6 +12,8 @@ from pyspark.sql import functions as F
 from ..session import ship
 
 Centroids = list[np.ndarray]  # one array (clusters x dims) per part
+#: Numbers that a block of rows is compared by at a time.
+CELLS = 1 << 21
 
 
 def matrix(column: pa.Array, d: int) -> np.ndarray:
@@ -22,9 +24,21 @@ def matrix(column: pa.Array, d: int) -> np.ndarray:
 def assign(x: np.ndarray, centroids: np.ndarray, metric: str = "l2") -> np.ndarray:
     """Number of the closest centroid of each row, the lowest of equals."""
     out = np.empty(len(x), dtype=np.int64)
-    for at in range(0, len(x), 2048):
-        diff = x[at : at + 2048, None, :] - centroids[None]
-        out[at : at + 2048] = np.argmin(np.abs(diff).sum(axis=2) if metric == "l1" else (diff * diff).sum(axis=2), axis=1)
+    step = max(1, CELLS // max(centroids.size, 1)) if metric == "l1" else max(1, CELLS // max(len(centroids), 1))
+    square = (centroids * centroids).sum(axis=1)
+    for at in range(0, len(x), step):
+        y = x[at : at + step]
+        if metric == "l1":
+            out[at : at + step] = np.argmin(np.abs(y[:, None, :] - centroids[None]).sum(axis=2), axis=1)
+            continue
+        far = square - 2 * (y @ centroids.T)
+        best = far.min(axis=1)
+        out[at : at + step] = np.argmin(far, axis=1)
+        # products lose digits: where others come this close, plain differences decide
+        slack = 1e-9 * ((y * y).sum(axis=1) + square.max(initial=0.0))
+        for i in np.flatnonzero((far <= (best + slack)[:, None]).sum(axis=1) > 1).tolist():
+            near = np.flatnonzero(far[i] <= best[i] + slack[i])
+            out[at + i] = near[np.argmin(((y[i] - centroids[near]) ** 2).sum(axis=1))]
     return out
 
 

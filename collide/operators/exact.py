@@ -2,10 +2,30 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
+from dataclasses import replace
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.distances import order_distance, true_distance
+from ..functions.vectors import VectorSet
+from ..session import BROADCAST_QUERIES
+
+
+def blocks_of(queries: DataFrame, key: str = "qid", rows: int = BROADCAST_QUERIES) -> list[DataFrame]:
+    """A query set in blocks of about `rows` rows, which may be broadcast."""
+    n = -(-queries.count() // rows)
+    return [queries.where(F.pmod(F.xxhash64(key), F.lit(n)) == i) for i in range(n)] if n > 1 else [queries]
+
+
+def in_blocks(data: VectorSet, run: Callable[[VectorSet], DataFrame], rows: int = BROADCAST_QUERIES) -> DataFrame:
+    """A search of a query set of any size: block by block."""
+    out = None
+    for q in blocks_of(data.queries, "qid", rows):
+        part = run(replace(data, queries=q))
+        out = part if out is None else out.unionByName(part)
+    return out
 
 
 def paired(points: DataFrame, queries: DataFrame) -> DataFrame:
@@ -21,6 +41,9 @@ def first_k(df: DataFrame, k: int, order: Column | str = "dist", tie: str = "id"
 
 def exact_knn(points: DataFrame, queries: DataFrame, k: int, d: int, metric: str = "l2", unit: float = 1.0, kernel: str = "auto") -> DataFrame:
     """qid, rank, id, distance."""
+    blocks = blocks_of(queries)
+    if len(blocks) > 1:
+        return in_blocks(VectorSet(points, queries, d, unit), lambda b: exact_knn(b.points, b.queries, k, d, metric, unit, kernel))
     ranked = first_k(paired(points, queries).select("qid", "id", order_distance("vec", "qvec", d, metric, kernel).alias("dist")), k)
     return ranked.select("qid", F.col("rank").cast("int").alias("rank"), "id", F.round(true_distance(F.col("dist"), metric, unit), 6).alias("distance"))
 

@@ -10,7 +10,8 @@ from ..functions.vectors import VectorSet
 from ..plans.subspaces import SubspacePlan
 from ..session import share_of
 from .candidates import rerank, top_scored, without_rerank
-from .collisions import RANKED_POINTS, scan_scores
+from .collisions import RANKED_POINTS, hit_scores, scan_scores, with_zeros
+from .exact import in_blocks
 
 
 @dataclass(frozen=True)
@@ -53,7 +54,15 @@ def collision_scan(data: VectorSet, plan: SubspacePlan, params: SearchParams, se
     """qid, rank, id, distance, score. select: histogram (no ranking of all points), rank (plain), or auto by size. Without rank_again the scores alone decide, and there is no distance."""
     if select == "auto":
         select = "rank" if data.n <= RANKED_POINTS else "histogram"
-    scores = scan_scores(data.points, data.queries, plan, params.collide(data.n), params.metric, select)
+    return in_blocks(data, lambda block: _scan_block(block, plan, params, select, rank_again))
+
+
+def _scan_block(data: VectorSet, plan: SubspacePlan, params: SearchParams, select: str, rank_again: bool) -> DataFrame:
+    if select == "rank":
+        scores = scan_scores(data.points, data.queries, plan, params.collide(data.n), params.metric, select)
+    else:
+        hits = hit_scores(data.points, data.queries, plan, params.collide(data.n), params.metric)
+        scores = with_zeros(hits, data.points, data.queries, min(data.n, params.pool(data.n) if rank_again else params.k))
     if not rank_again:
         return without_rerank(scores, params.k)
     pool = top_scored(scores, params.pool(data.n), params.tie_policy, data.n if select == "rank" else None)

@@ -14,26 +14,20 @@ from ..functions.vectors import VectorSet
 from ..session import ship
 from .candidates import rerank, top_scored
 from .cellindex import CellIndex
+from .exact import blocks_of, in_blocks
 from .scan import SearchParams
 from .walks import flat_walk, list_walk, prefix_walk
 
 
 def centroid_distances(index: CellIndex, queries: DataFrame, half_distance: str = "squared") -> DataFrame:
     """qid, sub, half, ranked: distances of each query's part to the part's centroids, sorted by (distance, cluster)."""
-    parts, per = index.parts(), index.params.parts
-    metric = index.params.metric
-    out = None
-    for h, dims in enumerate(parts):
-        literal = F.array(*[F.array(*[F.lit(float(v)) for v in c]) for c in index.centroids[h]])
-        q = F.array(*[F.col("qvec")[i] for i in dims])
-        dist = F.transform(literal, _to_query(q, metric, half_distance))
-        rows = queries.select("qid", F.lit(h // per).alias("sub"), F.lit(h % per).alias("half"), F.array_sort(dist).alias("ranked"))
-        out = rows if out is None else out.unionByName(rows)
-    return out
-
-
-def _to_query(q, metric: str, half_distance: str):
-    return lambda c, i: F.struct(_half(q, c, metric, half_distance).alias("dist"), i.cast("int").alias("cid"))
+    per, metric = index.params.parts, index.params.metric
+    rows = [(h // per, h % per, list(map(int, dims)), [[float(v) for v in c] for c in index.centroids[h]]) for h, dims in enumerate(index.parts())]
+    table = queries.sparkSession.createDataFrame(rows, "sub int, half int, dims array<int>, centroids array<array<double>>")
+    both = queries.crossJoin(F.broadcast(table))  # a row per part: all centroids once, clusters x dimensions numbers
+    both = both.select("qid", "sub", "half", "centroids", F.transform("dims", lambda i: F.get("qvec", i)).alias("part"))
+    dist = F.transform("centroids", lambda c, i: F.struct(_half(F.col("part"), c, metric, half_distance).alias("dist"), i.cast("int").alias("cid")))
+    return both.select("qid", "sub", "half", F.array_sort(dist).alias("ranked"))
 
 
 def _half(q, c, metric: str, half_distance: str):
@@ -73,8 +67,19 @@ def _many_parts(index: CellIndex, lists: DataFrame, sizes: DataFrame, target: in
     return run.where(F.col("before") < target).select("qid", "sub", F.col("cell").cast("int").alias("cell"))
 
 
+#: Activated cells that are written into the filter of a scan; more are left to the join.
+LISTED_CELLS = 2_000
+
+
 def count_hits_postings(postings: DataFrame, cells: DataFrame) -> DataFrame:
-    """qid, id, score >= 1 from the inverted form: only activated cells are read, their hits are shuffled."""
+    """qid, id, score >= 1 from the inverted form: of stored postings only row groups with activated cells are read, and their hits
+    are shuffled."""
+    wanted = cells.groupBy("sub").agg(F.collect_set("cell").alias("cells")).collect()  # subspaces x cells at most
+    if sum(len(r["cells"]) for r in wanted) <= LISTED_CELLS:
+        some = F.lit(False)
+        for r in wanted:
+            some = some | ((F.col("sub") == r["sub"]) & F.col("cell").isin(*r["cells"]))
+        postings = postings.where(some)
     hits = postings.join(F.broadcast(cells.select("qid", "sub", "cell")), ["sub", "cell"])
     return hits.groupBy("qid", "id").agg(F.count(F.lit(1)).cast("int").alias("score"))
 
@@ -123,6 +128,9 @@ def indexed_search(index: CellIndex, data: VectorSet, params: SearchParams, walk
     """qid, rank, id, distance, score. layout: forward (codes), arrow (codes, for many queries), inverted (postings) or auto."""
     if index.d != data.d or index.params.metric != params.metric:
         raise ValueError("index and query differ in dimension or metric")
+    blocks = blocks_of(data.queries)
+    if len(blocks) > 1:
+        return in_blocks(data, lambda b: indexed_search(index, b, params, walk, layout))
     cells = activated_cells(index, data.queries, params.collide(index.n), walk, params.half_distance)
     if layout == "auto":
         layout = choose_layout(data.queries.count(), params.alpha, index.n, index.plan.n_sub)

@@ -75,14 +75,18 @@ def sorted_walk(d1: Sequence[float], d2: Sequence[float], sizes: Sequence[Sequen
 WALKS = {"activation": activation_walk, "heap": heap_walk, "sorted": sorted_walk}
 
 
+def _both(lists: DataFrame) -> DataFrame:
+    """qid, sub, one, two: both halves' lists side by side."""
+    return lists.groupBy("qid", "sub").agg(F.max(F.when(F.col("half") == 0, F.col("ranked"))).alias("one"), F.max(F.when(F.col("half") == 1, F.col("ranked"))).alias("two"))
+
+
 def prefix_walk(lists: DataFrame, sizes: DataFrame, target: int, sqrt_k: int) -> DataFrame:
     """The sorted form in the engine: qid, sub, c1, c2, sum_dist, n_points, pop_order.
 
     lists: qid, sub, half (0 or 1), ranked array<struct<dist, cid>>. A query and subspace have sqrt_k ** 2 rows here.
     """
-    a = lists.where("half = 0").select("qid", "sub", F.posexplode("ranked").alias("p1", "r1"))
-    b = lists.where("half = 1").select("qid", "sub", F.posexplode("ranked").alias("p2", "r2"))
-    cells = a.join(b, ["qid", "sub"]).select("qid", "sub", "p1", "p2", F.col("r1.cid").alias("c1"), F.col("r2.cid").alias("c2"), (F.col("r1.dist") + F.col("r2.dist")).alias("sum_dist"))
+    pairs = _both(lists).select("qid", "sub", "two", F.posexplode("one").alias("p1", "r1")).select("qid", "sub", "p1", "r1", F.posexplode("two").alias("p2", "r2"))
+    cells = pairs.select("qid", "sub", "p1", "p2", F.col("r1.cid").alias("c1"), F.col("r2.cid").alias("c2"), (F.col("r1.dist") + F.col("r2.dist")).alias("sum_dist"))
     cells = cells.withColumn("cell", F.col("c1") * sqrt_k + F.col("c2")).join(F.broadcast(sizes), ["sub", "cell"], "left").withColumn("n_points", F.coalesce("n_points", F.lit(0)))
     w = Window.partitionBy("qid", "sub").orderBy("sum_dist", "p1", "p2")
     run = cells.withColumn("before", F.coalesce(F.sum("n_points").over(w.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))).withColumn("pop_order", F.row_number().over(w))
@@ -98,7 +102,7 @@ def list_walk(lists: DataFrame, sizes: DataFrame, target: int, sqrt_k: int, walk
     table: dict[tuple[int, int], int] = {(r["sub"], r["cell"]): r["n_points"] for r in sizes.toLocalIterator()}
     shared = spark.sparkContext.broadcast(table)
     step = WALKS[walk]
-    both = lists.groupBy("qid", "sub").agg(F.max(F.when(F.col("half") == 0, F.col("ranked"))).alias("one"), F.max(F.when(F.col("half") == 1, F.col("ranked"))).alias("two"))
+    both = _both(lists)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         t = shared.value

@@ -75,5 +75,5 @@ def share_of(ratio: float, n: int) -> int:
     return math.ceil(Fraction(str(ratio)) * n)
 
 
-#: Rows of a query set that may be broadcast; larger sets are to be walked in blocks.
+#: Rows of a query set that may be broadcast; larger sets are walked in blocks.
 BROADCAST_QUERIES = 10_000

@@ -17,11 +17,11 @@ from .functions.vectors import VectorSet, held_out
 from .operators.candidates import top_scored
 from .operators.cellindex import CellIndex, IndexParams, build_cell_index, build_flat_index
 from .operators.collisions import collision_scores, exploded, part_distances, scan_scores, subspace_collisions, whole_space_collisions
-from .operators.exact import exact_knn, first_k, paired, radius_search
+from .operators.exact import blocks_of, exact_knn, first_k, paired, radius_search
 from .operators.scan import SearchParams, collision_scan
 from .operators.search import activated_cells, count_hits_postings, indexed_search, score_codes
 from .plans.subspaces import SubspacePlan, plan_contiguous, plan_random
-from .session import share_of
+from .session import BROADCAST_QUERIES, share_of
 
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
@@ -273,19 +273,19 @@ query("filtered_search_post", oracles.scan("doc", 50, 3, plan_of("doc"), 0.1, 0.
 query("filtered_search_pre", oracles.scan("doc", 50, 3, plan_of("doc"), 0.1, 0.1, K).replace("p AS (SELECT * FROM v WHERE id % 50 <> 3)", f"p AS (SELECT * FROM v WHERE id % 50 <> 3 AND {_EN})") + " SELECT * FROM result")(lambda s, d: _filtered(s, d, True))
 
 
-def knn_join(left: DataFrame, right: DataFrame, k: int, d: int, unit: float, block: int = 4) -> DataFrame:
+def knn_join(left: DataFrame, right: DataFrame, k: int, d: int, unit: float, rows: int = BROADCAST_QUERIES) -> DataFrame:
     """qid, rank, id, distance: k nearest rows of right for every row of left but itself, in blocks of left that stay small enough
     to broadcast. The exact form; the indexed search takes the same blocks."""
     out = []
-    for b in range(block):
-        q = left.where(F.pmod(F.xxhash64("id"), F.lit(block)) == b).select(F.col("id").alias("qid"), F.col("vec").alias("qvec"))
+    for b in blocks_of(left, "id", rows):
+        q = b.select(F.col("id").alias("qid"), F.col("vec").alias("qvec"))
         dist = paired(right, q).where("id <> qid").select("qid", "id", order_distance("vec", "qvec", d).alias("dist"))
         out.append(first_k(dist, k))
     return _union(out).select("qid", F.col("rank").cast("int").alias("rank"), "id", F.round(true_distance(F.col("dist"), "l2", unit), 6).alias("distance"))
 
 
 query("knn_join_emb", f"WITH v AS ({oracles.VECTORS['emb'][1]}), w AS (SELECT a.id AS qid, b.id, sum((a.x - b.x) * (a.x - b.x)) AS dist FROM v a JOIN v b ON a.dim = b.dim AND a.id <> b.id GROUP BY ALL) SELECT qid, CAST(rank AS INTEGER) AS rank, id, {oracles.length('l2', GRID)} AS distance FROM (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY dist, id) AS rank FROM w) WHERE rank <= 5")(
-    lambda s, d: knn_join(v := vectors.emb_grid(s, d), v, 5, 64, GRID)
+    lambda s, d: knn_join(v := vectors.emb_grid(s, d), v, 5, 64, GRID, 500)
 )
 
 
@@ -381,7 +381,7 @@ query("count_hits_forward", _index_sql(" SELECT * FROM ihits", walk=True))(lambd
 _INDEXED = _index_sql(oracles.result(oracles.pool_size(B_INDEX, K), K, "l2", GRID), walk=True)
 for _layout in ("forward", "inverted", "arrow"):
     query("indexed_search" if _layout == "forward" else f"indexed_search_{_layout}", _INDEXED + " SELECT * FROM result")(
-        lambda s, d, x=_layout: indexed_search(index_of(s, d), data(s, d, "emb"), SearchParams(K, A_INDEX, B_INDEX), layout=x)
+        lambda s, d, x=_layout: indexed_search(index_of(s, d).with_postings() if x == "inverted" else index_of(s, d), data(s, d, "emb"), SearchParams(K, A_INDEX, B_INDEX), layout=x)
     )
 
 
