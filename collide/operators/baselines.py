@@ -1,30 +1,48 @@
-"""Baselines by family, set-wise, each ending in the shared exact re-rank: qid, rank, id, distance, score.
+"""Baselines by family, set-wise: each is built once (tables and small arrays) and then searched, and ends in the shared exact
+re-rank: qid, rank, id, distance, score.
 
 With full probing (all leaves, beta 1, every cell, beams over whole graphs) each returns the exact neighbours; the two graphs
-do so where their graphs are connected.
+do so where their graphs are connected. Searches take query sets in blocks, which are broadcast.
 """
 
 from __future__ import annotations
 
 import heapq
-from collections.abc import Iterator
-from dataclasses import dataclass
+import pickle
+from collections.abc import Callable, Iterator
+from dataclasses import dataclass, field
+from typing import Any
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.vectors import VectorSet
 from ..plans.subspaces import SubspacePlan, plan_contiguous
-from ..session import materialise, share_of, ship
+from ..session import materialise, share_of, ship, table_bytes
 from .candidates import rerank
 from .cellindex import IndexParams, assign_codes, build_cell_index
 from .clustering import lloyd, matrix, train_sample
-from .exact import paired
+from .exact import in_blocks, paired
 from .fronts import gaussian, mapped, principal, with_matrix
 
 
+@dataclass
+class State:
+    """What a build leaves: written tables, and small values that a search broadcasts."""
+
+    tables: dict[str, DataFrame]
+    small: dict[str, Any] = field(default_factory=dict)
+
+    def __getitem__(self, name: str) -> Any:
+        return self.tables[name] if name in self.tables else self.small[name]
+
+    def bytes(self) -> int:
+        """Bytes of the files and of the arrays."""
+        return sum(map(table_bytes, self.tables.values())) + sum(len(pickle.dumps(x)) for x in self.small.values())
+
+
 def _pool(data: VectorSet, beta: float, k: int) -> int:
     return min(data.n, max(k, share_of(beta, data.n)) + k)
 
@@ -34,164 +52,240 @@ def _ranked(found: DataFrame, data: VectorSet, k: int) -> DataFrame:
     return rerank(found.select("qid", "id").distinct().withColumn("score", F.lit(0)), data.points, data.queries, k, data.d, "l2", data.unit)
 
 
-def _by_ring(candidates: DataFrame, reach: str, c: float, target: int) -> DataFrame:
-    """Candidates in rings of radius growing by c until a query has `target` of them: whole rings, counted by partial aggregation."""
-    ring = F.when(F.col(reach) <= 0, F.lit(-(1 << 30))).otherwise(F.ceil(F.log(F.col(reach)) / F.log(F.lit(c)))).cast("int")
-    r = candidates.withColumn("ring", ring)
-    counts = r.groupBy("qid", "ring").agg(F.count(F.lit(1)).alias("n"))
-    w = Window.partitionBy("qid").orderBy("ring").rowsBetween(Window.unboundedPreceding, -1)
-    open_rings = counts.withColumn("before", F.coalesce(F.sum("n").over(w), F.lit(0))).where(F.col("before") < target).select("qid", "ring")
-    return r.join(F.broadcast(open_rings), ["qid", "ring"]).select("qid", "id")
+def _lists(values: np.ndarray) -> pa.ListArray:
+    return pa.ListArray.from_arrays(pa.array(np.arange(0, values.size + 1, values.shape[1], dtype=np.int32)), pa.array(np.ascontiguousarray(values).reshape(-1)))
 
 
-# --- 1: trees over quantised projections ------------------------------------------------------------------------------
+def _grow(near: Callable[[DataFrame], DataFrame], start: DataFrame, target: int, c: float) -> DataFrame:
+    """qid, id within a radius of each query that grows by c until `target` points are held. `near` gives the points within the
+    radius r of each query (qid, r); only queries that are still short go on."""
+    radii, done = start, None
+    while True:
+        found = materialise(near(radii).select("qid", "id").distinct(), "within")
+        held = radii.join(found.groupBy("qid").agg(F.count(F.lit(1)).alias("n")), "qid", "left")
+        done = found if done is None else done.unionByName(found)
+        radii = materialise(held.where(F.coalesce("n", F.lit(0)) < target).select("qid", (F.col("r") * c).alias("r")), "radii")
+        if radii.isEmpty():
+            return done
 
 
-@dataclass
-class EncodedTrees:
-    weights: np.ndarray
-    leaves: DataFrame  # tree, leaf, lo, hi, n
-    codes: DataFrame  # id, leaf of each tree
-    L: int
-    K: int
+def _first_radius(sample: DataFrame, queries: DataFrame, reach: Column, target: int, n: int) -> DataFrame:
+    """qid, r: where a sample says that the pool fills."""
+    share = min(1.0, target / max(n, 1))
+    return paired(sample, queries).select("qid", reach.alias("reach")).groupBy("qid").agg(F.greatest(F.percentile_approx("reach", share, 1000), F.lit(1e-9)).alias("r"))
+
+
+#: Points of which first radii are estimated.
+RADIUS_SAMPLE = 2_000
+
+# --- 1: trees over quantised projections ------------------------------------------------------------------------------
 
 
-def build_encoded_trees(data: VectorSet, L: int = 4, K: int = 16, regions: int = 256, depth: int = 6, seed: int = 0) -> EncodedTrees:
-    """L trees of K projections, each quantised into equally filled regions. A leaf is the leading bits of its first `depth`
-    coordinates' codes; its box is the extent of its points."""
+def build_encoded_trees(data: VectorSet, L: int = 4, K: int = 16, regions: int = 256, leaf_rows: int = 64, seed: int = 0) -> State:
+    """L trees of K projections, each quantised into equally filled regions; a point's code is its K region numbers. A leaf is the
+    leading bits of the codes, dealt over the coordinates, as many as leave about `leaf_rows` points; its box is the extent of
+    its points."""
+    spark = data.points.sparkSession
     w = gaussian(data.d, L * K, seed)
     p = materialise(mapped(data.points, "id", "vec", w).withColumnRenamed("vec", "proj"), "projected")
     marks = p.select(*[F.percentile_approx(F.col("proj")[j], [i / regions for i in range(1, regions)], 10_000).alias(f"q{j}") for j in range(L * K)]).first()
-    edges = [np.array(marks[f"q{j}"]) for j in range(L * K)]
-    top = regions // 2
-
-    def leaf(t: int):
-        out = F.lit(0)
-        for j in range(min(depth, K)):
-            # the leading bit of the region number: is the value above the middle breakpoint?
-            out = out * 2 + (F.col("proj")[t * K + j] > F.lit(float(edges[t * K + j][top - 1]))).cast("int")
-        return out
+    edges = np.array([marks[f"q{j}"] for j in range(L * K)])
+    bits = max(1, (regions - 1).bit_length())
+    depth = max(1, min(62, K * bits, int(np.ceil(np.log2(max(data.n, 1) / leaf_rows))) if data.n > leaf_rows else 1))
+    shared = spark.sparkContext.broadcast(edges)
 
-    coded = materialise(p.select("id", "proj", F.array(*[leaf(t) for t in range(L)]).alias("leaf")), "leaves")
+    def code(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        e = shared.value
+        for b in batches:
+            x = matrix(b.column("proj"), L * K)
+            codes = np.stack([np.searchsorted(e[j], x[:, j], side="left") for j in range(L * K)], axis=1).astype(np.int16)
+            leaf = np.zeros((len(x), L), dtype=np.int64)
+            for t in range(L):
+                for at in range(depth):
+                    j, bit = at % K, bits - 1 - at // K
+                    leaf[:, t] = leaf[:, t] * 2 + (codes[:, t * K + j] >> bit & 1)
+            yield pa.RecordBatch.from_arrays([b.column("id"), b.column("proj"), _lists(codes), _lists(leaf)], ["id", "proj", "codes", "leaf"])
+
+    coded = materialise(p.mapInArrow(code, "id long, proj array<double>, codes array<short>, leaf array<long>"), "coded")
     each = None
     for t in range(L):
         box = coded.groupBy(F.lit(t).alias("tree"), F.col("leaf")[t].alias("leaf")).agg(F.count(F.lit(1)).alias("n"), F.array(*[F.min(F.col("proj")[t * K + j]) for j in range(K)]).alias("lo"), F.array(*[F.max(F.col("proj")[t * K + j]) for j in range(K)]).alias("hi"))
         each = box if each is None else each.unionByName(box)
-    return EncodedTrees(w, materialise(each, "boxes"), coded.select("id", "leaf"), L, K)
+    return State({"boxes": materialise(each, "boxes"), "codes": materialise(coded.select("id", "codes", "leaf"), "codes")}, {"weights": w, "edges": edges, "K": K})
 
 
-def search_encoded_trees(state: EncodedTrees, data: VectorSet, k: int, beta: float = 0.1, c: float = 1.5) -> DataFrame:
+def search_encoded_trees(state: State, data: VectorSet, k: int, beta: float = 0.1, c: float = 1.5) -> DataFrame:
     """Leaves within a radius around the query, grown by c until the pool is full."""
-    q = mapped(data.queries, "qid", "qvec", state.weights)
-    near = state.leaves.crossJoin(F.broadcast(q))  # leaves are few: 2**depth a tree
-    gap = F.aggregate(F.zip_with(F.zip_with("lo", F.slice("qvec", F.col("tree") * state.K + 1, F.lit(state.K)), lambda a, x: F.struct(a.alias("a"), x.alias("x"))), "hi", lambda s, h: F.greatest(s.a - s.x, s.x - h, F.lit(0.0))), F.lit(0.0), lambda s, g: s + g * g)
+    K = state["K"]
+    q = mapped(data.queries, "qid", "qvec", state["weights"])
+    near = state["boxes"].crossJoin(F.broadcast(q))  # a row per leaf, of many points each
+    sides = F.zip_with("lo", F.slice("qvec", F.col("tree") * K + 1, F.lit(K)), lambda a, x: F.struct(a.alias("a"), x.alias("x")))
+    gap = F.aggregate(F.zip_with(sides, "hi", lambda s, h: F.greatest(s.a - s.x, s.x - h, F.lit(0.0))), F.lit(0.0), lambda s, g: s + g * g)
     bound = near.select("qid", "tree", "leaf", "n", F.sqrt(gap).alias("reach"))
-    target = _pool(data, beta, k)
     ring = F.when(F.col("reach") <= 0, F.lit(-(1 << 30))).otherwise(F.ceil(F.log("reach") / F.log(F.lit(c)))).cast("int")
-    w = Window.partitionBy("qid", "tree").orderBy("ring").rangeBetween(Window.unboundedPreceding, -1)
-    taken = bound.withColumn("ring", ring).withColumn("before", F.coalesce(F.sum("n").over(w), F.lit(0))).where(F.col("before") < target).select("qid", "tree", "leaf")
-    placed = state.codes.select("id", F.posexplode("leaf").alias("tree", "leaf"))
-    return _ranked(placed.join(F.broadcast(taken), ["tree", "leaf"]), data, k)
+    rings = bound.withColumn("ring", ring)
+    held = rings.groupBy("qid", "tree", "ring").agg(F.sum("n").alias("n"))
+    before = F.coalesce(F.sum("n").over(Window.partitionBy("qid", "tree").orderBy("ring").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    open_rings = held.withColumn("before", before).where(F.col("before") < _pool(data, beta, k)).select("qid", "tree", "ring")
+    taken = rings.join(open_rings, ["qid", "tree", "ring"]).select("qid", "tree", "leaf")
+    placed = state["codes"].select("id", F.posexplode("leaf").alias("tree", "leaf"))
+    return _ranked(placed.join(taken, ["tree", "leaf"]), data, k)
 
 
 # --- 2: windows centred at the query ----------------------------------------------------------------------------------
 
 
-def query_windows(data: VectorSet, k: int, L: int = 5, K: int = 12, beta: float = 0.1, c: float = 1.5, seed: int = 0) -> DataFrame:
-    """Cubes around the query in L projected spaces, widened by c until the pool is full. A point's ring is that of the
-    smallest cube, over the L spaces, that holds it."""
+def build_windows(data: VectorSet, L: int = 5, K: int = 12, seed: int = 0) -> State:
+    """Each point in L projected spaces, a row per space, in buckets of its first coordinate there."""
     w = gaussian(data.d, L * K, seed)
-    both = paired(mapped(data.points, "id", "vec", w), mapped(data.queries, "qid", "qvec", w))
-    reach = F.least(*[F.greatest(*[F.abs(F.col("vec")[t * K + j] - F.col("qvec")[t * K + j]) for j in range(K)]) for t in range(L)])
-    return _ranked(_by_ring(both.select("qid", "id", reach.alias("reach")), "reach", c, _pool(data, beta, k)), data, k)
+    p = mapped(data.points, "id", "vec", w)
+    spaces = p.select("id", F.posexplode(F.array(*[F.slice("vec", t * K + 1, K) for t in range(L)])).alias("space", "at"))
+    spaces = materialise(spaces, "spaces")
+    width = spaces.agg((F.stddev_pop(F.col("at")[0]) / 8).alias("s")).first()["s"] or 1.0
+    placed = materialise(spaces.withColumn("bucket", F.floor(F.col("at")[0] / width)).repartitionByRange("space", "bucket").sortWithinPartitions("space", "bucket"), "windows")
+    span = placed.agg(F.min("bucket").alias("lo"), F.max("bucket").alias("hi")).first()
+    return State({"placed": placed}, {"weights": w, "K": K, "L": L, "width": width, "span": (span["lo"], span["hi"])})
+
+
+def _buckets(middle: Column, radius: Column, width: float, span: tuple[int, int]) -> Column:
+    """The buckets that [middle - radius, middle + radius] touches, of those there are."""
+    lo, hi = F.greatest(F.floor((middle - radius) / width), F.lit(span[0])), F.least(F.floor((middle + radius) / width), F.lit(span[1]))
+    return F.when(lo <= hi, F.sequence(lo, hi)).otherwise(F.expr("cast(array() as array<bigint>)"))
+
+
+def search_windows(state: State, data: VectorSet, k: int, beta: float = 0.1, c: float = 1.5) -> DataFrame:
+    """Cubes around the query in the projected spaces, widened by c until the pool is full: a range join on the first coordinate's
+    buckets, then the other coordinates. A point is found when any space's cube holds it."""
+    K, L, w = state["K"], state["L"], state["weights"]
+    q = mapped(data.queries, "qid", "qvec", w)
+    target = _pool(data, beta, k)
+
+    def reach(t: int) -> Column:
+        return F.greatest(*[F.abs(F.col("vec")[t * K + j] - F.col("qvec")[t * K + j]) for j in range(K)])
+
+    sample = mapped(train_sample(data.points, RADIUS_SAMPLE), "id", "vec", w)
+    start = materialise(_first_radius(sample, q, F.least(*[reach(t) for t in range(L)]), target, data.n), "radii")
+
+    def near(radii: DataFrame) -> DataFrame:
+        asked = q.join(radii, "qid").select("qid", "r", F.posexplode(F.array(*[F.slice("qvec", t * K + 1, K) for t in range(L)])).alias("space", "q_at"))
+        asked = asked.withColumn("bucket", F.explode(_buckets(F.col("q_at")[0], F.col("r"), state["width"], state["span"])))
+        inside = F.forall(F.zip_with("at", "q_at", lambda a, b: F.abs(a - b)), lambda x: x <= F.col("r"))
+        return state["placed"].join(F.broadcast(asked), ["space", "bucket"]).where(inside)
+
+    return _ranked(_grow(near, start, target, c), data, k)
 
 
 # --- 3: ball in one projected space with pivots -----------------------------------------------------------------------
 
 
-def projected_ball(data: VectorSet, k: int, m: int = 15, s: int = 5, beta: float = 0.1, c: float = 1.5, seed: int = 0) -> DataFrame:
-    """Balls of growing radius in one projected space; distances to s pivots rule points out before theirs is computed."""
+def _distance(a: str, b: Column | str) -> Column:
+    return F.sqrt(F.aggregate(F.zip_with(a, b, lambda x, y: (x - y) * (x - y)), F.lit(0.0), lambda s, x: s + x))
+
+
+def build_ball(data: VectorSet, m: int = 15, s: int = 5, seed: int = 0) -> State:
+    """Points in one projected space with their distances to s pivots, in buckets of the first of these."""
     w = gaussian(data.d, m, seed)
-    p, q = mapped(data.points, "id", "vec", w), mapped(data.queries, "qid", "qvec", w)
-    pivots = [list(map(float, r["vec"])) for r in p.orderBy(F.xxhash64("id")).limit(s).collect()]
+    p = materialise(mapped(data.points, "id", "vec", w), "projected")
+    pivots = [list(map(float, r["vec"])) for r in p.orderBy(F.xxhash64("id"), "id").limit(s).collect()]  # s points
+    far = materialise(p.withColumn("far", _to_pivots("vec", pivots)), "far")
+    width = far.agg((F.stddev_pop(F.col("far")[0]) / 8).alias("s")).first()["s"] or 1.0
+    placed = materialise(far.withColumn("bucket", F.floor(F.col("far")[0] / width)).repartitionByRange("bucket").sortWithinPartitions("bucket"), "ball")
+    span = placed.agg(F.min("bucket").alias("lo"), F.max("bucket").alias("hi")).first()
+    return State({"placed": placed}, {"weights": w, "pivots": pivots, "width": width, "span": (span["lo"], span["hi"])})
 
-    def to_pivots(col: str):
-        return F.array(*[F.sqrt(F.aggregate(F.zip_with(F.col(col), F.array(*map(F.lit, v)), lambda a, b: (a - b) * (a - b)), F.lit(0.0), lambda x, y: x + y)) for v in pivots])
 
-    both = paired(p.withColumn("pv", to_pivots("vec")), q.withColumn("qp", to_pivots("qvec")))
-    lower = F.greatest(*[F.abs(F.col("pv")[i] - F.col("qp")[i]) for i in range(len(pivots))])
-    exact = F.sqrt(F.aggregate(F.zip_with("vec", "qvec", lambda a, b: (a - b) * (a - b)), F.lit(0.0), lambda x, y: x + y))
-    target = _pool(data, beta, k)
-    # the first radius that is wide enough for the pool, from the lower bounds alone: no ball can fill before it
-    first = both.select("qid", lower.alias("lower")).groupBy("qid").agg(F.percentile_approx("lower", min(1.0, target / max(data.n, 1)), 1000).alias("r0"))
-    base = both.join(F.broadcast(first), "qid").withColumn("lower", lower)
-    widest = 1.0
-    while True:
-        inside = base.where(F.col("lower") <= F.col("r0") * widest).withColumn("reach", exact).where(F.col("reach") <= F.col("r0") * widest)
-        short = data.queries.select("qid").join(inside.groupBy("qid").agg(F.count(F.lit(1)).alias("n")), "qid", "left").where(F.coalesce("n", F.lit(0)) < target)
-        if short.isEmpty():
-            break
-        widest *= c
-    return _ranked(_by_ring(inside.select("qid", "id", "reach"), "reach", c, target), data, k)
+def _to_pivots(column: str, pivots: list[list[float]]) -> Column:
+    return F.array(*[_distance(column, F.array(*map(F.lit, v))) for v in pivots])
+
+
+def search_ball(state: State, data: VectorSet, k: int, beta: float = 0.1, c: float = 1.5) -> DataFrame:
+    """Balls of growing radius: a range join on the distance to the first pivot, the other pivots rule points out, and only what is
+    left has its projected distance computed."""
+    w, target = state["weights"], _pool(data, beta, k)
+    q = mapped(data.queries, "qid", "qvec", w)
+    q = q.withColumn("q_far", _to_pivots("qvec", state["pivots"]))
+    sample = mapped(train_sample(data.points, RADIUS_SAMPLE), "id", "vec", w)
+    start = materialise(_first_radius(sample, q, _distance("vec", "qvec"), target, data.n), "radii")
+
+    def near(radii: DataFrame) -> DataFrame:
+        asked = q.join(radii, "qid").withColumn("bucket", F.explode(_buckets(F.col("q_far")[0], F.col("r"), state["width"], state["span"])))
+        some = state["placed"].join(F.broadcast(asked), "bucket")
+        allowed = F.forall(F.zip_with("far", "q_far", lambda a, b: F.abs(a - b)), lambda x: x <= F.col("r"))
+        return some.where(allowed).where(_distance("vec", "qvec") <= F.col("r"))
+
+    return _ranked(_grow(near, start, target, c), data, k)
 
 
 # --- 4: longest circular run of equal hashes --------------------------------------------------------------------------
 
 
-def circular_match(data: VectorSet, k: int, m: int = 64, check_k: int = 256, width: float | None = None, seed: int = 0) -> DataFrame:
-    """m hashes as a circular string; the check_k points with the longest run of places equal to the query's."""
+def build_circular(data: VectorSet, m: int = 64, run: int = 3, width: float | None = None, seed: int = 0) -> State:
+    """m hashes of each point as a circular string, and the strings' postings: (place, `run` hashes in a row) -> points."""
+    if m > 64:
+        raise ValueError("at most 64 hashes: places are kept as bits of one number")
     rng = np.random.default_rng(seed)
     a, shift = rng.standard_normal((data.d, m)), rng.random(m)
-    spark = data.points.sparkSession
-    ship(spark)
-    qs = data.queries.orderBy("qid").collect()  # a block of queries
-    q = np.array([r["qvec"] for r in qs], dtype=np.float64) @ a
-    width = width or float(np.std(q) or 1.0)
-    shared = spark.sparkContext.broadcast((np.array([r["qid"] for r in qs]), np.floor(q / width + shift)))
-    d = data.d
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        qid, qh = shared.value
-        best: list[list] = [[] for _ in qid]
-        for b in batches:
-            ids = b.column("id").to_numpy()
-            h = np.floor(matrix(b.column("vec"), d) @ a / width + shift)
-            for i in range(len(qid)):
-                same = h == qh[i]
-                longest = np.zeros(len(ids), dtype=np.int64)
-                streak = np.zeros(len(ids), dtype=np.int64)
-                for j in range(2 * m):
-                    streak = np.where(same[:, j % m], streak + 1, 0)
-                    longest = np.maximum(longest, streak)
-                for run_length, x in zip(np.minimum(longest, m).tolist(), ids.tolist(), strict=True):
-                    item = (run_length, -x)
-                    if len(best[i]) < check_k:
-                        heapq.heappush(best[i], item)
-                    elif item > best[i][0]:
-                        heapq.heapreplace(best[i], item)
-        rows = [(int(qid[i]), -x, r) for i in range(len(qid)) for r, x in best[i]]
-        yield pa.RecordBatch.from_arrays([pa.array([r[j] for r in rows], pa.int64()) for j in range(3)], ["qid", "id", "run"])
-
-    got = data.points.select("id", "vec").mapInArrow(run, "qid long, id long, run long")
+    if width is None:
+        p = mapped(train_sample(data.points, RADIUS_SAMPLE), "id", "vec", a)
+        width = float(p.select(F.explode("vec").alias("x")).agg(F.stddev_pop("x").alias("s")).first()["s"] or 1.0)
+    strings = materialise(_strings(data.points, "id", "vec", a, shift, width), "strings")
+    return State({"strings": strings, "postings": materialise(_posted(strings, "id", m, run).repartitionByRange("place", "name").sortWithinPartitions("place", "name"), "postings")}, {"a": a, "shift": shift, "width": width, "run": run})
+
+
+def _strings(df: DataFrame, id_col: str, vec_col: str, a: np.ndarray, shift: np.ndarray, width: float) -> DataFrame:
+    p = mapped(df, id_col, vec_col, a / width, None)
+    return p.select(id_col, F.zip_with(vec_col, F.array(*map(F.lit, shift.tolist())), lambda x, s: F.floor(x + s).cast("int")).alias("string"))
+
+
+def _posted(strings: DataFrame, id_col: str, m: int, run: int) -> DataFrame:
+    """place, name, id: every `run` hashes in a row, around the end."""
+    around = F.concat(F.col("string"), F.slice("string", 1, run - 1)) if run > 1 else F.col("string")
+    s = strings.select(id_col, around.alias("s"))
+    names = F.array(*[F.xxhash64(*[F.col("s")[j + i] for i in range(run)]) for j in range(m)])
+    return s.select(id_col, F.posexplode(names).alias("place", "name"))
+
+
+def _longest(mask: Column, m: int) -> Column:
+    """The longest run of set bits on a circle of m places: how often a mask may be met with itself, turned by one, until nothing
+    is left."""
+    full = -1 if m == 64 else (1 << m) - 1
+
+    def turn(x: Column) -> Column:
+        return F.shiftleft(x, 1).bitwiseOR(F.shiftrightunsigned(x, m - 1)).bitwiseAND(F.lit(full).cast("long"))
+
+    start = F.struct(mask.alias("x"), F.lit(0).alias("length"))
+    return F.aggregate(F.sequence(F.lit(1), F.lit(m)), start, lambda acc, _: F.when(acc.x == 0, acc).otherwise(F.struct(acc.x.bitwiseAND(turn(acc.x)).alias("x"), (acc["length"] + 1).alias("length"))), lambda acc: acc["length"])
+
+
+def search_circular(state: State, data: VectorSet, k: int, check_k: int = 256) -> DataFrame:
+    """The check_k points with the longest run of places equal to the query's. Points that share a posting come first; queries with
+    fewer such points than check_k compare whole strings."""
+    run, m = state["run"], state["a"].shape[1]
+    q = materialise(_strings(data.queries, "qid", "qvec", state["a"], state["shift"], state["width"]), "strings")
+    asked = _posted(q, "qid", m, run)
+    bit = F.expr("shiftleft(1L, place)")
+    met = state["postings"].join(F.broadcast(asked), ["place", "name"]).groupBy("qid", "id").agg(F.bit_or(bit).alias("mask"))
+    met = materialise(met.select("qid", "id", F.least(_longest(F.col("mask"), m) + (run - 1), F.lit(m)).alias("run")), "met")
+    few = q.join(met.groupBy("qid").agg(F.count(F.lit(1)).alias("n")), "qid", "left").where(F.coalesce("n", F.lit(0)) < check_k).select("qid", F.col("string").alias("q_string"))
+    same = F.zip_with(F.zip_with("string", "q_string", lambda x, y: (x == y).cast("long")), F.sequence(F.lit(0), F.lit(m - 1)), lambda x, j: F.call_function("shiftleft", x, j))
+    whole = state["strings"].crossJoin(F.broadcast(few)).select("qid", "id", _longest(F.aggregate(same, F.lit(0).cast("long"), lambda t, x: t.bitwiseOR(x)), m).alias("run"))
+    both = met.join(F.broadcast(few.select("qid")), "qid", "left_anti").unionByName(whole)
     w = Window.partitionBy("qid").orderBy(F.col("run").desc(), "id")
-    return _ranked(got.withColumn("r", F.row_number().over(w)).where(F.col("r") <= check_k), data, k)
+    return _ranked(both.withColumn("r", F.row_number().over(w)).where(F.col("r") <= check_k), data, k)
 
 
 # --- 5: rotated product quantiser -------------------------------------------------------------------------------------
 
 
-def rotated_pq(data: VectorSet, k: int, cells: int = 16, codewords: int = 16, books: int = 8, beta: float = 0.1, gamma: float = 0.5, iterations: int = 5, seed: int = 0) -> DataFrame:
-    """Rotation to principal axes dealt evenly to the halves, coarse cells, codes of what the cells leave over; distances to
-    decoded vectors rank the points of the closest cells before the exact re-rank."""
+def build_rotated_pq(data: VectorSet, cells: int = 16, codewords: int = 16, books: int = 8, iterations: int = 5, seed: int = 0) -> State:
+    """Rotation to principal axes dealt evenly to the halves, coarse cells of two halves' clusters, and codes of what the cells
+    leave over; rows sorted by cell."""
     mean, w = principal(data.points, data.d, data.d)
     w = w[:, [j for r in range(2) for j in range(r, data.d, 2)]]  # strong and weak axes in both halves
     turned = with_matrix(data, w, mean)
     whole = SubspacePlan(data.d, (tuple(range(data.d)),))
     index = build_cell_index(turned.points, whole, IndexParams(sqrt_k=cells, iterations=iterations, seed=seed))
-    coarse = index.centroids
-    spark = data.points.sparkSession
-    full = turned.points.join(index.codes, "id")
-    spot = spark.sparkContext.broadcast(coarse)
+    spot = data.points.sparkSession.sparkContext.broadcast(index.centroids)
     d = data.d
 
     def rest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -199,115 +293,175 @@ def rotated_pq(data: VectorSet, k: int, cells: int = 16, codewords: int = 16, bo
         for b in batches:
             cell = b.column("cells").flatten().to_numpy()
             x = matrix(b.column("vec"), d) - np.hstack([c[0][cell // len(c[1])], c[1][cell % len(c[1])]])
-            yield pa.RecordBatch.from_arrays([b.column("id"), pa.ListArray.from_arrays(pa.array(np.arange(0, x.size + 1, d, dtype=np.int32)), pa.array(np.ascontiguousarray(x).reshape(-1)))], ["id", "vec"])
+            yield pa.RecordBatch.from_arrays([b.column("id"), _lists(x)], ["id", "vec"])
 
-    residual = materialise(full.select("id", "vec", "cells").mapInArrow(rest, "id long, vec array<double>"), "residual")
-    parts = [p for p in plan_contiguous(d, books).dims]
+    residual = materialise(turned.points.join(index.codes, "id").select("id", "vec", "cells").mapInArrow(rest, "id long, vec array<double>"), "residual")
+    parts = list(plan_contiguous(d, books).dims)
     words, _ = lloyd(residual, parts, codewords, d, iterations, seed)
     codes = assign_codes(residual, words, parts, d, per_sub=1).withColumnRenamed("cells", "codes")
-    qs = turned.queries.orderBy("qid").collect()  # a block of queries
-    table = spark.sparkContext.broadcast((np.array([r["qid"] for r in qs]), np.array([r["qvec"] for r in qs], dtype=np.float64), coarse, words))
-    near = max(_pool(data, beta, k), share_of(gamma, data.n))
+    placed = index.codes.select("id", F.col("cells")[0].alias("cell")).join(codes, "id")
+    placed = materialise(placed.repartitionByRange("cell").sortWithinPartitions("cell"), "quantised")
+    sizes = {r["cell"]: r["n"] for r in placed.groupBy("cell").agg(F.count(F.lit(1)).alias("n")).collect()}  # a row per cell
+    return State({"placed": placed}, {"mean": mean, "rotation": w, "coarse": index.centroids, "words": words, "sizes": sizes})
+
+
+def search_rotated_pq(state: State, data: VectorSet, k: int, beta: float = 0.1, gamma: float = 0.5) -> DataFrame:
+    """Cells in ascending distance until they hold the share gamma (or the pool) of the points; distances to decoded vectors rank
+    what they hold, and the best go to the exact re-rank."""
+    spark = data.points.sparkSession
+    ship(spark)
+    c, words, sizes = state["coarse"], state["words"], state["sizes"]
+    qs = mapped(data.queries, "qid", "qvec", state["rotation"], state["mean"]).collect()  # a block of queries
+    half, target = c[0].shape[1], max(_pool(data, beta, k), share_of(gamma, data.n))
+    rows, q_of = [], {}
+    for r in qs:
+        q = q_of[r["qid"]] = np.array(r["qvec"], dtype=np.float64)
+        far = (((q[:half] - c[0]) ** 2).sum(axis=1)[:, None] + ((q[half:] - c[1]) ** 2).sum(axis=1)[None]).reshape(-1)
+        held = 0
+        for cell in np.argsort(far, kind="stable").tolist():
+            if held >= target:
+                break
+            if cell in sizes:
+                rows.append((r["qid"], cell))
+                held += sizes[cell]
+    taken = spark.createDataFrame(rows, "qid long, cell int")
+    shared = spark.sparkContext.broadcast((q_of, c, words))
 
     def estimate(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        qid, q, c, wd = table.value
+        q, c, wd = shared.value
         for b in batches:
-            cell = b.column("cells").flatten().to_numpy()
+            if not b.num_rows:
+                continue
+            cell = b.column("cell").to_numpy()
             code = b.column("codes").flatten().to_numpy().reshape(-1, len(wd))
             x = np.hstack([c[0][cell // len(c[1])], c[1][cell % len(c[1])]]) + np.hstack([wd[s][code[:, s]] for s in range(len(wd))])
-            base = np.hstack([c[0][cell // len(c[1])], c[1][cell % len(c[1])]])
-            ids = b.column("id").to_numpy()
-            for i in range(len(qid)):
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(ids), qid[i])), pa.array(ids), pa.array(((base - q[i]) ** 2).sum(axis=1)), pa.array(((x - q[i]) ** 2).sum(axis=1))], ["qid", "id", "cell_distance", "estimate"])
+            asked = np.stack([q[i] for i in b.column("qid").to_pylist()])
+            yield pa.RecordBatch.from_arrays([b.column("qid"), b.column("id"), pa.array(((x - asked) ** 2).sum(axis=1))], ["qid", "id", "estimate"])
 
-    scored = index.codes.join(codes, "id").mapInArrow(estimate, "qid long, id long, cell_distance double, estimate double")
-    w1 = Window.partitionBy("qid").orderBy("cell_distance", "id")
-    w2 = Window.partitionBy("qid").orderBy("estimate", "id")
-    probed = scored.withColumn("a", F.row_number().over(w1)).where(F.col("a") <= near)
-    return _ranked(probed.withColumn("b", F.row_number().over(w2)).where(F.col("b") <= _pool(data, beta, k)), data, k)
+    scored = state["placed"].join(F.broadcast(taken), "cell").select("qid", "id", "cell", "codes").mapInArrow(estimate, "qid long, id long, estimate double")
+    w = Window.partitionBy("qid").orderBy("estimate", "id")
+    return _ranked(scored.withColumn("r", F.row_number().over(w)).where(F.col("r") <= _pool(data, beta, k)), data, k)
 
 
 # --- 6: forest of two-point splits ------------------------------------------------------------------------------------
 
 
-@dataclass
-class Forest:
-    trees: list[list[tuple]]  # nodes: (normal, offset, left, right) or (None, leaf number, -1, -1)
-    leaves: DataFrame  # id, leaf of each tree
-    sizes: dict[tuple[int, int], int]
-
-
-def build_forest(data: VectorSet, trees: int = 30, leaf_size: int = 32, sample: int = 10_000, seed: int = 0) -> Forest:
-    """Trees are grown on a bounded sample, split by hyperplanes between two of its points; one map then routes all points."""
+def _split(x: np.ndarray, rows: np.ndarray, rng: np.random.Generator, balanced: bool) -> tuple[np.ndarray, float] | None:
+    """A hyperplane between two of the rows; balanced: through the middle row along the line of two cluster centres."""
+    a, b = x[rng.choice(rows, 2, replace=False)]
+    if balanced:
+        for _ in range(4):
+            side = ((x[rows] - a) ** 2).sum(axis=1) < ((x[rows] - b) ** 2).sum(axis=1)
+            if 0 < side.sum() < len(rows):
+                a, b = x[rows[side]].mean(axis=0), x[rows[~side]].mean(axis=0)
+        normal = a - b
+        return normal, float(np.median(x[rows] @ normal))
+    return a - b, float((a - b) @ (a + b) / 2)
+
+
+def _grown(x: np.ndarray, small: int, rng: np.random.Generator, balanced: bool = False) -> list[tuple]:
+    """Nodes of a tree over the rows of x: (normal, offset, left, right), or (None, leaf number, -1, -1)."""
+    nodes: list = []
+
+    def grow(rows: np.ndarray) -> int:
+        at = len(nodes)
+        nodes.append((None, at, -1, -1))
+        if len(rows) > small:
+            normal, offset = _split(x, rows, rng, balanced)
+            side = x[rows] @ normal > offset
+            if 0 < side.sum() < len(rows):
+                nodes[at] = (normal, offset, grow(rows[~side]), grow(rows[side]))
+        return at
+
+    grow(np.arange(len(x)))
+    return nodes
+
+
+def _routed(v: np.ndarray, nodes: list[tuple]) -> tuple[np.ndarray, np.ndarray]:
+    """The leaf of each row, and the leaf that it reaches by taking the other side where its margin is least."""
+    first, second = np.zeros(len(v), dtype=np.int32), np.zeros(len(v), dtype=np.int32)
+    least, turn = np.full(len(v), np.inf), np.full(len(v), -1)
+    for out, flip in ((first, None), (second, turn)):
+        todo = [(0, np.arange(len(v)))]
+        while todo:
+            at, rows = todo.pop()
+            normal, offset, left, right = nodes[at]
+            if normal is None:
+                out[rows] = at
+            elif len(rows):
+                margin = (v[rows] @ normal - offset) / (float(np.linalg.norm(normal)) or 1.0)
+                side = margin > 0
+                if flip is None:
+                    closer = np.abs(margin) < least[rows]
+                    least[rows[closer]], turn[rows[closer]] = np.abs(margin)[closer], at
+                else:
+                    side = np.where(flip[rows] == at, ~side, side)
+                todo += [(left, rows[~side]), (right, rows[side])]
+    return first, second
+
+
+def _placed(data: VectorSet, trees: list[list[tuple]], second: bool) -> DataFrame:
+    """id, vec, leaf: the leaf of each tree, or with `second` the two leaves of the one tree. One map."""
     spark = data.points.sparkSession
     ship(spark)
-    x = np.array([r["vec"] for r in train_sample(data.points, sample, seed).orderBy("id").collect()], dtype=np.float64)
-    small = max(2, int(leaf_size * min(1.0, len(x) / max(data.n, 1))))
-    rng = np.random.default_rng(seed)
-    grown = []
-    for _ in range(trees):
-        nodes: list = []
-
-        def grow(rows: np.ndarray, nodes=nodes) -> int:
-            at = len(nodes)
-            nodes.append(None)
-            if len(rows) > small:
-                a, b = x[rng.choice(rows, 2, replace=False)]
-                normal, offset = a - b, float((a - b) @ (a + b) / 2)
-                side = x[rows] @ normal > offset
-                if 0 < side.sum() < len(rows):
-                    left, right = grow(rows[~side]), grow(rows[side])
-                    nodes[at] = (normal, offset, left, right)
-                    return at
-            nodes[at] = (None, at, -1, -1)
-            return at
-
-        grow(np.arange(len(x)))
-        grown.append(nodes)
-    shared = spark.sparkContext.broadcast(grown)
-    d = data.d
+    shared, d = spark.sparkContext.broadcast(trees), data.d
 
     def route(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             v = matrix(b.column("vec"), d)
-            out = np.zeros((len(v), len(shared.value)), dtype=np.int32)
-            for t, nodes in enumerate(shared.value):
-                todo = [(0, np.arange(len(v)))]
-                while todo:
-                    at, rows = todo.pop()
-                    normal, offset, left, right = nodes[at]
-                    if normal is None:
-                        out[rows, t] = at
-                    elif len(rows):
-                        side = v[rows] @ normal > offset
-                        todo += [(left, rows[~side]), (right, rows[side])]
-            yield pa.RecordBatch.from_arrays([b.column("id"), pa.ListArray.from_arrays(pa.array(np.arange(0, out.size + 1, out.shape[1], dtype=np.int32)), pa.array(out.reshape(-1)))], ["id", "leaf"])
-
-    leaves = materialise(data.points.select("id", "vec").mapInArrow(route, "id long, leaf array<int>"), "forest")
-    sizes = {(r["tree"], r["leaf"]): r["n"] for r in leaves.select(F.posexplode("leaf").alias("tree", "leaf")).groupBy("tree", "leaf").agg(F.count(F.lit(1)).alias("n")).collect()}  # leaves of trees grown on the sample
-    return Forest(grown, leaves, sizes)
-
-
-def search_forest(forest: Forest, data: VectorSet, k: int, search_k: int = 1000) -> DataFrame:
+            leaves = [_routed(v, nodes) for nodes in shared.value]
+            out = np.stack(list(leaves[0]) if second else [x[0] for x in leaves], axis=1)
+            yield pa.RecordBatch.from_arrays([b.column("id"), b.column("vec"), _lists(out)], ["id", "vec", "leaf"])
+
+    return data.points.select("id", "vec").mapInArrow(route, "id long, vec array<double>, leaf array<int>")
+
+
+def _sizes(leaves: DataFrame) -> dict[tuple[int, int], int]:
+    got = leaves.select(F.posexplode("leaf").alias("tree", "leaf")).groupBy("tree", "leaf").agg(F.count(F.lit(1)).alias("n")).collect()  # leaves of trees grown on the sample
+    return {(r["tree"], r["leaf"]): r["n"] for r in got}
+
+
+def _best_leaves(trees: list[list[tuple]], sizes: dict, q: np.ndarray, enough: Callable[[int, int], bool]) -> Iterator[tuple[int, int]]:
+    """(tree, leaf) by margin across all trees, the most promising first, until `enough` (leaves, points held)."""
+    queue = [(-np.inf, t, 0) for t in range(len(trees))]
+    heapq.heapify(queue)
+    leaves = held = 0
+    while queue and not enough(leaves, held):
+        margin, t, at = heapq.heappop(queue)
+        normal, offset, left, right = trees[t][at]
+        if normal is None:
+            leaves, held = leaves + 1, held + sizes.get((t, at), 0)
+            yield t, at
+            continue
+        side = float(q @ normal - offset) / (float(np.linalg.norm(normal)) or 1.0)
+        near, far = (right, left) if side > 0 else (left, right)
+        heapq.heappush(queue, (margin, t, near))
+        heapq.heappush(queue, (max(margin, abs(side)), t, far))
+
+
+def _leaves_of_queries(state: State, data: VectorSet, enough: Callable[[int, int], bool]) -> DataFrame:
+    rows = [(r["qid"], t, at) for r in data.queries.collect() for t, at in _best_leaves(state["trees"], state["sizes"], np.array(r["qvec"]), enough)]  # a block of queries
+    return data.points.sparkSession.createDataFrame(rows, "qid long, tree int, leaf int")
+
+
+def _sampled(data: VectorSet, sample: int, seed: int) -> np.ndarray:
+    return np.array([r["vec"] for r in train_sample(data.points, sample, seed).orderBy("id").collect()], dtype=np.float64).reshape(-1, data.d)  # `sample` rows
+
+
+def build_forest(data: VectorSet, trees: int = 30, leaf_size: int = 32, sample: int = 10_000, seed: int = 0) -> State:
+    """Trees are grown on a bounded sample, split by hyperplanes between two of its points; one map then routes all points."""
+    x = _sampled(data, sample, seed)
+    small = max(2, int(leaf_size * min(1.0, len(x) / max(data.n, 1))))
+    rng = np.random.default_rng(seed)
+    grown = [_grown(x, small, rng) for _ in range(trees)]
+    leaves = materialise(_placed(data, grown, False).select("id", "leaf"), "forest")
+    return State({"leaves": leaves}, {"trees": grown, "sizes": _sizes(leaves)})
+
+
+def search_forest(state: State, data: VectorSet, k: int, search_k: int = 1000) -> DataFrame:
     """Leaves by margin across all trees, the most promising first, until they hold search_k points."""
-    rows = []
-    for r in data.queries.collect():  # a block of queries
-        q, held = np.array(r["qvec"]), 0
-        queue = [(-np.inf, t, 0) for t in range(len(forest.trees))]
-        heapq.heapify(queue)
-        while queue and held < search_k:
-            margin, t, at = heapq.heappop(queue)
-            normal, offset, left, right = forest.trees[t][at]
-            if normal is None:
-                rows.append((r["qid"], t, at))
-                held += forest.sizes.get((t, at), 0)
-                continue
-            side = float(q @ normal - offset) / (float(np.linalg.norm(normal)) or 1.0)
-            near, far = (right, left) if side > 0 else (left, right)
-            heapq.heappush(queue, (margin, t, near))
-            heapq.heappush(queue, (max(margin, abs(side)), t, far))
-    wanted = data.points.sparkSession.createDataFrame(rows, "qid long, tree int, leaf int")
-    placed = forest.leaves.select("id", F.posexplode("leaf").alias("tree", "leaf"))
+    wanted = _leaves_of_queries(state, data, lambda leaves, held: held >= search_k)
+    placed = state["leaves"].select("id", F.posexplode("leaf").alias("tree", "leaf"))
     return _ranked(placed.join(F.broadcast(wanted), ["tree", "leaf"]), data, k)
 
 
@@ -379,68 +533,76 @@ class LayeredGraph:
         return self.beam(q, at, max(ef, k), 0)[:k]
 
 
-def layered_graph(data: VectorSet, k: int, links: int = 25, ef_build: int = 200, ef: int = 300, partitions: int = 4, seed: int = 0) -> DataFrame:
-    """One graph per partition of the ids; every query visits all of them and the best are merged. This fans out where a single
-    graph would not, which is the price of building without a global lock."""
-    spark = data.points.sparkSession
-    ship(spark)
-    qs = data.queries.orderBy("qid").collect()  # a block of queries
-    shared = spark.sparkContext.broadcast((np.array([r["qid"] for r in qs]), np.array([r["qvec"] for r in qs], dtype=np.float64)))
+def build_layered_graph(data: VectorSet, links: int = 25, ef_build: int = 200, rows: int = 1_000, seed: int = 0) -> State:
+    """A graph for every `rows` points, written as one value each, so as many graphs as the points need and each bounded."""
+    ship(data.points.sparkSession)
+    parts = max(1, -(-data.n // rows))
 
-    def run(pdf):
+    def build(pdf):
         import pandas as pd
 
-        qid, q = shared.value
         pdf = pdf.sort_values("id")
-        ids = pdf["id"].to_numpy()
         g = LayeredGraph(np.stack(pdf["vec"].to_numpy()).astype(np.float64), links, ef_build, seed)
-        rows = [(int(qid[i]), int(ids[j])) for i in range(len(qid)) for _, j in g.search(q[i], k, ef)]
-        return pd.DataFrame(rows, columns=["qid", "id"])
-
-    dealt = data.points.select("id", "vec", F.pmod(F.xxhash64("id"), F.lit(partitions)).alias("part"))
-    return _ranked(dealt.groupBy("part").applyInPandas(run, "qid long, id long"), data, k)
+        return pd.DataFrame({"part": [int(pdf["part"].iloc[0])], "graph": [pickle.dumps((pdf["id"].to_numpy(), g))]})
 
-
-# --- 8: balanced tree that seeds a neighbourhood graph ----------------------------------------------------------------
+    dealt = data.points.select("id", "vec", F.pmod(F.xxhash64("id"), F.lit(parts)).alias("part"))
+    return State({"graphs": materialise(dealt.groupBy("part").applyInPandas(build, "part long, graph binary"), "graphs")})
 
 
-def tree_graph(data: VectorSet, k: int, leaves: int = 8, links: int = 10, probes: int = 2, hops: int = 3, beam: int = 64, iterations: int = 5, seed: int = 0) -> DataFrame:
-    """A k-means tree's leaves hold exact neighbour graphs; a query starts in its closest leaves and follows edges, also into
-    the next leaf of each point, for a bounded number of hops. Each hop is a join on edges, cut by a beam per query."""
+def search_layered_graph(state: State, data: VectorSet, k: int, ef: int = 300) -> DataFrame:
+    """Every query visits every graph, and the best are merged by the re-rank. This fans out where a single graph would not, which is
+    the price of building without a global lock."""
     spark = data.points.sparkSession
     ship(spark)
-    whole = [tuple(range(data.d))]
-    centroids, _ = lloyd(data.points, whole, leaves, data.d, iterations, seed, sample_rows=100_000)
-    shared = spark.sparkContext.broadcast(centroids[0])
-    d = data.d
+    qs = data.queries.orderBy("qid").collect()  # a block of queries
+    shared = spark.sparkContext.broadcast((np.array([r["qid"] for r in qs]), np.array([r["qvec"] for r in qs], dtype=np.float64)))
 
-    def two_leaves(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        c = shared.value
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        qid, q = shared.value
         for b in batches:
-            x = matrix(b.column("vec"), d)
-            order = np.argsort(((x[:, None, :] - c[None]) ** 2).sum(axis=2), axis=1, kind="stable")[:, :2].astype(np.int32)
-            yield pa.RecordBatch.from_arrays([b.column("id"), b.column("vec"), pa.ListArray.from_arrays(pa.array(np.arange(0, order.size + 1, order.shape[1], dtype=np.int32)), pa.array(order.reshape(-1)))], ["id", "vec", "leaf"])
+            for x in b.column("graph"):
+                ids, g = pickle.loads(x.as_py())
+                rows = [(int(qid[i]), int(ids[j])) for i in range(len(qid)) for _, j in g.search(q[i], k, ef)]
+                yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], pa.int64()) for i in range(2)], ["qid", "id"])
+
+    return _ranked(state["graphs"].select("graph").repartition(state["graphs"].rdd.getNumPartitions()).mapInArrow(run, "qid long, id long"), data, k)
+
+
+# --- 8: balanced tree that seeds a neighbourhood graph ----------------------------------------------------------------
+
 
-    placed = materialise(data.points.select("id", "vec").mapInArrow(two_leaves, "id long, vec array<double>, leaf array<int>"), "placed")
+def build_tree_graph(data: VectorSet, leaf_rows: int = 128, links: int = 10, sample: int = 10_000, seed: int = 0) -> State:
+    """A tree split recursively in halves of equal size (on a bounded sample) down to leaves of about `leaf_rows` points, so leaves
+    grow in number, not in size. Each leaf holds an exact neighbour graph; a point is also put in the leaf beyond its nearest
+    border, which links neighbouring leaves."""
+    x = _sampled(data, sample, seed)
+    small = max(2, int(leaf_rows * min(1.0, len(x) / max(data.n, 1))))
+    tree = _grown(x, small, np.random.default_rng(seed), balanced=True)
+    placed = materialise(_placed(data, [tree], True), "placed")
 
     def edges(pdf):
         import pandas as pd
 
-        x, ids = np.stack(pdf["vec"].to_numpy()), pdf["id"].to_numpy()
+        y, ids = np.stack(pdf["vec"].to_numpy()).astype(np.float64), pdf["id"].to_numpy()
+        square = (y * y).sum(axis=1)
         rows = []
-        for lo in range(0, len(x), 512):
-            far = ((x[lo : lo + 512, None, :] - x[None]) ** 2).sum(axis=2)
+        for lo in range(0, len(y), 512):
+            far = square[lo : lo + 512, None] - 2 * (y[lo : lo + 512] @ y.T) + square[None]
             near = np.argsort(far, axis=1, kind="stable")[:, : links + 1]
             rows += [(int(ids[lo + i]), int(ids[j])) for i in range(len(near)) for j in near[i] if j != lo + i]
         return pd.DataFrame(rows, columns=["src", "dst"])
 
-    # leaves are split by salt so that none outgrows a task; a point's second leaf links neighbouring leaves
-    dealt = placed.select("id", "vec", F.explode("leaf").alias("leaf"))
-    sizes = dealt.groupBy("leaf").agg(F.ceil(F.count(F.lit(1)) / F.lit(20_000)).alias("salts"))
-    dealt = dealt.join(F.broadcast(sizes), "leaf").withColumn("salt", F.pmod(F.xxhash64("id"), F.col("salts")))
-    graph = materialise(dealt.groupBy("leaf", "salt").applyInPandas(edges, "src long, dst long").distinct(), "edges")
-    qleaf = data.queries.withColumnsRenamed({"qid": "id", "qvec": "vec"}).mapInArrow(two_leaves, "id long, vec array<double>, leaf array<int>").select(F.col("id").alias("qid"), F.explode(F.slice("leaf", 1, probes)).alias("leaf"))
-    first = placed.select("id", F.col("leaf")[0].alias("leaf")).join(F.broadcast(qleaf), "leaf").select("qid", "id")
+    dealt = placed.select("id", "vec", F.explode(F.array_distinct("leaf")).alias("leaf"))
+    graph = materialise(dealt.groupBy("leaf").applyInPandas(edges, "src long, dst long").distinct(), "edges")
+    leaves = materialise(placed.select("id", F.slice("leaf", 1, 1).alias("leaf")), "leaves")
+    return State({"leaves": leaves, "edges": graph}, {"trees": [tree], "sizes": _sizes(leaves)})
+
+
+def search_tree_graph(state: State, data: VectorSet, k: int, probes: int = 2, hops: int = 3, beam: int = 64) -> DataFrame:
+    """A query starts in its most promising leaves and follows edges for a bounded number of hops. Each hop is a join on edges, cut by
+    a beam per query."""
+    wanted = _leaves_of_queries(state, data, lambda leaves, held: leaves >= probes).select("qid", "leaf")
+    first = state["leaves"].select("id", F.col("leaf")[0].alias("leaf")).join(F.broadcast(wanted), "leaf").select("qid", "id")
 
     def closest(found: DataFrame) -> DataFrame:
         full = found.distinct().join(data.points, "id").join(F.broadcast(data.queries), "qid")
@@ -450,19 +612,41 @@ def tree_graph(data: VectorSet, k: int, leaves: int = 8, links: int = 10, probes
 
     front = materialise(closest(first), "front")
     for _ in range(hops):
-        step = front.join(graph, F.col("id") == F.col("src")).select("qid", F.col("dst").alias("id"))
+        step = front.join(state["edges"], F.col("id") == F.col("src")).select("qid", F.col("dst").alias("id"))
         front = materialise(closest(front.unionByName(step)), "front")
     return _ranked(front, data, k)
 
 
-def encoded_trees(data: VectorSet, k: int, beta: float = 0.1, c: float = 1.5, **build) -> DataFrame:
-    return search_encoded_trees(build_encoded_trees(data, **build), data, k, beta, c)
+# --- all by name ------------------------------------------------------------------------------------------------------
+
+
+@dataclass(frozen=True)
+class Method:
+    """A baseline: build(data, **parameters), then search(state, data, k, **parameters) for any query set."""
+
+    build: Callable[..., State]
+    find: Callable[..., DataFrame]
+    guaranteed: bool
+    parallel: bool  # whether the published measurements ran it on many threads; here all are
 
+    def search(self, state: State, data: VectorSet, k: int, **probe) -> DataFrame:
+        return in_blocks(data, lambda b: self.find(state, b, k, **probe))
 
-def projection_forest(data: VectorSet, k: int, search_k: int = 1000, **build) -> DataFrame:
-    return search_forest(build_forest(data, **build), data, k, search_k)
+    def __call__(self, data: VectorSet, k: int, **parameters) -> DataFrame:
+        """Build and search in one go; parameters are sorted out by name."""
+        names = self.build.__code__.co_varnames[: self.build.__code__.co_argcount]
+        return self.search(self.build(data, **{x: v for x, v in parameters.items() if x in names}), data, k, **{x: v for x, v in parameters.items() if x not in names})
 
 
-#: name -> search(data, k, **parameters)
-GUARANTEED = {"encoded_projection_trees": encoded_trees, "query_centred_windows": query_windows, "projected_metric_ball": projected_ball, "circular_match": circular_match}
-UNGUARANTEED = {"rotated_product_quantiser": rotated_pq, "projection_forest": projection_forest, "layered_graph": layered_graph, "tree_graph_hybrid": tree_graph}
+GUARANTEED = {
+    "encoded_projection_trees": Method(build_encoded_trees, search_encoded_trees, True, False),
+    "query_centred_windows": Method(build_windows, search_windows, True, False),
+    "projected_metric_ball": Method(build_ball, search_ball, True, False),
+    "circular_match": Method(build_circular, search_circular, True, False),
+}
+UNGUARANTEED = {
+    "rotated_product_quantiser": Method(build_rotated_pq, search_rotated_pq, False, True),
+    "projection_forest": Method(build_forest, search_forest, False, True),
+    "layered_graph": Method(build_layered_graph, search_layered_graph, False, True),
+    "tree_graph_hybrid": Method(build_tree_graph, search_tree_graph, False, True),
+}

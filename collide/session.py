@@ -70,6 +70,16 @@ def materialise(df: DataFrame, name: str = "table") -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def table_bytes(df: DataFrame) -> int:
+    """Bytes of the files that a materialised table is read from."""
+    sc = df.sparkSession.sparkContext
+    total = 0
+    for folder in {f.rsplit("/", 1)[0] for f in df.inputFiles()}:
+        path = sc._jvm.org.apache.hadoop.fs.Path(folder)
+        total += path.getFileSystem(sc._jsc.hadoopConfiguration()).getContentSummary(path).getLength()
+    return total
+
+
 def share_of(ratio: float, n: int) -> int:
     """ceil(ratio * n) in exact decimals: 0.07 of 100 is 7."""
     return math.ceil(Fraction(str(ratio)) * n)

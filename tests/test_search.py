@@ -208,7 +208,7 @@ def test_library_trainer(emb, truth):
 
 FULL = {
     "encoded_projection_trees": {"beta": 1.0}, "query_centred_windows": {"beta": 1.0}, "projected_metric_ball": {"beta": 1.0}, "circular_match": {"check_k": 500},
-    "rotated_product_quantiser": {"beta": 1.0, "gamma": 1.0}, "projection_forest": {"search_k": 20_000, "trees": 4}, "layered_graph": {"ef": 500}, "tree_graph_hybrid": {"beam": 500, "probes": 2, "hops": 6},
+    "rotated_product_quantiser": {"beta": 1.0, "gamma": 1.0}, "projection_forest": {"search_k": 20_000, "trees": 4}, "layered_graph": {"ef": 500}, "tree_graph_hybrid": {"beam": 500, "probes": 500, "hops": 1},
 }
 
 
