@@ -546,7 +546,7 @@ def build_layered_graph(data: VectorSet, links: int = 25, ef_build: int = 200, r
         return pd.DataFrame({"part": [int(pdf["part"].iloc[0])], "graph": [pickle.dumps((pdf["id"].to_numpy(), g))]})
 
     dealt = data.points.select("id", "vec", F.pmod(F.xxhash64("id"), F.lit(parts)).alias("part"))
-    return State({"graphs": materialise(dealt.groupBy("part").applyInPandas(build, "part long, graph binary"), "graphs")})
+    return State({"graphs": materialise(dealt.groupBy("part").applyInPandas(build, "part long, graph binary"), "graphs")}, {"parts": parts})
 
 
 def search_layered_graph(state: State, data: VectorSet, k: int, ef: int = 300) -> DataFrame:
@@ -565,7 +565,7 @@ def search_layered_graph(state: State, data: VectorSet, k: int, ef: int = 300) -
                 rows = [(int(qid[i]), int(ids[j])) for i in range(len(qid)) for _, j in g.search(q[i], k, ef)]
                 yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], pa.int64()) for i in range(2)], ["qid", "id"])
 
-    return _ranked(state["graphs"].select("graph").repartition(state["graphs"].rdd.getNumPartitions()).mapInArrow(run, "qid long, id long"), data, k)
+    return _ranked(state["graphs"].select("graph").repartition(min(state["parts"], 10_000)).mapInArrow(run, "qid long, id long"), data, k)
 
 
 # --- 8: balanced tree that seeds a neighbourhood graph ----------------------------------------------------------------

@@ -15,7 +15,7 @@ from .functions import vectors
 from .functions.distances import order_distance, true_distance
 from .functions.vectors import VectorSet, held_out
 from .operators.candidates import top_scored
-from .operators.cellindex import CellIndex, IndexParams, build_cell_index, build_flat_index
+from .operators.cellindex import CellIndex, IndexParams, build_cell_index
 from .operators.collisions import collision_scores, exploded, part_distances, scan_scores, subspace_collisions, whole_space_collisions
 from .operators.exact import blocks_of, exact_knn, first_k, paired, radius_search
 from .operators.scan import SearchParams, collision_scan
@@ -30,7 +30,7 @@ ORACLE_SQL: dict[str, str] = {}
 K = 10
 GRID = 10000.0
 #: kind: (maker, modulus and remainder of the held-out ids, dimension, grid unit)
-SETS = {"emb": (vectors.emb_grid, 25, 7, 64, GRID), "doc": (vectors.doc_counts, 50, 3, 64, 1.0), "demand": (vectors.demand, 100, 1, 84, 1.0)}
+SETS = {"emb": (vectors.emb_grid, 25, 7, 64, GRID), "doc": (vectors.doc_counts, 50, 3, 64, 1.0), "demand": (vectors.demand, 100, 1, 84, 1.0), "line": (vectors.line, 5000, 1, 8, 1.0)}
 
 
 def data(spark: SparkSession, sf_dir: str, kind: str) -> VectorSet:
@@ -38,8 +38,8 @@ def data(spark: SparkSession, sf_dir: str, kind: str) -> VectorSet:
     return held_out(make(spark, sf_dir), mod, rest, d, unit)
 
 
-def plan_of(kind: str, n_sub: int = 8) -> SubspacePlan:
-    return plan_contiguous(SETS[kind][3], n_sub)
+def plan_of(kind: str, n_sub: int | None = None) -> SubspacePlan:
+    return plan_contiguous(SETS[kind][3], n_sub or (4 if kind == "line" else 8))
 
 
 def query(name: str, sql: str | None = None) -> Callable[[Query], Query]:
@@ -139,8 +139,8 @@ query("sweep_beta", _sweep_sql("doc", plan_of("doc"), [(0.1, b) for b in BETAS],
 query("sweep_subspaces", " UNION ALL ".join(f"SELECT * FROM ({_sweep_sql('emb', plan_of('emb', n), [(0.1, 0.1)], f'CAST({n} AS INTEGER) AS n_sub, recall')})" for n in SUBSPACES))(
     lambda s, d: _union([sweep(v, plan_of("emb", n), [(0.1, 0.1)]).select(F.lit(n).alias("n_sub"), "recall") for v in [data(s, d, "emb")] for n in SUBSPACES])
 )
-query("metric_l1_l2", " UNION ALL ".join(f"SELECT * FROM ({_sweep_sql(kind, plan_of(kind), [(0.1, 0.1)], f'{chr(39)}{kind}{chr(39)} AS dataset, {chr(39)}{m}{chr(39)} AS metric, recall, mre', m)})" for kind in ("emb", "doc", "demand") for m in ("l1", "l2")))(
-    lambda s, d: _union([sweep(v, plan_of(kind), [(0.1, 0.1)], metric=m).select(F.lit(kind).alias("dataset"), F.lit(m).alias("metric"), "recall", "mre") for kind in ("emb", "doc", "demand") for v in [data(s, d, kind)] for m in ("l1", "l2")])
+query("metric_l1_l2", " UNION ALL ".join(f"SELECT * FROM ({_sweep_sql(kind, plan_of(kind), [(0.1, 0.1)], f'{chr(39)}{kind}{chr(39)} AS dataset, {chr(39)}{m}{chr(39)} AS metric, recall, mre', m)})" for kind in SETS for m in ("l1", "l2")))(
+    lambda s, d: _union([sweep(v, plan_of(kind), [(0.1, 0.1)], metric=m).select(F.lit(kind).alias("dataset"), F.lit(m).alias("metric"), "recall", "mre") for kind in SETS for v in [data(s, d, kind)] for m in ("l1", "l2")])
 )
 
 
@@ -210,20 +210,44 @@ def _moments(s, d):
     """Formula and data: mean k-th distance over the subspaces, and the bounds."""
     v = data(s, d, "demand")
     m = theory.subspace_moments(v.points, v.queries, plan_of("demand")).agg(F.avg("mean").alias("m"), F.avg("variance").alias("v")).first()
-    rows = []
+    rows, bound = [], theory.ordering_bound(m["m"], m["v"], 8, 0.05)
     for k in (1, 5, 10):
         mean, var = theory.kth_moments(k, v.n, 8, m["m"], m["v"])
-        rows.append((k, mean, var, theory.answer_bound(k, v.n), theory.ordering_bound(m["m"], m["v"], 8, 0.05)["probability"], theory.alpha_floor(m["m"], m["v"])))
-    return s.createDataFrame(rows, "k int, expected double, variance double, answer_bound double, ordering_bound double, alpha_floor double")
+        rows.append((k, mean, var, theory.answer_bound(k, v.n), bound["probability"], bound["side_condition_ok"], theory.alpha_floor(m["m"], m["v"])))
+    return s.createDataFrame(rows, "k int, expected double, variance double, answer_bound double, ordering_bound double, side_condition_ok boolean, alpha_floor double")
 
 
 SIZES = [(1_000_000, 256), (10_000_000, 128), (100_000_000, 128), (100_000_000, 96)]
 
 
-@query("complexity_table")
+def _complexity_sql() -> str:
+    """The formulas as SQL arithmetic, with the parameters' defaults; K 2500, 8 subspaces, 10 rounds, alpha .05, beta .005."""
+    log = "ln({}) / ln(2)"
+    pool = f"({log.format('greatest(2.0, 0.005 * n)')})"
+    f = {
+        ("exact_knn", "index"): "0", ("exact_knn", "space"): "0", ("exact_knn", "query"): "n * d",
+        ("scan", "index"): "0", ("scan", "space"): "0", ("scan", "query"): f"n * d + 8 * n * {log.format('n')} + n * {pool} + 0.005 * n * d",
+        ("indexed", "index"): "n * (50 * d * 10 + 8)", ("indexed", "space"): "50 * d + n * 8", ("indexed", "query"): f"n * (0.05 * 8 + 0.005 * d + {pool}) + 50 * (d + 0.05 * 50 * {log.format('50')})",
+        ("encoded_projection_trees", "index"): "4 * 16 * n * (d + 8)", ("encoded_projection_trees", "space"): "4 * 16 * n", ("encoded_projection_trees", "query"): "n * (0.005 * d + 4 * 16 * 8)",
+        ("rotated_product_quantiser", "index"): "n * (50 + 256) * d * 10", ("rotated_product_quantiser", "space"): f"n * (2 * 8 + {log.format('50')}) + (50 + 256) * d", ("rotated_product_quantiser", "query"): "n * (0.01 * 2 + 0.005 * d) + (50 + 256) * d",
+        ("projection_forest", "index"): f"4 * n * d * {log.format('n')}", ("projection_forest", "space"): "4 * d * n", ("projection_forest", "query"): f"4 * d * {log.format('n')} + 0.005 * n * d",
+        ("layered_graph", "index"): f"n * d * {log.format('n')}", ("layered_graph", "space"): "n * 25", ("layered_graph", "query"): f"d * {log.format('n')}",
+        ("tree_graph_hybrid", "index"): f"n * d * {log.format('n')}", ("tree_graph_hybrid", "space"): "n * (d + 25)", ("tree_graph_hybrid", "query"): f"d * {log.format('n')}",
+    }
+    sizes = ", ".join(f"(CAST({n} AS BIGINT), {d})" for n, d in SIZES)
+    return " UNION ALL ".join(f"SELECT '{m}' AS method, n, CAST(d AS INTEGER) AS d, '{p}' AS phase, round(CAST({x} AS DOUBLE), 3) AS operations FROM (SELECT CAST(n AS DOUBLE) AS n_, n, CAST(d AS DOUBLE) AS d_, d FROM (VALUES {sizes}) AS s(n, d))".replace("CAST(" + x, "CAST(" + _as_double(x)) for (m, p), x in f.items())
+
+
+def _as_double(formula: str) -> str:
+    import re
+
+    return re.sub(r"\b([nd])\b", r"\1_", formula)
+
+
+@query("complexity_table", _complexity_sql())
 def _complexity(s, d):
     rows = [(m, n, dim, phase, float(v)) for n, dim in SIZES for m in METHODS for phase, v in predict(m, n, dim).items()]
-    return s.createDataFrame(rows, "method string, n long, d int, phase string, operations double")
+    return s.createDataFrame(rows, "method string, n long, d int, phase string, operations double").withColumn("operations", F.round("operations", 3))
 
 
 # --- vector sets and relational work around the search ----------------------------------------------------------------
@@ -345,23 +369,41 @@ ROOT, ROUNDS, A_INDEX, B_INDEX = 6, 2, 0.1, 0.1
 _INDEX_PARAMS = IndexParams(sqrt_k=ROOT, iterations=ROUNDS, grid=True)
 
 
-@lru_cache(maxsize=4)
-def _cached_index(app: str, sf_dir: str, kind: str, root: int) -> CellIndex:
+@lru_cache(maxsize=32)
+def _cached_index(app: str, sf_dir: str, kind: str, root: int, n_sub: int | None, metric: str, parts: int) -> CellIndex:
     s = SparkSession.getActiveSession()
-    return build_cell_index(data(s, sf_dir, kind).points, plan_of(kind), replace(_INDEX_PARAMS, sqrt_k=root))
+    return build_cell_index(data(s, sf_dir, kind).points, plan_of(kind, n_sub), replace(_INDEX_PARAMS, sqrt_k=root, metric=metric, parts=parts))
 
 
-def index_of(s: SparkSession, sf_dir: str, kind: str = "emb", root: int = ROOT) -> CellIndex:
-    return _cached_index(s.sparkContext.applicationId, sf_dir, kind, root)
+def index_of(s: SparkSession, sf_dir: str, kind: str = "emb", root: int = ROOT, n_sub: int | None = None, metric: str = "l2", parts: int = 2) -> CellIndex:
+    return _cached_index(s.sparkContext.applicationId, sf_dir, kind, root, n_sub, metric, parts)
 
 
-def _index_sql(rest: str, root: int = ROOT, walk: bool = False) -> str:
-    out = oracles.cell_index("emb", 25, 7, plan_of("emb"), root, ROUNDS)
+def _index_sql(rest: str, root: int = ROOT, walk: bool = False, kind: str = "emb", n_sub: int | None = None, metric: str = "l2", alpha: float = A_INDEX, parts: int = 2) -> str:
+    plan = plan_of(kind, n_sub)
+    out = oracles.cell_index(kind, *_set(kind)[:2], plan, root, ROUNDS, 0, metric, parts)
     if walk:
-        out += oracles.walked(plan_of("emb"), ROUNDS, oracles.ceil_share(A_INDEX))
+        out += oracles.walked(plan, ROUNDS, oracles.ceil_share(alpha), metric, parts)
     return out + rest
 
 
+def _indexed_sql(columns: str, root: int = ROOT, kind: str = "emb", n_sub: int | None = None, metric: str = "l2", alpha: float = A_INDEX, beta: float = B_INDEX, parts: int = 2) -> str:
+    """columns, with `recall` as $recall and the mean relative error as $mre."""
+    unit = SETS[kind][4]
+    recall = f"(SELECT count(*) FROM result JOIN truth USING (qid, id)) / CAST((SELECT count(DISTINCT qid) FROM q) * {K} AS DOUBLE)"
+    mre = "(SELECT round(avg(CASE WHEN t.distance > 0 THEN (r.distance - t.distance) / t.distance WHEN r.distance = 0 THEN 0.0 END), 6) FROM result r JOIN truth t USING (qid, rank))"
+    rest = oracles.result(oracles.pool_size(beta, K), K, metric, unit) + oracles.truth(K, metric, unit)
+    return _index_sql(rest, root, True, kind, n_sub, metric, alpha, parts) + " SELECT " + columns.replace("$recall", recall + " AS recall").replace("$mre", mre + " AS mre")
+
+
+def _indexed(s, d, root: int = ROOT, kind: str = "emb", n_sub: int | None = None, metric: str = "l2", alpha: float = A_INDEX, beta: float = B_INDEX, parts: int = 2) -> DataFrame:
+    """recall, mre of the indexed search."""
+    v = data(s, d, kind)
+    truth = exact_knn(v.points, v.queries, K, v.d, metric, v.unit)
+    found = indexed_search(index_of(s, d, kind, root, n_sub, metric, parts), v, SearchParams(K, alpha, beta, metric))
+    return evaluate.recall_at_k(found, truth, K).crossJoin(F.broadcast(evaluate.mean_relative_error(found, truth).drop("excluded")))  # two single rows
+
+
 query("cell_index_centroids", _index_sql(f" SELECT CAST(half AS INTEGER) AS half, CAST(cid AS INTEGER) AS cid, CAST(row_number() OVER (PARTITION BY half, cid ORDER BY dim) - 1 AS INTEGER) AS dim, x FROM c{ROUNDS}"))(
     lambda s, d: index_of(s, d).centroid_rows(s).select("half", "cid", F.posexplode("centroid").alias("dim", "x"))
 )
@@ -385,38 +427,57 @@ for _layout in ("forward", "inverted", "arrow"):
     )
 
 
-@query("indexed_vs_scan", f"SELECT 'indexed' AS method, * FROM ({_INDEXED + oracles.truth(K, 'l2', GRID)} SELECT (SELECT count(*) FROM result JOIN truth USING (qid, id)) / CAST((SELECT count(DISTINCT qid) FROM q) * {K} AS DOUBLE) AS recall) UNION ALL SELECT 'scan' AS method, * FROM ({oracles.scan('emb', 25, 7, plan_of('emb'), A_INDEX, B_INDEX, K, 'l2', GRID) + oracles.truth(K, 'l2', GRID)} SELECT (SELECT count(*) FROM result JOIN truth USING (qid, id)) / CAST((SELECT count(DISTINCT qid) FROM q) * {K} AS DOUBLE) AS recall)")
-def _indexed_vs_scan(s, d):
-    v, p = data(s, d, "emb"), SearchParams(K, A_INDEX, B_INDEX)
-    truth = exact_knn(v.points, v.queries, K, 64, unit=GRID)
-    both = {"indexed": indexed_search(index_of(s, d), v, p), "scan": collision_scan(v, plan_of("emb"), p)}
-    return _union([evaluate.recall_at_k(r, truth, K).select(F.lit(m).alias("method"), "recall") for m, r in both.items()])
+_VERSUS = [(kind, a, b) for kind in ("emb", "doc", "line") for a, b in ((A_INDEX, B_INDEX), (0.03, 0.003))]
 
 
-ROOTS = (2, 4, 8)
+def _scan_recall_sql(kind: str, alpha: float, beta: float) -> str:
+    unit = SETS[kind][4]
+    return oracles.scan(kind, *_set(kind)[:2], plan_of(kind), alpha, beta, K, "l2", unit) + oracles.truth(K, "l2", unit) + f" SELECT 'scan' AS method, (SELECT count(*) FROM result JOIN truth USING (qid, id)) / CAST((SELECT count(DISTINCT qid) FROM q) * {K} AS DOUBLE) AS recall"
 
 
-@query("sweep_k", " UNION ALL ".join(f"SELECT CAST({r} AS INTEGER) AS sqrt_k, * FROM ({_index_sql(oracles.result(oracles.pool_size(B_INDEX, K), K, 'l2', GRID), r, True) + oracles.truth(K, 'l2', GRID)} SELECT (SELECT count(*) FROM result JOIN truth USING (qid, id)) / CAST((SELECT count(DISTINCT qid) FROM q) * {K} AS DOUBLE) AS recall, CAST({8 * 64 * r} + (SELECT n FROM n) * 24 AS BIGINT) AS index_bytes)" for r in ROOTS))
-def _sweep_k(s, d):
-    v, p = data(s, d, "emb"), SearchParams(K, A_INDEX, B_INDEX)
-    truth = exact_knn(v.points, v.queries, K, 64, unit=GRID)
+def _set_columns(kind: str, a: float, b: float) -> str:
+    return f"'{kind}' AS dataset, CAST({a} AS DOUBLE) AS alpha, CAST({b} AS DOUBLE) AS beta"
+
+
+@query("indexed_vs_scan", " UNION ALL ".join(f"SELECT {_set_columns(*x)}, * FROM ({sql})" for x in _VERSUS for sql in (_indexed_sql("'indexed' AS method, $recall", kind=x[0], alpha=x[1], beta=x[2]), _scan_recall_sql(*x))))
+def _indexed_vs_scan(s, d):
+    """Both searches at the settings of the small sets and at the printed ones, on three sets."""
     out = []
-    for r in ROOTS:
-        i = index_of(s, d, root=r)
-        out.append(evaluate.recall_at_k(indexed_search(i, v, p), truth, K).select(F.lit(r).alias("sqrt_k"), "recall", F.lit(i.footprint()).cast("long").alias("index_bytes")))
+    for kind, a, b in _VERSUS:
+        v, p = data(s, d, kind), SearchParams(K, a, b)
+        truth = exact_knn(v.points, v.queries, K, v.d, unit=v.unit)
+        both = {"indexed": indexed_search(index_of(s, d, kind), v, p), "scan": collision_scan(v, plan_of(kind), p)}
+        out += [evaluate.recall_at_k(r, truth, K).select(F.lit(kind).alias("dataset"), F.lit(a).alias("alpha"), F.lit(b).alias("beta"), F.lit(m).alias("method"), "recall") for m, r in both.items()]
     return _union(out)
 
 
-@query("flat_vs_multi")
-def _flat_vs_multi(s, d):
-    """The multi-index and a flat index of as many cells: recall and distances computed per query and subspace."""
-    v, p = data(s, d, "emb"), SearchParams(K, A_INDEX, B_INDEX)
-    truth = exact_knn(v.points, v.queries, K, 64, unit=GRID)
-    flat = build_flat_index(v.points, plan_of("emb"), ROOT * ROOT, _INDEX_PARAMS)
-    rows = [("multi", index_of(s, d), 2 * ROOT), ("flat", flat, ROOT * ROOT)]
-    return _union([evaluate.recall_at_k(indexed_search(i, v, p), truth, K).select(F.lit(m).alias("method"), "recall", F.lit(c).alias("distances")) for m, i, c in rows])
+ROOTS = (2, 4, 8, 16, 32, 64)
+
+
+@query("sweep_k", " UNION ALL ".join(f"SELECT * FROM ({_indexed_sql(f'CAST({r} AS INTEGER) AS sqrt_k, $recall, CAST({8 * 64 * r} + (SELECT n FROM n) * 24 AS BIGINT) AS index_bytes', r)})" for r in ROOTS))
+def _sweep_k(s, d):
+    return _union([_indexed(s, d, r).select(F.lit(r).alias("sqrt_k"), "recall", F.lit(index_of(s, d, root=r).footprint()).cast("long").alias("index_bytes")) for r in ROOTS])
 
 
+#: The index in the parameter studies: name of the column, values, and how a value enters.
+INDEX_SWEEPS = {
+    "sweep_alpha_indexed": ("alpha", "DOUBLE", [0.01, 0.03, 0.05, 0.1, 0.2], lambda x: {"alpha": x}),
+    "sweep_beta_indexed": ("beta", "DOUBLE", [0.001, 0.005, 0.01, 0.05, 0.1, 0.2], lambda x: {"beta": x, "kind": "doc"}),
+    "sweep_subspaces_indexed": ("n_sub", "INTEGER", [2, 4, 6, 8, 10, 12, 16], lambda x: {"n_sub": x}),
+}
+for _name, (_column, _type, _values, _into) in INDEX_SWEEPS.items():
+    query(_name, " UNION ALL ".join(f"SELECT * FROM ({_indexed_sql(f'CAST({x} AS {_type}) AS {_column}, $recall, $mre', **_into(x))})" for x in _values))(
+        lambda s, d, c=_column, xs=_values, into=_into: _union([_indexed(s, d, **into(x)).select(F.lit(x).alias(c), "recall", "mre") for x in xs])
+    )
+query("metric_l1_l2_indexed", " UNION ALL ".join(f"SELECT * FROM ({_indexed_sql(f'{chr(39)}{kind}{chr(39)} AS dataset, {chr(39)}{m}{chr(39)} AS metric, $recall, $mre', kind=kind, metric=m)})" for kind in SETS for m in ("l1", "l2")))(
+    lambda s, d: _union([_indexed(s, d, kind=kind, metric=m).select(F.lit(kind).alias("dataset"), F.lit(m).alias("metric"), "recall", "mre") for kind in SETS for m in ("l1", "l2")])
+)
+
+
+@query("flat_vs_multi", " UNION ALL ".join(f"SELECT * FROM ({_indexed_sql(f'{chr(39)}{m}{chr(39)} AS method, $recall, CAST({c} AS INTEGER) AS distances', r, parts=p)})" for m, r, c, p in (("multi", ROOT, 2 * ROOT, 2), ("flat", ROOT * ROOT, ROOT * ROOT, 1))))
+def _flat_vs_multi(s, d):
+    """The multi-index and a flat index of as many cells: recall and distances computed per query and subspace."""
+    return _union([_indexed(s, d, r, parts=p).select(F.lit(m).alias("method"), "recall", F.lit(c).alias("distances")) for m, r, c, p in (("multi", ROOT, 2 * ROOT, 2), ("flat", ROOT * ROOT, ROOT * ROOT, 1))])
 
 
 # --- front ends, baselines, costs, streams (rows without SQL) ---------------------------------------------------------
@@ -442,93 +503,32 @@ def _fronts(s, d):
     return _union(out)
 
 
-#: Settings of each baseline, from narrow to wide.
-SETTINGS = {
-    "encoded_projection_trees": [{"beta": 0.05}, {"beta": 0.2}],
-    "query_centred_windows": [{"beta": 0.05}, {"beta": 0.2}],
-    "projected_metric_ball": [{"beta": 0.05}, {"beta": 0.2}],
-    "circular_match": [{"check_k": 64}, {"check_k": 256}],
-    "rotated_product_quantiser": [{"beta": 0.05}, {"beta": 0.2}],
-    "projection_forest": [{"search_k": 500}, {"search_k": 2000}],
-    "layered_graph": [{"ef": 20, "ef_build": 60}, {"ef": 100, "ef_build": 60}],
-    "tree_graph_hybrid": [{"probes": 1, "hops": 1}, {"probes": 2, "hops": 3}],
-}
-
-
-def _tradeoff(s, d, names) -> DataFrame:
-    from .operators import baselines
+GROWTH = (16, 4, 1)
 
-    methods = baselines.GUARANTEED | baselines.UNGUARANTEED
-    v = data(s, d, "emb")
-    truth = exact_knn(v.points, v.queries, K, v.d, unit=v.unit)
-    out = []
-    for n in names:
-        for x in SETTINGS[n]:
-            found = methods[n](v, K, **x)
-            row = evaluate.recall_at_k(found, truth, K).crossJoin(evaluate.mean_relative_error(found, truth).drop("excluded"))  # two single rows
-            out.append(row.select(F.lit(n).alias("method"), F.lit(str(x)).alias("setting"), "recall", "mre"))
-    p = SearchParams(K, A_INDEX, B_INDEX)
-    ours = indexed_search(index_of(s, d), v, p)
-    out.append(evaluate.recall_at_k(ours, truth, K).crossJoin(evaluate.mean_relative_error(ours, truth).drop("excluded")).select(F.lit("indexed").alias("method"), F.lit(f"alpha={p.alpha}, beta={p.beta}").alias("setting"), "recall", "mre"))
-    return _union(out)
 
+def _growth_sql(share: int) -> str:
+    where = f"id % {share} = {1 % share}"
+    return oracles.scan("line", 5000, 1, plan_of("line"), 0.05, 0.005, K, "l2", 1.0, where) + oracles.truth(K) + f" SELECT (SELECT n FROM n) AS n, (SELECT count(*) FROM result JOIN truth USING (qid, id)) / CAST((SELECT count(DISTINCT qid) FROM q) * {K} AS DOUBLE) AS recall"
 
-query("tradeoff_guaranteed")(lambda s, d: _tradeoff(s, d, ["encoded_projection_trees", "query_centred_windows", "projected_metric_ball", "circular_match"]))
-query("tradeoff_unguaranteed")(lambda s, d: _tradeoff(s, d, ["rotated_product_quantiser", "projection_forest", "layered_graph", "tree_graph_hybrid"]))
 
-
-def method_costs(s: SparkSession, sf_dir: str, names: list[str] | None = None) -> list[tuple[str, float, float, int]]:
-    """(method, seconds to build, seconds per query, bytes of index). Methods without a separate build are timed as a whole."""
-    from .operators import baselines
-
-    v = data(s, sf_dir, "emb")
-    nq = v.queries.count()
-    out = []
-    for n in names or ["indexed", "encoded_projection_trees", "projection_forest", "rotated_product_quantiser", "layered_graph", "tree_graph_hybrid"]:
-        if n == "indexed":
-            index, build = evaluate.timed(lambda: build_cell_index(v.points, plan_of("emb"), _INDEX_PARAMS))
-            t = evaluate.query_time(indexed_search(index, v, SearchParams(K, A_INDEX, B_INDEX)), nq)
-            out.append((n, build, t, index.footprint()))
-        elif n == "encoded_projection_trees":
-            state, build = evaluate.timed(lambda: baselines.build_encoded_trees(v))
-            out.append((n, build, evaluate.query_time(baselines.search_encoded_trees(state, v, K), nq), v.n * (8 + 2 * state.L * state.K) + 8 * state.weights.size))
-        elif n == "projection_forest":
-            forest, build = evaluate.timed(lambda: baselines.build_forest(v))
-            out.append((n, build, evaluate.query_time(baselines.search_forest(forest, v, K), nq), sum(8 * (1 + v.d) for t in forest.trees for x in t if x[0] is not None) + v.n * (8 + 4 * len(forest.trees))))
-        else:
-            frame, build = evaluate.timed(lambda n=n: (baselines.GUARANTEED | baselines.UNGUARANTEED)[n](v, K))
-            size = {"rotated_product_quantiser": v.n * (8 + 4 + 8), "layered_graph": v.n * 25 * 4, "tree_graph_hybrid": v.n * (10 * 8 + 8 * v.d)}.get(n, v.n * 64)
-            out.append((n, build, evaluate.query_time(frame, nq), size))
-    return out
-
-
-@query("index_cost")
-def _index_cost(s, d):
-    return s.createDataFrame([(m, b, int(size)) for m, b, _, size in method_costs(s, d)], "method string, seconds double, bytes long")
-
-
-@query("cumulative_cost")
-def _cumulative(s, d):
-    from .costmodel import cumulative_cost
-
-    rows = [(m, q, cumulative_cost(b, t, q)) for m, b, t, _ in method_costs(s, d) for q in (0, 100, 10_000, 1_000_000)]
-    return s.createDataFrame(rows, "method string, queries long, seconds double")
-
-
-
-@query("scaling")
+@query("scaling", " UNION ALL ".join(f"SELECT * FROM ({_growth_sql(x)})" for x in GROWTH))
 def _scaling(s, d):
     """Recall of the scan on growing parts of the line items; the points are 8-dimensional."""
     out = []
     lines = vectors.line(s, d).persist()
-    for share in (16, 4, 1):
-        v = held_out(lines.where(F.pmod("id", F.lit(share)) == 1 % share), 5000, 1, 8)
-        found = collision_scan(v, plan_contiguous(8, 4), SearchParams(K, 0.05, 0.005))
+    for share in GROWTH:
+        v = held_out(lines.where(F.pmod(F.col("id"), F.lit(share)) == 1 % share), 5000, 1, 8)
+        found = collision_scan(v, plan_of("line"), SearchParams(K, 0.05, 0.005))
         out.append(evaluate.recall_at_k(found, exact_knn(v.points, v.queries, K, 8), K).select(F.lit(v.n).cast("long").alias("n"), "recall"))
     return _union(out)
 
 
-@query("walk_trace")
+_TRACE = """WITH a(i, x) AS (VALUES (0, 0.2), (1, 0.4), (2, 0.6), (3, 0.9)), b(j, y) AS (VALUES (0, 0.5), (1, 0.8), (2, 1.2), (3, 1.4)),
+  c AS (SELECT i, j, CAST(x AS DOUBLE) + CAST(y AS DOUBLE) AS total, row_number() OVER (ORDER BY CAST(x AS DOUBLE) + CAST(y AS DOUBLE), i, j) AS round FROM a, b)
+  SELECT CAST(round AS INTEGER) AS round, i AS pos1, j AS pos2, total, CAST(least(4, 1 + (SELECT count(*) FROM c e WHERE e.round < c.round AND e.j = 0)) - (SELECT count(*) FROM c e WHERE e.round < c.round AND e.j = 3) AS INTEGER) AS active FROM c WHERE round <= 6"""
+
+
+@query("walk_trace", _TRACE)
 def _walk_trace(s, d):
     from . import sqlapi
 
