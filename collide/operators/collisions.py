@@ -126,18 +126,11 @@ def collision_scores(hits: DataFrame) -> DataFrame:
 def scan_scores(points: DataFrame, queries: DataFrame, plan: SubspacePlan, m: int, metric: str = "l2", select: str = "histogram", kernel: str = "auto") -> DataFrame:
     """qid, id, score of every point, score 0 included.
 
-    With `histogram` no hits are shuffled: the borders, one per query and subspace, go to the rows. With `rank` all hits are
-    ranked by windows; it is the plain form for small inputs and the check of the other.
+    With `histogram` borders are found by distance classes (`hit_scores`). With `rank` all hits are ranked by windows; it is the
+    plain form for small inputs and the check of the other.
     """
-    parts = part_distances(points, queries, list(plan.dims), metric, kernel)
     if select == "rank":
         hits = subspace_collisions(points, queries, plan, m, metric, "rank")
         return points.select("id").crossJoin(F.broadcast(queries.select("qid"))).join(collision_scores(hits), ["qid", "id"], "left").select("qid", "id", F.coalesce("score", F.lit(0)).alias("score"))
-    limits = borders(exploded(parts), ["qid", "sub"], "dist", "id", m)
-    per_query = limits.groupBy("qid").agg(F.array_sort(F.collect_list(F.struct("sub", F.col("limit_value").alias("v"), F.col("limit_tie").alias("t")))).alias("limits"))
-    tagged = parts.join(F.broadcast(per_query), "qid")
-    hit = [(F.col("parts")[s] < F.col("limits")[s]["v"]) | ((F.col("parts")[s] == F.col("limits")[s]["v"]) & (F.col("id") <= F.col("limits")[s]["t"])) for s in range(plan.n_sub)]
-    score = hit[0].cast("int")
-    for h in hit[1:]:
-        score = score + h.cast("int")
-    return tagged.select("qid", "id", score.alias("score"))
+    hits = hit_scores(points, queries, plan, m, metric, kernel)
+    return points.select("id").crossJoin(F.broadcast(queries.select("qid"))).join(hits, ["qid", "id"], "left").select("qid", "id", F.coalesce("score", F.lit(0)).alias("score"))

@@ -45,6 +45,11 @@ def user_windows(events: DataFrame, late: str = "1 hour", size: str = "1 day", s
     return e.groupBy(w.alias("w"), "user_id", "event_type").agg(F.count(F.lit(1)).alias("n")).select(F.col("w.start").alias("start"), "user_id", "event_type", "n")
 
 
+def late_rows(query: StreamingQuery) -> int:
+    """Rows that a query's watermark has dropped so far."""
+    return sum(op.numRowsDroppedByWatermark for p in query.recentProgress for op in p.stateOperators)
+
+
 def user_sessions(events: DataFrame, gap: str = "30 minutes", late: str = "1 hour") -> DataFrame:
     e = _timed(events, late)
     return e.groupBy(F.session_window("ts", gap).alias("w"), "user_id").agg(F.count(F.lit(1)).alias("n")).select(F.col("w.start").alias("start"), F.col("w.end").alias("end"), "user_id", "n")

@@ -52,6 +52,15 @@ def answer_bound(k: int, n: int) -> float:
     return 1 - n**4 / (2 * (n + 1) ** 2 * (n + 2) * k * (n - k + 1))
 
 
+def answer_condition(k: int, n: int, ns: int, m: float, var: float, alpha: float) -> tuple[float, float, bool]:
+    """The t at which the answer bound is one half, the t that its condition asks for, and whether the first exceeds the second."""
+    q = k / (n + 1)
+    normal = NormalDist()
+    t = sqrt(2 * ns * var) / n * k * (n - k + 1) / n / normal.pdf(normal.inv_cdf(q))
+    least = ns * m * sqrt((1 - alpha) * (1 + var / (m * m))) - kth_moments(k, n, ns, m, var)[0]
+    return t, least, t > least
+
+
 def ordering_agreement(scores: DataFrame, distances: DataFrame, n_sub: int) -> DataFrame:
     """high, low, pairs, agreement: of all pairs of points with scores high > low, the share whose distances agree.
 

@@ -16,7 +16,7 @@ from .functions.distances import order_distance, true_distance
 from .functions.vectors import VectorSet, held_out
 from .operators.candidates import top_scored
 from .operators.cellindex import CellIndex, IndexParams, build_cell_index
-from .operators.collisions import collision_scores, exploded, part_distances, scan_scores, subspace_collisions, whole_space_collisions
+from .operators.collisions import RANKED_POINTS, collision_scores, exploded, part_distances, scan_scores, subspace_collisions, whole_space_collisions
 from .operators.exact import blocks_of, exact_knn, first_k, paired, radius_search
 from .operators.scan import SearchParams, collision_scan
 from .operators.search import activated_cells, count_hits_postings, indexed_search, score_codes
@@ -157,7 +157,7 @@ CURVE = 20
 
 
 def pareto_curve(v: VectorSet, plan: SubspacePlan, alpha: float = 0.1, buckets: int = CURVE) -> DataFrame:
-    scores = scan_scores(v.points, v.queries, plan, share_of(alpha, v.n))
+    scores = scan_scores(v.points, v.queries, plan, share_of(alpha, v.n), select="rank" if v.n <= RANKED_POINTS else "histogram")
     whole = paired(v.points, v.queries).select("qid", "id", order_distance("vec", "qvec", v.d).alias("dist"))
     return evaluate.score_by_rank(scores, whole, buckets)
 
@@ -201,7 +201,7 @@ query("subspace_moments", oracles.base("demand", 100, 1, plan_of("demand")) + "
     SELECT a.score AS high, b.score AS low, count(*) AS pairs, CAST(count(*) FILTER (WHERE a.dist < b.dist) AS DOUBLE) / count(*) AS agreement FROM x a JOIN x b ON a.qid = b.qid AND a.score > b.score GROUP BY ALL""")
 def _agreement(s, d):
     v = data(s, d, "doc")
-    scores = scan_scores(v.points, v.queries, plan_of("doc"), share_of(0.05, v.n))
+    scores = scan_scores(v.points, v.queries, plan_of("doc"), share_of(0.05, v.n), select="rank" if v.n <= RANKED_POINTS else "histogram")
     return theory.ordering_agreement(scores, paired(v.points, v.queries).select("qid", "id", order_distance("vec", "qvec", 64).alias("dist")), 8)
 
 
@@ -480,27 +480,7 @@ def _flat_vs_multi(s, d):
     return _union([_indexed(s, d, r, parts=p).select(F.lit(m).alias("method"), "recall", F.lit(c).alias("distances")) for m, r, c, p in (("multi", ROOT, 2 * ROOT, 2), ("flat", ROOT * ROOT, ROOT * ROOT, 1))])
 
 
-# --- front ends, baselines, costs, streams (rows without SQL) ---------------------------------------------------------
-
-
-@query("front_end_ablation")
-def _fronts(s, d):
-    from .operators.fronts import front_end
-
-    out = []
-    for kind, n_sub, alpha, beta in (("emb", 8, 0.1, 0.1), ("doc", 4, 0.1, 0.05), ("doc", 8, 0.05, 0.1)):
-        v = data(s, d, kind)
-        truth = exact_knn(v.points, v.queries, K, v.d, unit=v.unit)
-        p = SearchParams(K, alpha, beta)
-        for front in ("divide", "lsh", "pca"):
-            f = front_end(v, front, 32)
-            plan = plan_contiguous(f.d, n_sub)
-            pool = top_scored(scan_scores(f.points, f.queries, plan, p.collide(v.n), select="rank"), p.pool(v.n), n=v.n)
-            from .operators.candidates import rerank
-
-            found = rerank(pool, v.points, v.queries, K, v.d, unit=v.unit)
-            out.append(evaluate.recall_at_k(found, truth, K).select(F.lit(kind).alias("dataset"), F.lit(front).alias("front"), F.lit(n_sub).alias("n_sub"), F.lit(alpha).alias("alpha"), F.lit(beta).alias("beta"), "recall"))
-    return _union(out)
+# --- growth, walks by hand, streams ------------------------------------------------------------------------------------
 
 
 GROWTH = (16, 4, 1)
