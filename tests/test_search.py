@@ -9,13 +9,13 @@ from hypothesis import given, settings
 from hypothesis import strategies as st
 from pyspark.sql import functions as F
 
-from collide import costmodel, evaluate, sqlapi, theory, workloads
-from collide.functions.vectors import VectorSet, held_out, validate_vectors
-from collide.operators import baselines, walks
+from collide import costmodel, evaluate, sqlapi, studies, theory, workloads
+from collide.functions.vectors import VectorSet, held_out, numbered, validate_vectors
+from collide.operators import baselines, clustering, walks
 from collide.operators.candidates import top_scored
-from collide.operators.cellindex import CellIndex, IndexParams, build_cell_index, build_flat_index
-from collide.operators.collisions import scan_scores
-from collide.operators.exact import exact_knn
+from collide.operators.cellindex import CellIndex, IndexParams, build_cell_index, build_flat_index, suggest_index
+from collide.operators.collisions import hit_scores, scan_scores
+from collide.operators.exact import exact_knn, in_blocks
 from collide.operators.fronts import front_end
 from collide.operators.scan import SearchParams, collision_scan, suggest_params
 from collide.operators.search import activated_cells, count_hits_postings, indexed_search, score_codes, score_codes_arrow
@@ -26,6 +26,7 @@ from collide.streaming import online
 
 SF = "/root/testdata/sf0.001"
 PLAN = plan_contiguous(64, 8)
+R = random.Random(3)
 
 
 @pytest.fixture(scope="module")
@@ -88,6 +89,62 @@ def test_borders_equal_ranking(emb, metric):
     assert all(r["s"] == 8 * m and 0 <= r["lo"] <= r["hi"] <= 8 for r in total)
 
 
+@pytest.mark.parametrize("metric,m", [("l2", 24), ("l1", 100), ("l2", 1), ("l2", 480)])
+def test_scores_by_distance_classes(emb, metric, m):
+    """Two passes give the ranked scores; copies and equal distances included."""
+    points = emb.points.unionByName(emb.points.select((F.col("id") + 10_000).alias("id"), "vec").where("id % 3 = 0"))
+    plain = {tuple(r) for r in scan_scores(points, emb.queries, PLAN, m, metric, select="rank").collect()}
+    assert {tuple(r) for r in scan_scores(points, emb.queries, PLAN, m, metric).collect()} == plain
+    assert {tuple(r) for r in hit_scores(points, emb.queries, PLAN, m, metric).collect()} == {r for r in plain if r[2]}
+
+
+def test_scan_forms_each_distance_twice(spark, emb, monkeypatch):
+    """The executed passes over all pairs: one to count, one to write; the pool comes from what was written."""
+    from collide.operators import collisions
+
+    passes = []
+    real = collisions.part_distances
+    monkeypatch.setattr(collisions, "part_distances", lambda *a, **k: passes.append(1) or real(*a, **k))
+    result = collision_scan(emb, PLAN, SearchParams(10, 0.1, 0.1), select="histogram")
+    assert len(passes) == 1 and "BroadcastNestedLoopJoin" not in result._jdf.queryExecution().executedPlan().toString()
+
+
+def test_blocks_of_queries_change_nothing(emb, index):
+    p = SearchParams(10, 0.1, 0.1)
+    for run in (lambda b: collision_scan(b, PLAN, p), lambda b: indexed_search(index, b, p), lambda b: exact_knn(b.points, b.queries, 10, 64)):
+        assert {tuple(r) for r in in_blocks(emb, run, rows=6).collect()} == {tuple(r) for r in run(emb).collect()}
+
+
+def test_numbers_are_those_of_one_sorted_window(spark):
+    lines = spark.read.parquet(f"{SF}/lineitem.parquet")
+    from pyspark.sql import Window
+
+    plain = lines.select(F.row_number().over(Window.orderBy(*lines.columns)).cast("long").alias("id"), "l_orderkey", "l_linenumber", "l_extendedprice", "l_shipdate")
+    mine = numbered(lines.repartition(7)).select(*plain.columns)
+    assert plain.exceptAll(mine).isEmpty() and mine.count() == lines.count()
+
+
+def test_scores_know_ranks_only_by_their_side_of_the_border(spark):
+    """Any change of distances that keeps who is inside keeps the scores."""
+    rows = [(i, [float(R.randrange(1, 60)), float(R.randrange(1, 60))]) for i in range(80)]
+    q = spark.createDataFrame([(0, [0.0, 0.0])], "qid long, qvec array<double>")
+    a = spark.createDataFrame(rows, "id long, vec array<double>")
+    b = a.select("id", F.transform("vec", lambda x: x * x * x + 5).alias("vec"))
+    plan = plan_contiguous(2, 2)
+    got = [{tuple(r) for r in scan_scores(p, q, plan, 9, select="rank").collect()} for p in (a, b)]
+    assert got[0] == got[1]
+
+
+@pytest.mark.parametrize("policy", ["hash", "all"])
+def test_tie_policies(emb, policy):
+    scores = scan_scores(emb.points, emb.queries, PLAN, 48, select="rank").persist()
+    plain = top_scored(scores, 40).groupBy("qid").agg(F.min("score").alias("cut"))
+    got = top_scored(scores, 40, policy).join(plain, "qid")
+    assert got.where("score < cut").isEmpty()
+    n = got.groupBy("qid").count()
+    assert n.where("count < 40").isEmpty() and (policy == "all" or n.where("count > 40").isEmpty())
+
+
 def test_pools_by_histogram_and_ranking(emb):
     s = scan_scores(emb.points, emb.queries, PLAN, share_of(0.1, emb.n), select="rank").persist()
     for policy in ("id", "hash"):
@@ -199,6 +256,43 @@ def test_other_numbers_of_parts(emb, truth, parts, k):
     assert r > 0.5
 
 
+def test_l1_index_and_other_options(emb):
+    true = exact_knn(emb.points, emb.queries, 10, 64, "l1", emb.unit)
+    ix = build_cell_index(emb.points, PLAN, IndexParams(sqrt_k=6, iterations=3, metric="l1", how="farthest"))
+    assert evaluate.recall_at_k(indexed_search(ix, emb, SearchParams(10, 0.2, 0.3, "l1")), true, 10).first()["recall"] > 0.5
+    with pytest.raises(ValueError):
+        indexed_search(ix, emb, SearchParams(10, 0.2, 0.3))
+    plain = build_cell_index(emb.points, PLAN, IndexParams(sqrt_k=6, iterations=2))
+    cells = [activated_cells(plain, emb.queries, 48, half_distance=h).select("qid", "sub", "cell") for h in ("squared", "plain")]
+    assert 0.5 < cells[0].intersect(cells[1]).count() / cells[0].count() < 1
+    assert suggest_index(10**6).sqrt_k == 50 and suggest_index(800).sqrt_k == 10
+
+
+def test_stored_postings_are_read_by_cell(spark, emb, index, tmp_path):
+    index.write(str(tmp_path / "stored"))
+    kept = CellIndex.load(spark, str(tmp_path / "stored"))
+    one = VectorSet(emb.points, emb.queries.limit(1).persist(), emb.d, emb.unit, emb.n)
+    cells = activated_cells(kept, one.queries, 10).persist()
+    hits = count_hits_postings(kept.postings(), cells)
+    plan = hits._jdf.queryExecution().executedPlan().toString()
+    pushed = plan[plan.index("PushedFilters") :]
+    assert "PartitionFilters: [(((" in plan or "sub#" in plan[plan.index("PartitionFilters") : plan.index("PushedFilters")]
+    assert "cell" in pushed[: pushed.index("ReadSchema")]
+    want = count_hits_postings(index.postings(), cells)
+    assert {tuple(r) for r in hits.collect()} == {tuple(r) for r in want.collect()}
+    assert {tuple(r) for r in indexed_search(kept, emb, SearchParams(10, 0.1, 0.1), layout="inverted").collect()} == {tuple(r) for r in indexed_search(index, emb, SearchParams(10, 0.1, 0.1)).collect()}
+
+
+def test_closest_centroids_equal_plain_differences():
+    rng = np.random.default_rng(0)
+    x, c = rng.standard_normal((5_000, 7)), rng.standard_normal((300, 7))
+    c[17] = c[5]
+    for metric in ("l1", "l2"):
+        diff = x[:, None, :] - c[None]
+        far = np.abs(diff).sum(axis=2) if metric == "l1" else (diff * diff).sum(axis=2)
+        assert (clustering.assign(x, c, metric) == far.argmin(axis=1)).all()
+
+
 def test_library_trainer(emb, truth):
     ix = build_cell_index(emb.points, PLAN, IndexParams(sqrt_k=4, iterations=3, trainer="mllib", seed=1))
     assert evaluate.recall_at_k(indexed_search(ix, emb, SearchParams(10, 0.2, 0.3)), truth, 10).first()["recall"] > 0.5
@@ -218,6 +312,31 @@ def test_full_probing_is_exact(emb, truth, name):
     assert evaluate.recall_at_k(search(emb, 10, **FULL[name]), truth, 10).first()["recall"] == 1.0
 
 
+@pytest.mark.parametrize("name", FULL)
+def test_builds_are_kept_and_searched_again(emb, truth, name):
+    """One build answers narrow and wide probes, in any blocks of queries; a wider probe is at least as good, and bytes are those
+    of what is stored."""
+    method = (baselines.GUARANTEED | baselines.UNGUARANTEED)[name]
+    state = method.build(emb, **studies.BUILD.get(name, {}))
+    assert state.bytes() > 480 * 8 and all(t.inputFiles() for t in state.tables.values())
+    narrow, wide = (method.search(state, emb, 10, **x).persist() for x in studies.SETTINGS[name])
+    recall = [evaluate.recall_at_k(r, truth, 10).first()["recall"] for r in (narrow, wide)]
+    assert 0.1 < recall[0] <= recall[1] + 0.02
+    blocks = in_blocks(emb, lambda b: method.find(state, b, 10, **studies.SETTINGS[name][0]), rows=7)
+    assert {tuple(r) for r in blocks.collect()} == {tuple(r) for r in narrow.collect()}
+
+
+def test_leaves_stay_bounded(spark):
+    """Four times the points give more leaves, not larger ones."""
+    most = []
+    for n in (1_000, 4_000):
+        v = held_out(vectors_io.synthetic_vectors(spark, n, 16, 3, 20).persist(), 100, 3, 16)
+        boxes = baselines.build_encoded_trees(v, leaf_rows=64)["boxes"]
+        tree = baselines.build_tree_graph(v, leaf_rows=100)
+        most.append((boxes.agg(F.avg("n")).first()[0], max(tree["sizes"].values())))
+    assert all(a <= 130 and b <= 200 for a, b in most), most
+
+
 def test_front_ends(emb, truth):
     for front in ("divide", "lsh", "pca"):
         f = front_end(emb, front, 32)
@@ -261,7 +380,7 @@ def test_theory():
 def test_costs_order_the_methods():
     c = {m: costmodel.predict(m, 10_000_000, 128) for m in costmodel.METHODS}
     assert c["indexed"]["query"] < c["scan"]["query"] and c["indexed"]["space"] < c["encoded_projection_trees"]["space"] * 0.2
-    assert costmodel.choose_layout(1, 0.03, 10**9, 8) == "forward" or costmodel.choose_layout(1, 0.001, 10**9, 8) == "inverted"
+    assert costmodel.choose_layout(1, 0.03, 10**9, 8) == "inverted" and costmodel.choose_layout(8, 0.1, 10**9, 8) == "forward"
     assert costmodel.choose_layout(100, 0.03, 10**9, 8) == "arrow" and costmodel.clusterings(8) == 16
 
 
@@ -289,6 +408,25 @@ def test_sources(spark, tmp_path):
     assert validate_vectors(vectors_io.synthetic_vectors(spark, 100, 8, 1, 5)) == (100, 8)
 
 
+def test_orc_and_sessions(spark, tmp_path):
+    df = vectors_io.synthetic_vectors(spark, 40, 4, 1)
+    df.write.orc(str(tmp_path / "o"))
+    assert vectors_io.load_vectors(spark, str(tmp_path / "o"), format="orc").count() == 40
+    e = spark.createDataFrame([(1, "2024-01-01 00:00:00"), (1, "2024-01-01 00:20:00"), (1, "2024-01-01 02:00:00"), (2, "2024-01-01 00:00:00")], "user_id long, ts string")
+    assert sorted((r["user_id"], r["n"]) for r in online.user_sessions(e).collect()) == [(1, 1), (1, 2), (2, 1)]
+
+
+def test_late_rows_are_counted(spark, tmp_path):
+    """Rows behind the watermark are dropped, and how many is told."""
+    schema = "event_id long, ts timestamp, user_id long, event_type string, value double, props string"
+    for i, days in enumerate(([10, 11], [12], [1, 2, 13])):
+        spark.createDataFrame([(d, None, 1, "click", 1.0, "{}") for d in days], schema).withColumn("ts", F.timestamp_seconds(F.col("event_id") * 86_400)).coalesce(1).write.mode("append").parquet(str(tmp_path / "in" / str(i)))
+    stream = spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).parquet(str(tmp_path / "in" / "*"))
+    q = online.user_windows(stream).writeStream.format("noop").outputMode("append").option("checkpointLocation", str(tmp_path / "cp")).trigger(availableNow=True).start()
+    q.awaitTermination()
+    assert online.late_rows(q) == 2
+
+
 def test_sql_surface(spark, emb):
     sqlapi.register(spark)
     assert spark.sql("SELECT l2_squared(array(0D, 3D), array(4D, 0D)) AS a, l1_distance(array(0D, 3D), array(4D, 0D)) AS b, subspace_l2(array(0D, 3D), array(4D, 0D), 2, 1) AS c").first()[:] == (25.0, 7.0, 9.0)
@@ -322,7 +460,7 @@ def test_streams_equal_batches(spark, index, emb, tmp_path):
 
 # --- oracles ----------------------------------------------------------------------------------------------------------
 
-FAST = ["exact_knn", "collision_scan", "collision_scan_l1", "scan_random_plan", "subspace_collisions", "sweep_beta", "pareto_curve_doc", "cell_codes", "walk_cells_heap", "indexed_search", "user_windows", "asof_user_vector"]
+FAST = ["exact_knn", "collision_scan", "collision_scan_l1", "scan_random_plan", "subspace_collisions", "sweep_beta", "pareto_curve_doc", "cell_codes", "walk_cells_heap", "indexed_search", "user_windows", "asof_user_vector", "walk_trace", "complexity_table", "scaling", "flat_vs_multi", "guarantee_scope", "moments_identity", "front_ends_divide_lsh", "ranks_full_outer", "recall_cube"]
 
 
 @pytest.mark.parametrize("name", FAST)
