@@ -439,11 +439,13 @@ def _set_columns(kind: str, a: float, b: float) -> str:
     return f"'{kind}' AS dataset, CAST({a} AS DOUBLE) AS alpha, CAST({b} AS DOUBLE) AS beta"
 
 
-@query("indexed_vs_scan", " UNION ALL ".join(f"SELECT {_set_columns(*x)}, * FROM ({sql})" for x in _VERSUS for sql in (_indexed_sql("'indexed' AS method, $recall", kind=x[0], alpha=x[1], beta=x[2]), _scan_recall_sql(*x))))
-def _indexed_vs_scan(s, d):
-    """Both searches at the settings of the small sets and at the printed ones, on three sets."""
+def _versus_sql(settings) -> str:
+    return " UNION ALL ".join(f"SELECT {_set_columns(*x)}, * FROM ({sql})" for x in settings for sql in (_indexed_sql("'indexed' AS method, $recall", kind=x[0], alpha=x[1], beta=x[2]), _scan_recall_sql(*x)))
+
+
+def _versus(s, d, settings) -> DataFrame:
     out = []
-    for kind, a, b in _VERSUS:
+    for kind, a, b in settings:
         v, p = data(s, d, kind), SearchParams(K, a, b)
         truth = exact_knn(v.points, v.queries, K, v.d, unit=v.unit)
         both = {"indexed": indexed_search(index_of(s, d, kind), v, p), "scan": collision_scan(v, plan_of(kind), p)}
@@ -451,6 +453,11 @@ def _indexed_vs_scan(s, d):
     return _union(out)
 
 
+query("indexed_vs_scan", _versus_sql(_VERSUS[:1]))(lambda s, d: _versus(s, d, _VERSUS[:1]))
+#: At the settings of the small sets and at the printed ones, on three sets.
+query("indexed_vs_scan_sets", _versus_sql(_VERSUS))(lambda s, d: _versus(s, d, _VERSUS))
+
+
 ROOTS = (2, 4, 8, 16, 32, 64)
 
 
