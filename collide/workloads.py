@@ -21,7 +21,7 @@ from .operators.exact import blocks_of, exact_knn, first_k, paired, radius_searc
 from .operators.scan import SearchParams, collision_scan
 from .operators.search import activated_cells, count_hits_postings, indexed_search, score_codes
 from .plans.subspaces import SubspacePlan, plan_contiguous, plan_random
-from .session import BROADCAST_QUERIES, share_of
+from .session import BROADCAST_QUERIES, materialise, share_of
 
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
@@ -34,8 +34,9 @@ SETS = {"emb": (vectors.emb_grid, 25, 7, 64, GRID), "doc": (vectors.doc_counts,
 
 
 def data(spark: SparkSession, sf_dir: str, kind: str) -> VectorSet:
+    """A vector set of the tables: derived once and written, so that passes over it do not derive it again."""
     make, mod, rest, d, unit = SETS[kind]
-    return held_out(make(spark, sf_dir), mod, rest, d, unit)
+    return held_out(materialise(make(spark, sf_dir), kind), mod, rest, d, unit)
 
 
 def plan_of(kind: str, n_sub: int | None = None) -> SubspacePlan:
