@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import common
-from .repeats import ANCHORS, CTX_BITS, MARK, OPEN, REP, RangeHash, classify, numbers, range_arrays, repeated_windows, settle, unpacked, with_ranges
+from .repeats import ANCHORS, CTX_BITS, MARK, OPEN, REP, RangeHash, classify, merge_ranges, range_arrays, repeated_windows, settle, unpacked, with_ranges
 
 WINDOW = 35
 #: A perfect difference set, every residue modulo PERIOD is a difference of two members.
@@ -63,28 +63,29 @@ def _anchors(window: int):
     return find
 
 
+#: Fixed value: sets a second hash of the same words apart from the first.
+SECOND = np.uint64(0xC2B2AE3D27D4EB4F)
+
+
 def _extend(window: int):
-    """All windows of anchors to be compared, named by anchor hash, place and all their words."""
+    """The windows that anchors to be compared answer for, each once, named by all their words: which anchor brought a window
+    here does not matter to whether its words are found again."""
 
     def extend(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             out: list[list[np.ndarray]] = []
             for i, key in enumerate(b.column("key").to_pylist()):
                 lo, hi = range_arrays(b.column("ranges"), i)
-                h = numbers(b.column("names"), i)
                 if not len(lo):
                     continue
-                words = common.words_of(unpacked(b.column("packed")[i].as_py()).decode("utf-8", "surrogatepass"))
+                _, lo, hi = merge_ranges(np.zeros(len(lo), dtype=np.int64), lo, hi)
+                w = common.word_hashes(common.words_of(unpacked(b.column("packed")[i].as_py()).decode("utf-8", "surrogatepass")))
                 sizes = hi - lo + 1
-                which = np.repeat(np.arange(len(lo)), sizes)
-                p = np.arange(len(which)) - np.repeat(np.cumsum(sizes) - sizes, sizes) + lo[which]
-                name = RangeHash(common.word_hashes(words))(p, p + window)
-                out.append([common.mix(h[which].view(np.uint64) ^ name), name, np.full(len(p), key, dtype=np.int64), p])
+                p = np.arange(int(sizes.sum())) + np.repeat(lo - np.cumsum(sizes) + sizes, sizes)
+                out.append([RangeHash(w)(p, p + window), RangeHash(common.mix(w ^ SECOND))(p, p + window), np.full(len(p), key, dtype=np.int64), p])
             if out:
                 h, ctx, key, p = (np.concatenate(x) for x in zip(*out, strict=True))
-                # the same window under the same anchor of the same document is one occurrence
-                _, one = np.unique(np.stack([h.view(np.int64), key, p]), axis=1, return_index=True) if len(h) else (None, np.empty(0, dtype=np.int64))
-                yield settle(h[one], ctx[one] & CTX_BITS, key[one], p[one], p[one])
+                yield settle(h, ctx & CTX_BITS, key, p, p)
 
     return extend
 
@@ -96,7 +97,7 @@ def repeated_word_windows(docs: DataFrame, window: int = WINDOW) -> DataFrame:
 
     def compare(first: DataFrame) -> DataFrame:
         some = first.where(F.col("state").isin(OPEN, REP))
-        return classify(with_ranges(docs, some, "inner", named=True).mapInArrow(_extend(window), ANCHORS)).where(F.col("state") == MARK)
+        return classify(with_ranges(docs, some, "inner").mapInArrow(_extend(window), ANCHORS)).where(F.col("state") == MARK)
 
     return repeated_windows(docs, _anchors(window), compare)
 
