@@ -2,13 +2,17 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+from fractions import Fraction
 from math import e, sqrt
 from statistics import NormalDist
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .operators.collisions import exploded, part_distances
+from . import session
 from .plans.subspaces import SubspacePlan
 
 GAMMA = 0.375  # fixed value: the usual shift of normal order statistics
@@ -16,8 +20,56 @@ GAMMA = 0.375  # fixed value: the usual shift of normal order statistics
 
 def subspace_moments(points: DataFrame, queries: DataFrame, plan: SubspacePlan, unit: float = 1.0) -> DataFrame:
     """sub, mean, variance of squared distances in each subspace over all pairs."""
-    d = exploded(part_distances(points, queries, list(plan.dims)))
-    return d.groupBy("sub").agg((F.avg("dist") / unit**2).alias("mean"), (F.var_pop("dist") / unit**4).alias("variance"))
+    rows = [(s, m / unit**2, v / unit**4) for s, (m, v) in enumerate(pair_moments(points, queries, [list(x) for x in plan.dims])) if m is not None]
+    return points.sparkSession.createDataFrame(rows, "sub int, mean double, variance double")
+
+
+def _sums(vectors: DataFrame, vec: str, dims: list[list[int]]) -> list[tuple]:
+    """Per list of dimensions: number, sums of x, of x x', of |x|**2 x, and of |x|**4, exact for whole numbers; one pass."""
+    session.ship(vectors.sparkSession)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total = None
+        for b in batches:
+            at = b.column("vec").filter(b.column("vec").is_valid())
+            x = at.flatten().to_numpy(zero_copy_only=False).reshape(len(at), -1)
+            part = []
+            for d in dims:
+                for lo in range(0, len(x), 4096):  # sums of whole numbers stay exact in a block, and are added up as Python's
+                    y = x[lo : lo + 4096, d]
+                    square = (y * y).sum(axis=1)
+                    sums = np.concatenate([[len(y)], y.sum(axis=0), (y.T @ y).reshape(-1), square @ y, [square @ square]])
+                    part.append((tuple(d), [Fraction(v) for v in sums.tolist()]))
+            for d, sums in part:
+                total = total or {}
+                total[d] = [a + b for a, b in zip(total[d], sums, strict=True)] if d in total else sums
+        for i, d in enumerate(dims):
+            if total and tuple(d) in total:
+                yield pa.RecordBatch.from_arrays([pa.array([i], pa.int32()), pa.array([[str(v) for v in total[tuple(d)]]], pa.list_(pa.string()))], ["part", "sums"])
+
+    out: list = [None] * len(dims)
+    for r in vectors.select(F.col(vec).alias("vec")).mapInArrow(run, "part int, sums array<string>").toLocalIterator():  # a few numbers per task
+        sums = [Fraction(v) for v in r["sums"]]
+        out[r["part"]] = sums if out[r["part"]] is None else [a + b for a, b in zip(out[r["part"]], sums, strict=True)]
+    return out
+
+
+def pair_moments(points: DataFrame, queries: DataFrame, dims: list[list[int]]) -> list[tuple[float | None, float | None]]:
+    """Per list of dimensions: mean and variance of squared distances over all pairs of points and queries. No pair is formed: the
+    square of |p|**2 + |q|**2 - 2 p.q is a sum of products of moments of either side. None where a side is empty."""
+    out: list[tuple[float | None, float | None]] = []
+    for d, p, q in zip(dims, _sums(points, "vec", dims), _sums(queries, "qvec", dims), strict=True):
+        if p is None or q is None:
+            out.append((None, None))
+            continue
+        w = len(d)
+        (p1, p2, p3, p4), (q1, q2, q3, q4) = (([v / x[0] for v in x[1 : 1 + w]], [v / x[0] for v in x[1 + w : 1 + w + w * w]], [v / x[0] for v in x[1 + w + w * w : -1]], x[-1] / x[0]) for x in (p, q))
+        ps, qs = sum(p2[:: w + 1]), sum(q2[:: w + 1])  # mean squares of lengths
+        dot = lambda a, b: sum(x * y for x, y in zip(a, b, strict=True))
+        mean = ps + qs - 2 * dot(p1, q1)
+        square = p4 + q4 + 2 * ps * qs + 4 * dot(p2, q2) - 4 * dot(p3, q1) - 4 * dot(p1, q3)
+        out.append((float(mean), float(square - mean * mean)))
+    return out
 
 
 def collision_threshold(m: float, var: float, alpha: float) -> float:
