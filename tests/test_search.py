@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 from collide import costmodel, evaluate, session, sqlapi, studies, theory, workloads
 from collide.functions import vectors
 from collide.functions.vectors import VectorSet, held_out, numbered, validate_vectors
-from collide.operators import baselines, blocks, clustering, walks
+from collide.operators import baselines, blocks, clustering, collisions, walks
 from collide.operators.candidates import top_scored
 from collide.operators.cellindex import CellIndex, IndexParams, build_cell_index, build_flat_index, suggest_index
 from collide.operators.collisions import hit_scores, scan_scores
@@ -588,3 +588,13 @@ def test_queries_without_data_of_their_own(spark, tmp_path):
     workloads.index_of(spark, str(tmp_path))
     between = len(session._tables)
     assert len(run("cell_index_centroids")) == 16 * workloads.ROOT * 4 and len(session._tables) - between == between - before  # built anew
+
+
+def test_borders_are_found_by_blocks(emb, monkeypatch):
+    """No row is made per pair; class counts that are handed on early are added up."""
+    want = collision_scan(emb, PLAN, SearchParams(10, 0.1, 0.1), select="rank").collect()
+    monkeypatch.setattr(collisions, "paired", lambda *a, **b: pytest.fail("a row per pair"))
+    for held in (blocks.HELD, 0):
+        monkeypatch.setattr(blocks, "HELD", held)
+        got = collision_scan(emb, PLAN, SearchParams(10, 0.1, 0.1), select="histogram").collect()
+        assert {tuple(r) for r in got} == {tuple(r) for r in want}
